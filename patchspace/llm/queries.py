@@ -6,11 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from patchspace.llm import token_shards
+from patchspace.llm import mixing, packing, token_shards
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_source_mix": mixing.op1,
+        "op8_packing": packing.op8,
         "op10_token_shards": token_shards.op10,
     }
 

@@ -73,7 +73,8 @@ class WordEncoder:
 
     def batch(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts one after another, offsets of length n+1); null is empty."""
-        texts = pc.ascii_lower(pc.fill_null(texts, "").cast(pa.large_string()))
+        # the cast comes last: ascii_lower misreads the offsets of a slice that was cast
+        texts = pc.ascii_lower(pc.fill_null(texts, "")).cast(pa.large_string())
         split = pc.ascii_split_whitespace(texts)
         at = np.asarray(split.offsets, dtype=np.int64)
         coded = pc.dictionary_encode(split.flatten())
