@@ -117,6 +117,23 @@ def merge_windows(windows: list[list], capacity: int, max_slack: int, last: bool
     return (emitted + left, []) if last else (emitted, left)
 
 
+def _merger(turn: int, last: bool, fan: int, capacity: int, max_slack: int):
+    """The function of one merging round over the open windows of a group of tasks."""
+
+    def merge(table: pa.Table) -> pa.Table:
+        names = ("task", "sequence_id", "doc_id", "start", "ids", "doc_tokens", "offset")
+        rows = zip(*(table.column(c).to_pylist() for c in names), strict=True)
+        windows: dict[tuple, list] = {}
+        for t, s, d, a, raw, n, _ in sorted(rows, key=lambda r: (r[0], r[1], r[6])):
+            windows.setdefault((t, s), []).append((d, a, np.frombuffer(raw, "<u4"), n))
+        group = min(windows)[0] // fan
+        base = 1 << 62 | turn << 56 | group << 32
+        emitted, rest = merge_windows(list(windows.values()), capacity, max_slack, last)
+        return pa.Table.from_batches([_batch(emitted, True, group, base, False), _batch(rest, False, group, base + len(emitted), True)])
+
+    return merge
+
+
 def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, end_id: int = END_ID, capacity: int = CAPACITY, open_windows: int = 64, max_slack: int = 32, fan: int = 32) -> DataFrame:
     """One row per piece: where it lies in its document and in its sequence.
 
@@ -154,18 +171,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokeni
         turn += 1
         last = tasks <= fan
 
-        def again(table: pa.Table, turn=turn, last=last):
-            names = ("task", "sequence_id", "doc_id", "start", "ids", "doc_tokens", "offset")
-            windows: dict[tuple, list] = {}
-            for t, s, d, a, raw, n, o in sorted(zip(*(table.column(c).to_pylist() for c in names), strict=True), key=lambda r: (r[0], r[1], r[6])):
-                windows.setdefault((t, s), []).append((d, a, np.frombuffer(raw, "<u4"), n))
-            group = min(windows)[0] // fan if windows else 0
-            base = 1 << 62 | turn << 56 | group << 32
-            emitted, rest = merge_windows(list(windows.values()), capacity, max_slack, last)
-            parts = [_batch(emitted, True, group, base, False), _batch(rest, False, group, base + len(emitted), True)]
-            return pa.Table.from_batches(parts)
-
-        merged = left.withColumn("group", F.expr(f"task div {fan}")).groupBy("group").applyInArrow(again, DDL)
+        merged = left.withColumn("group", F.expr(f"task div {fan}")).groupBy("group").applyInArrow(_merger(turn, last, fan, capacity, max_slack), DDL)
         now = staged(merged, "packed-merge")
         found.append(now.where("done"))
         if last:
