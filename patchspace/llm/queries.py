@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from patchspace.llm import mixing, packing, token_shards
+from patchspace.llm import media, mixing, packing, token_shards, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_source_mix": mixing.op1,
+        "op2_media_sequences": media.op2,
+        "op3_warc": warc.op3,
         "op8_packing": packing.op8,
         "op10_token_shards": token_shards.op10,
     }
