@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from patchspace.llm import annuli, media, mixing, packing, token_shards, warc
+from patchspace.llm import annuli, media, mixing, packing, template, token_shards, warc
 
 
 OP4 = """
@@ -29,6 +29,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_media_sequences": media.op2,
         "op3_warc": warc.op3,
         "op4_pivot_annuli": annuli.op4,
+        "op5_template_text": template.op5,
         "op8_packing": packing.op8,
         "op10_token_shards": token_shards.op10,
     }
