@@ -16,6 +16,7 @@ import pyarrow.compute as pc
 
 MARK = "\x01"  # between two words of a joined text; encodes to one id of its own
 GROUP = 64
+CACHE_WORDS = 500_000  # words whose ids a worker keeps; a memory bound, results do not depend on it
 _encoders: dict[str, WordEncoder] = {}
 
 
@@ -36,6 +37,51 @@ class WordEncoder:
         if len(mark) != 1:
             raise ValueError("the tokenizer has no single id for the mark between words")
         self.mark = mark[0]
+        self.letters = frozenset("abcdefghijklmnopqrstuvwxyz")
+        single = {c: self.tok.encode(c, add_special_tokens=False).ids for c in ",."}
+        self.ends = {c: i[0] for c, i in single.items() if len(i) == 1}
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known: dict[str, int] = {}
+        self.flat, self.off = np.empty(1 << 16, np.uint32), np.zeros(1 << 16, np.int64)
+
+    def places(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(all known ids, start of each word's ids in them, their number)."""
+        if len(self.known) > CACHE_WORDS:
+            self._forget()
+        known, ends, last = self.known, self.ends, self.letters
+        new = [w for w in words if w not in known]
+        if new:
+            # a comma or stop after a letter is a piece of its own: such words share their stem's ids
+            tailed = [w for w in new if w[-1:] in ends and w[-2:-1] in last]
+            if tailed:
+                stems = {w[:-1] for w in tailed}
+                stems.update(w for w in new if not (w[-1:] in ends and w[-2:-1] in last))
+                new = [w for w in stems if w not in known]
+            self._remember(new, *self.words(new))
+            if tailed:
+                at = np.fromiter((known[w[:-1]] for w in tailed), np.int64, len(tailed))
+                sizes = self.off[at + 1] - self.off[at] + 1
+                off = np.zeros(len(tailed) + 1, np.int64)
+                np.cumsum(sizes, out=off[1:])
+                source = np.repeat(self.off[at] - off[:-1], sizes) + np.arange(off[-1])
+                ids = self.flat[np.minimum(source, len(self.flat) - 1)]
+                ids[off[1:] - 1] = [ends[w[-1]] for w in tailed]
+                self._remember(tailed, ids, off)
+        at = np.fromiter(map(known.__getitem__, words), np.int64, len(words))
+        starts = self.off[at]
+        return self.flat, starts, self.off[at + 1] - starts
+
+    def _remember(self, words: list[str], ids: np.ndarray, off: np.ndarray) -> None:
+        n, end = len(self.known), int(self.off[len(self.known)])
+        while n + len(words) + 1 > len(self.off):
+            self.off = np.concatenate([self.off, np.zeros_like(self.off)])
+        while end + len(ids) > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.empty_like(self.flat)])
+        self.flat[end : end + len(ids)] = ids
+        self.off[n + 1 : n + 1 + len(words)] = off[1:] + end
+        self.known.update(zip(words, range(n, n + len(words)), strict=True))
 
     def words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all words one after another, offsets of length n+1)."""
@@ -79,13 +125,13 @@ class WordEncoder:
         at = np.asarray(split.offsets, dtype=np.int64)
         coded = pc.dictionary_encode(split.flatten())
         at = at - at[0]
-        ids, off = self.words(coded.dictionary.to_pylist())
+        ids, starts, sizes = self.places(coded.dictionary.to_pylist())
         index = np.asarray(coded.indices, dtype=np.int64)
-        n = (off[1:] - off[:-1])[index]
+        n = sizes[index]
         ends = np.zeros(len(index) + 1, np.int64)
         np.cumsum(n, out=ends[1:])
         # position of each output id: start of its word in ids, plus its place in the word
-        source = np.repeat(off[:-1][index] - ends[:-1], n)
+        source = np.repeat(starts[index] - ends[:-1], n)
         source += np.arange(ends[-1], dtype=np.int64)
         return ids[source], ends[at]
 
