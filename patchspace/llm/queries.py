@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from patchspace.llm import annuli, chosen_path, media, mixing, packing, quality, template, token_shards, warc
+from patchspace.llm import annuli, chosen_path, katz, media, mixing, packing, quality, template, token_shards, warc
 
 
 OP4 = """
@@ -31,6 +31,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_pivot_annuli": annuli.op4,
         "op5_template_text": template.op5,
         "op6_quality": quality.op6,
+        "op7_katz": katz.op7,
         "op8_packing": packing.op8,
         "op9_chosen_path": chosen_path.op9,
         "op10_token_shards": token_shards.op10,
