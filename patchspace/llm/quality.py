@@ -24,7 +24,6 @@ import re
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
@@ -61,6 +60,20 @@ def terms(word: str) -> tuple[int, int]:
     return xxhash.xxh32_intdigest(low) % BUCKETS, xxhash.xxh32_intdigest(f"{kind} {before[:3]} {after[:3]}") % BUCKETS
 
 
+_known: dict[str, tuple[int, int]] = {}
+KNOWN_WORDS = 300_000  # a bound on a worker's memory; terms do not depend on it
+
+
+def _terms_of(words: list[str]) -> np.ndarray:
+    if len(_known) > KNOWN_WORDS:
+        _known.clear()
+    known = _known
+    for w in words:
+        if w not in known:
+            known[w] = terms(w)
+    return np.array([known[w] for w in words], np.int64).reshape(-1, 2)
+
+
 def word_terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(core terms, mark terms, offsets of the texts)."""
     texts = pc.fill_null(texts, "").cast(pa.large_string())
@@ -69,7 +82,7 @@ def word_terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     at = at - at[0]
     coded = pc.dictionary_encode(split.flatten())
     words = coded.dictionary.to_pylist()
-    table = np.array([terms(w) for w in words], np.int64).reshape(-1, 2)
+    table = _terms_of(words)
     index = np.asarray(coded.indices, dtype=np.int64)
     empty = np.fromiter((not w for w in words), bool, len(words))
     if empty.any():
@@ -145,35 +158,23 @@ def word_vectors(docs: DataFrame, text_col: str = "text") -> np.ndarray:
 
 
 def features(texts: pa.Array, vectors: np.ndarray, index: np.ndarray) -> np.ndarray:
-    """Pooled features, a row per text."""
+    """Pooled features, a row per text; ``index`` as floats."""
     core, mark, at = word_terms(texts)
     n = np.diff(at)
     out = np.zeros((len(n), FEATURES), np.float32)
-    full = np.flatnonzero(n)
-    if not len(full):
-        return out
-    for group in np.array_split(full, max(1, len(core) >> 19)):  # a bound on memory
-        if not len(group):
-            continue
-        a, b = at[group[0]], at[group[-1] + 1]
-        start = at[group] - a
-        m = n[group][:, None].astype(np.float32)
-        own, signs, rand = vectors[core[a:b]], vectors[mark[a:b]], index[core[a:b]].astype(np.float32)
-        mean = np.add.reduceat(own, start, axis=0) / m
-        out[group, :DIM] = mean
-        out[group, DIM : 2 * DIM] = np.add.reduceat(signs, start, axis=0) / m
-        out[group, 2 * DIM : 3 * DIM] = np.sqrt(np.maximum(0, np.add.reduceat(own**2, start, axis=0) / m - mean**2))
-        centre = np.add.reduceat(rand, start, axis=0) / m
-        out[group, 3 * DIM] = (centre**2).sum(1) / NONZERO
-        same = np.zeros(b - a, np.float32)
-        same[1:] = core[a + 1 : b] == core[a : b - 1]
-        same[start] = 0
-        out[group, 3 * DIM + 1] = np.add.reduceat(same, start) / m[:, 0]
-        near = np.zeros(b - a, np.float32)
-        near[1:] = (own[1:] * own[:-1]).sum(1)
-        near[start] = 0
-        out[group, 3 * DIM + 2] = np.add.reduceat(near, start) / m[:, 0]
-        out[group, 3 * DIM + 3] = np.log1p(n[group])
+    for i in np.flatnonzero(n):
+        c = core[at[i] : at[i + 1]]
+        m, row = float(n[i]), out[i]
+        own = vectors[c]
+        mean = own.sum(0) / m
+        centre = index[c].sum(0) / m
+        row[:DIM] = mean
+        row[DIM : 2 * DIM] = vectors[mark[at[i] : at[i + 1]]].sum(0) / m
+        row[2 * DIM : 3 * DIM] = np.sqrt(np.maximum(0, np.einsum("ij,ij->j", own, own) / m - mean * mean))
+        row[3 * DIM] = centre @ centre / NONZERO
+        row[3 * DIM + 1] = np.count_nonzero(c[1:] == c[:-1]) / m
+        row[3 * DIM + 2] = np.vdot(own[1:], own[:-1]) / m
+        row[3 * DIM + 3] = np.log1p(m)
     return out
 
 
@@ -244,7 +245,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col:
     rows = rows.select(F.col("_id"), F.col("_y"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
 
     def pool(batches):
-        index = index_vectors()
+        index = index_vectors().astype(np.float32)
         for batch in batches:
             for part in slices(batch):
                 x = features(part.column("text"), vectors, index)
@@ -256,17 +257,25 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col:
     return train(x, np.array([r.y for r in got], float), vectors)
 
 
+_index: list[np.ndarray] = []
+
+
+def _float_index() -> np.ndarray:
+    if not _index:
+        _index.append(index_vectors().astype(np.float32))
+    return _index[0]
+
+
 def scorer(model: Model):
     """A function of a text column: the calibrated probability of label 1."""
     spark = SparkSession.active()
     sent = spark.sparkContext.broadcast(model)  # fixed size: word vectors and two small layers
 
-    @F.pandas_udf("double")
-    def score(text: pd.Series) -> pd.Series:
-        arrow = pa.RecordBatch.from_arrays([pa.array(text, pa.string())], names=["text"])
-        index = index_vectors()
-        got = [sent.value.probability(features(p.column("text"), sent.value.vectors, index)) for p in slices(arrow)]
-        return pd.Series(np.concatenate(got) if got else np.empty(0))
+    @F.arrow_udf("double")
+    def score(text: pa.Array) -> pa.Array:
+        rows = pa.RecordBatch.from_arrays([text], names=["text"])
+        got = [sent.value.probability(features(p.column("text"), sent.value.vectors, _float_index())) for p in slices(rows)]
+        return pa.array(np.concatenate(got) if got else np.empty(0), pa.float64())
 
     return lambda text: score(F.coalesce(text, F.lit("")))
 
