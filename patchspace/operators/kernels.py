@@ -176,7 +176,7 @@ class ZCurve(Reduced):
         rank, x, start, lo, hi, mu = self.index[i]
         gap = (np.maximum(0, np.maximum(lo - point, point - hi)) ** 2).sum(1)
         order = np.argsort(gap, kind="stable")
-        need, rows, dist, bound, at = max(1, -(-k // mu)), [], [], np.inf, 0
+        need, rows, dist, bound, at = max(1, -(-k // mu), self.params.get("nu", 0) // mu), [], [], np.inf, 0
         while at < len(order) and gap[order[at]] <= bound:
             take = order[at : at + need]
             take = take[gap[take] <= bound]
@@ -521,13 +521,14 @@ class Propagation(Selector):
                     i = self.at.get((y + int(o[0]), x + int(o[1])))
                     if i is not None:
                         near.add(i)
-        rounds = self.params.get("tries", 6)
-        rows = np.fromiter(near, np.int64) if near else self.rng.integers(0, len(self.p), 32)
+        rounds = self.params.get("tries", 10)
+        spread = self.rng.integers(0, len(self.p), 48)
+        rows = np.unique(np.concatenate([np.fromiter(near, np.int64, len(near)), spread]))
         for _ in range(rounds):
             lead = rows[np.lexsort((rows, self.costs(rows, q, known)))[:1]]
             base = self.centres[lead[0]]
-            more = [self.at.get(tuple((base + np.rint((self.rng.random(2) * 2 - 1) * s)).astype(int).tolist())) for s in self.scales for _ in range(3)]
-            more += [self.at.get((int(base[0]) + dy, int(base[1]) + dx)) for dy in (-1, 0, 1) for dx in (-1, 0, 1)]
+            more = [self.at.get(tuple((base + np.rint((self.rng.random(2) * 2 - 1) * s)).astype(int).tolist())) for s in self.scales for _ in range(6)]
+            more += [self.at.get((int(base[0]) + dy, int(base[1]) + dx)) for dy in range(-2, 3) for dx in range(-2, 3)]
             rows = np.unique(np.concatenate([rows, [m for m in more if m is not None]]).astype(np.int64))
         self.work["distances"] += len(rows)
         return rows
