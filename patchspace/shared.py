@@ -7,6 +7,7 @@ a temporary folder of this machine is used.
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -78,6 +79,17 @@ def drop_path(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def trim() -> None:
+    """Give freed memory of a worker back to the system; arrays here come in few, large sizes."""
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library: nothing to give back by hand
+
+
 def open_fs(uri: str):
     """(file system, path) of a URI, for code on executors that writes real files."""
     from pyarrow import fs
