@@ -44,13 +44,13 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from patchspace.shared import new_path, open_fs, ship, staged_at
+from patchspace.shared import new_path, open_fs, ship, staged_at, trim
 from patchspace.llm.shingles import mix, word_hashes
 from patchspace.llm.tokens import slices
 
 K = 5
 START, END = np.uint64(0x5354415254), np.uint64(0x454E44)
-BLOCK_TOKENS, BUCKET_KEYS = 2_500_000, 6_000_000
+BLOCK_TOKENS, BUCKET_KEYS = 1_000_000, 2_500_000
 LOW40 = np.uint64((1 << 40) - 1)
 
 
@@ -133,7 +133,7 @@ def stage_blocks(docs: DataFrame, id_col: str, text_col: str, is_train: Column,
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, STAGE.types, strict=True)], schema=STAGE)
 
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, max_bytes=2 << 20):
                 w, at = word_hashes(part.column("text"))
                 held.append((part.column("doc_id").to_pylist(), np.asarray(part.column("train")), w, np.diff(at)))
                 size += len(w) + part.num_rows
@@ -206,6 +206,7 @@ def blocks(batches):
     for batch in batches:
         for i in range(batch.num_rows):
             yield Block(batch.slice(i, 1).to_pylist()[0])
+            trim()
 
 
 def _rows(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
@@ -230,6 +231,7 @@ def _by_bucket(asked: DataFrame, buckets: int, merge) -> DataFrame:
                 if now is not None and row["bucket"] != now:
                     yield from merge(now, held)
                     held = {}
+                    trim()
                 now = row["bucket"]
                 for k, v in row.items():
                     held.setdefault(k, []).append(v)

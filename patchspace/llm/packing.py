@@ -148,7 +148,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokeni
         enc, task = encoder(path), TaskContext.get().partitionId()
         packer, n = Packer(capacity, open_windows, max_slack), task << 32
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, max_bytes=8 << 20):
                 ids, at = enc.batch(part.column("text"))
                 for i, key in enumerate(part.column("doc_id").to_pylist()):
                     own = np.append(ids[at[i] : at[i + 1]], np.uint32(end_id))

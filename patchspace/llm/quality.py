@@ -61,7 +61,7 @@ def terms(word: str) -> tuple[int, int]:
 
 
 _known: dict[str, tuple[int, int]] = {}
-KNOWN_WORDS = 300_000  # a bound on a worker's memory; terms do not depend on it
+KNOWN_WORDS = 100_000  # a bound on a worker's memory; terms do not depend on it
 
 
 def _terms_of(words: list[str]) -> np.ndarray:

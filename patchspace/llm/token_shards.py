@@ -39,7 +39,7 @@ def write_shards(docs: DataFrame, folder: str, id_col: str = "doc_id", text_col:
         writer = sink = None
         n_tokens, low, high = 0, None, None
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, max_bytes=8 << 20):
                 ids, at = enc.batch(part.column("text"))
                 for i, key in enumerate(part.column("doc_id").to_pylist()):
                     if writer is None:

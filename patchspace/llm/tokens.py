@@ -14,6 +14,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from patchspace.shared import trim
+
 MARK = "\x01"  # between two words of a joined text; encodes to one id of its own
 GROUP = 64
 CACHE_WORDS = 500_000  # words whose ids a worker keeps; a memory bound, results do not depend on it
@@ -142,7 +144,7 @@ def encoder(path: str) -> WordEncoder:
     return _encoders[path]
 
 
-def slices(batch: pa.RecordBatch, column: str = "text", max_bytes: int = 8 << 20):
+def slices(batch: pa.RecordBatch, column: str = "text", max_bytes: int = 4 << 20):
     """A batch cut into row ranges of about ``max_bytes`` of text, one row at least."""
     lengths = np.asarray(pc.fill_null(pc.binary_length(batch.column(column).cast(pa.large_string())), 0), dtype=np.int64)
     start, total = 0, 0
@@ -153,3 +155,4 @@ def slices(batch: pa.RecordBatch, column: str = "text", max_bytes: int = 8 << 20
         total += int(n)
     if start < batch.num_rows:
         yield batch.slice(start)
+    trim()
