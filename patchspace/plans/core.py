@@ -253,6 +253,9 @@ def recall_at_k(spark, sf_dir):
     return metrics.recall(knn.zcurve_knn(q, index, 20, 1), knn.full_scan(q, d, costs.l2(), 10, 1), 10)
 
 
+SQL_SCAN = f"WITH {sql.PATCHES}, {sql.ranked_scan(sql.l2('q.vals', 'p.vals', N_KNOWN), 1).replace('SELECT query_id, rank, patch_id', 'SELECT query_id, patch_id')}"
+
+
 @query("zcurve_search_exact", f"WITH {sql.PATCHES}, {sql.ranked_scan(sql.l2('q.vals', 'p.vals', N_KNOWN), 1).replace('SELECT query_id, rank, patch_id', 'SELECT query_id, patch_id')}")
 def zcurve_search_exact(spark, sf_dir):
     """Principal components, curve, blocks and exact refinement; the answer is the full scan's."""
