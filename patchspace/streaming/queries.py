@@ -52,14 +52,10 @@ def distinct_queries(queries: DataFrame, watermark: str = "1 day") -> DataFrame:
 
 GAPS = "user_id long, slot int"
 SEEN = "slot int"
-KEEP_MS = 30 * 24 * 3600 * 1000
 
 
 def _gaps_of(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
     """The slots of a user that lie between those seen; the state is the last slot seen."""
-    if state.hasTimedOut:
-        state.remove()
-        return
     before = state.get[0] if state.exists else None
     out = []
     for s in sorted({int(s) for frame in frames for s in frame["slot"]}):
@@ -68,19 +64,18 @@ def _gaps_of(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.D
         before = s if before is None else max(before, s)
     if before is not None:
         state.update((before,))
-        state.setTimeoutDuration(KEEP_MS)
     yield pd.DataFrame(out, columns=["user_id", "slot"]).astype({"user_id": "int64", "slot": "int32"})
 
 
 def gaps(events: DataFrame) -> DataFrame:
     """Unknown cells of each user's row, found as events arrive.
 
-    The state is one slot per user and ends 30 days after the last event.
+    The state is one slot per user: it grows with the users, not with the events.
     """
     ship(events.sparkSession)
     slot = (F.datediff("ts", F.lit("2024-01-01")) * 4 + F.floor(F.hour("ts") / 6)).cast("int")
     rows = events.select("user_id", slot.alias("slot")).groupBy("user_id")
-    return rows.applyInPandasWithState(_gaps_of, GAPS, SEEN, "append", "ProcessingTimeTimeout")
+    return rows.applyInPandasWithState(_gaps_of, GAPS, SEEN, "append", "NoTimeout")
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
