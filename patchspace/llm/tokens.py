@@ -9,6 +9,7 @@ apart go through the library one by one, so the ids always equal those of the wh
 from __future__ import annotations
 
 import os
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -18,8 +19,11 @@ from patchspace.shared import trim
 
 MARK = "\x01"  # between two words of a joined text; encodes to one id of its own
 GROUP = 64
-CACHE_WORDS = 500_000  # words whose ids a worker keeps; a memory bound, results do not depend on it
+CACHE_WORDS = 400_000  # words whose ids a worker keeps; a memory bound, results do not depend on it
 _encoders: dict[str, WordEncoder] = {}
+# byte-level alphabet: a byte stands for itself where it prints in Latin-1, the others follow from 256
+_UNSEEN = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)]
+BYTE_LEVEL = {b: 256 + n for n, b in enumerate(_UNSEEN)}
 
 
 def default_tokenizer() -> str:
@@ -39,6 +43,7 @@ class WordEncoder:
         if len(mark) != 1:
             raise ValueError("the tokenizer has no single id for the mark between words")
         self.mark = mark[0]
+        self.model = self.tok.model
         self.letters = frozenset("abcdefghijklmnopqrstuvwxyz")
         single = {c: self.tok.encode(c, add_special_tokens=False).ids for c in ",."}
         self.ends = {c: i[0] for c, i in single.items() if len(i) == 1}
@@ -85,8 +90,37 @@ class WordEncoder:
         self.off[n + 1 : n + 1 + len(words)] = off[1:] + end
         self.known.update(zip(words, range(n, n + len(words)), strict=True))
 
+    @staticmethod
+    def one_piece(w: str) -> str | None:
+        """The model's form of a word of lower-case Latin letters, which no earlier step changes
+        or splits: normalised already, and one run of letters."""
+        if w.isalpha():
+            if w.isascii():
+                return w  # lower case, as A-Z were lowered
+            if max(w) < "\u0250" and w == w.lower():
+                return w.encode().decode("latin-1").translate(BYTE_LEVEL)
+        return None
+
     def words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all words one after another, offsets of length n+1)."""
+        tokenize, direct, rest = self.model.tokenize, [None] * len(words), []
+        for i, w in enumerate(words):
+            p = self.one_piece(w)
+            if p is None:
+                rest.append(i)
+            else:
+                direct[i] = [t.id for t in tokenize(p)]
+        if rest:
+            ids, off = self._joined([words[i] for i in rest])
+            ids, off = ids.tolist(), off.tolist()
+            for n, i in enumerate(rest):
+                direct[i] = ids[off[n] : off[n + 1]]
+        offsets = np.zeros(len(words) + 1, np.int64)
+        np.cumsum(np.fromiter(map(len, direct), np.int64, len(direct)), out=offsets[1:])
+        return np.fromiter(chain.from_iterable(direct), np.uint32, int(offsets[-1])), offsets
+
+    def _joined(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The same through the whole tokenizer, many words to a text."""
         odd = [i for i, w in enumerate(words) if MARK in w]
         safe = words
         if odd:
