@@ -18,6 +18,8 @@ row by row; a table without tokens keeps every row once. Other columns may have
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -26,7 +28,6 @@ from patchspace.shared import staged
 
 MAX_REPEATS, ENTROPY_SHARE, BLOCK_TOKENS, SEED = 2.0, 1.0, 1 << 20, 7
 STEPS = 48  # of the bisection; halves an interval of length 1 each time
-RANGE_ROWS = 20_000
 NO_SOURCE = "\x00"
 
 
@@ -114,7 +115,7 @@ def plan_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source"
 def _streams(rows: DataFrame, w: DataFrame, seed: int) -> DataFrame:
     """Each document once per epoch in which its source's budget reaches it."""
     n = rows.count()
-    ranges = max(1, -(-n // RANGE_ROWS))
+    ranges = max(1, math.isqrt(n))  # as many ranges as rows in a range: both levels stay small
     joined = rows.join(w.select("source_key", "weight", "tokens", "target_tokens", "full_epochs"), "source_key")
     epochs = joined.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("full_epochs"))))
     epochs = epochs.withColumn("place", _unit(F.lit(seed), F.col("epoch"), F.col("doc_id"), F.col("source_key")))
