@@ -59,6 +59,28 @@ def inpaint(raster: DataFrame, method: str = "zcurve", order: str = "structure",
     return raster.groupBy("image_id").applyInPandas(run, CELLS)
 
 
+VOXELS = "image_id long, z int, y int, x int, pix array<smallint>, known boolean"
+
+
+def inpaint_volume(volume: DataFrame, method: str = "zcurve", k: int = 3, **params) -> DataFrame:
+    """Every volume of a corpus (single samples) completed in a task of its own."""
+    ship(volume.sparkSession)
+
+    def run(key, cells: pd.DataFrame) -> pd.DataFrame:
+        low = cells[["z", "y", "x"]].min().to_numpy()
+        at = cells[["z", "y", "x"]].to_numpy() - low
+        vol, known = np.zeros(at.max(0) + 1, np.int16), np.zeros(at.max(0) + 1, bool)
+        on = cells.known.to_numpy().astype(bool)
+        vol[tuple(at[on].T)] = [p[0] for p in cells.pix[on]]
+        known[tuple(at[on].T)] = True
+        out, _ = kernels.fill_volume(vol, known, method, k, **params)
+        place = np.argwhere(np.ones(out.shape, bool))
+        z, y, x = (place + low).astype(np.int32).T
+        return pd.DataFrame({"image_id": key[0], "z": z, "y": y, "x": x, "pix": list(out.reshape(-1, 1)), "known": True})
+
+    return volume.groupBy("image_id").applyInPandas(run, VOXELS)
+
+
 def inpaint_trace(raster: DataFrame, method: str = "zcurve", order: str = "structure", k: int = 9, cost: Cost | None = None, measure: bool = True, **params) -> DataFrame:
     """The steps of such fills, with the full scan's cost for each target if ``measure``."""
     ship(raster.sparkSession)

@@ -120,7 +120,7 @@ class Reduced(Selector):
         return [pca_of(n, s, prod, fp, self.params.get("dims", 10)) for fp in self.fps]
 
     def build(self) -> None:
-        self.fps: list[Footprint] = footprints(self.k, self.params.get("c", 0.6), self.channels)
+        self.fps: list[Footprint] = footprints(self.k, self.params.get("c", 0.6), self.channels, self.params.get("ndim", 2))
         self.basis = self.bases() if len(self.p) else []
         self.points = [b.project(self.p.astype(np.float64)) for b in self.basis]
         self.index = [self.make(b, x) for b, x in zip(self.basis, self.points, strict=True)]
@@ -686,3 +686,45 @@ def errors(trace: list[dict], root: bool = True) -> np.ndarray:
     if root:
         a, e = np.sqrt(np.maximum(0, a)), np.sqrt(np.maximum(0, e))
     return np.where(e > 0, a / np.where(e > 0, e, 1) - 1, np.where(a == 0, 0.0, np.nan))
+
+
+def cubes(vol: np.ndarray, known: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(wholly known cubes as rows of (layer, row, column) values, their centres)."""
+    if min(vol.shape) < k:
+        return np.empty((0, k**3), np.int16), np.empty((0, 3), np.int64)
+    at = np.argwhere(np.lib.stride_tricks.sliding_window_view(known, (k, k, k)).all((3, 4, 5)))
+    cells = np.lib.stride_tricks.sliding_window_view(vol, (k, k, k))[tuple(at.T)]
+    return cells.reshape(len(at), k**3).astype(np.int16), at + k // 2
+
+
+def window_counts(a: np.ndarray, k: int) -> np.ndarray:
+    """Sums over k-wide windows around each cell, cut at the border, along every axis in turn."""
+    out = a.astype(np.int64)
+    for axis in range(a.ndim):
+        c = np.concatenate([np.zeros_like(out.take([0], axis)), out.cumsum(axis)], axis)
+        i = np.arange(a.shape[axis])
+        out = c.take(np.minimum(i + k // 2 + 1, a.shape[axis]), axis) - c.take(np.maximum(i - k // 2, 0), axis)
+    return out
+
+
+def fill_volume(vol: np.ndarray, known: np.ndarray, method: str = "zcurve", k: int = 3, **params) -> tuple[np.ndarray, list[dict]]:
+    """Complete one volume of single samples: cubic patches, the unknown cell with most known
+    cells around it first (ties in layer, row, column order)."""
+    vol, known = vol.astype(np.int16).copy(), known.copy()
+    if known.all():
+        return vol, []
+    patches, centres = cubes(vol, known, k)
+    if not len(patches):
+        raise ValueError("no wholly known cube to fill from")
+    selector, half, trace = SELECTORS[method](patches, centres, k, 1, None, ndim=3, **params), k // 2, []
+    while not known.all():
+        z, y, x = np.unravel_index(int(np.argmax(np.where(known, -1, window_counts(known, k)))), known.shape)
+        c = [min(max(int(v), half), n - half - 1) for v, n in zip((z, y, x), known.shape, strict=True)]
+        at = tuple(slice(v - half, v + half + 1) for v in c)
+        m = known[at].copy()
+        q = np.where(m, vol[at], 0).ravel()
+        i, cost = selector.find(q, m.ravel(), c)
+        vol[at] = np.where(m, vol[at], patches[i].reshape(k, k, k))
+        known[at] = True
+        trace.append({"step": len(trace), "z": c[0], "y": c[1], "x": c[2], "patch": i, "cost": cost, "filled": int((~m).sum())})
+    return vol, trace

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -69,6 +69,15 @@ def save_dictionary(dictionary: DataFrame, path: str) -> None:
     dictionary.write.mode("errorifexists").parquet(path)
 
 
+def load_dictionary(spark: SparkSession, path: str) -> DataFrame:
+    """A saved dictionary, with the columns that ``build_dictionary`` gives."""
+    found = spark.read.parquet(path)
+    missing = {"patch_id", "image_id", "vals"} - set(found.columns)
+    if missing:
+        raise ValueError(f"not a dictionary: no {sorted(missing)}")
+    return found
+
+
 def fill_front(raster: DataFrame) -> DataFrame:
     """Known cells with an unknown cell beside them (four neighbours)."""
     steps = F.array(*[F.struct(F.lit(dy).alias("dy"), F.lit(dx).alias("dx")) for dy, dx in ((-1, 0), (1, 0), (0, -1), (0, 1))])

@@ -263,3 +263,23 @@ def corpus_fill(spark, sf_dir):
     r = rasters.document_corpus(spark, sf_dir).where("image_id % 20 = 0 AND y < 40")
     m = masks.hole_mask(r, 8)
     return metrics.fill_quality(fill.inpaint(masks.damage(r, m), "zcurve", k=7, order="onion"), r, m)
+
+
+@query("volume_fill_waves", "SELECT 0::BIGINT AS image_id, z::INTEGER AS z, y::INTEGER AS y, x::INTEGER AS x, ((x + 2 * y + 3 * z) % 6 * 40)::BIGINT AS pix FROM (SELECT unnest(range(0, 10)) AS z), (SELECT unnest(range(0, 12)) AS y), (SELECT unnest(range(0, 14)) AS x)")
+def volume_fill_waves(spark, sf_dir):
+    """A periodic volume with a hole comes back exactly."""
+    one = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    v = spark.range(1).select(F.col("id").alias("image_id"), one(10).alias("z")).withColumn("y", one(12)).withColumn("x", one(14))
+    hole = F.col("z").between(4, 5) & F.col("y").between(5, 7) & F.col("x").between(5, 8)
+    pix = F.array((F.pmod(F.col("x") + 2 * F.col("y") + 3 * F.col("z"), F.lit(6)) * 40).cast("smallint"))
+    v = v.withColumn("pix", F.when(~hole, pix)).withColumn("known", ~hole)
+    return fill.inpaint_volume(v, "scan").select("image_id", "z", "y", "x", F.col("pix")[0].cast("long").alias("pix"))
+
+
+@query("volume_fill")
+def volume_fill(spark, sf_dir):
+    """The sales volume with a block cut out, through the 26-footprint index."""
+    v = volume(spark, sf_dir).where("y < 12 AND x < 16")
+    hole = F.col("z").between(4, 6) & F.col("y").between(4, 7) & F.col("x").between(5, 9)
+    v = v.withColumn("known", ~hole).withColumn("pix", F.when(~hole, F.col("pix")))
+    return fill.inpaint_volume(v, "zcurve", dims=6, knn=20, mu=64).select("image_id", "z", "y", "x", F.col("pix")[0].cast("long").alias("pix"))

@@ -241,3 +241,16 @@ def test_fill_of_two_channels_of_images(spark):
     out = fill.inpaint(masks.damage(two, masks.hole_mask(two, 5)), "scan", k=5).collect()
     truth = {(c.image_id, c.y, c.x): c.pix for c in two.collect()}
     assert all(c.pix == truth[c.image_id, c.y, c.x] for c in out) and len(out) == 800
+
+
+@pytest.mark.parametrize("method", ["scan", "zcurve", "outside_in"])
+def test_volume_fill(method):
+    z, y, x = np.mgrid[:9, :10, :11]
+    vol = ((x + 2 * y + 3 * z) % 6 * 40).astype(np.int16)
+    known = np.ones(vol.shape, bool)
+    known[3:5, 4:6, 4:7] = False
+    out, trace = kernels.fill_volume(np.where(known, vol, 0), known, method, 3, dims=6, knn=10_000)
+    assert (out[known] == vol[known]).all() and sum(t["filled"] for t in trace) == 12
+    if method == "scan":
+        assert (out == vol).all()
+    assert kernels.fill_volume(vol, np.ones_like(known))[1] == []
