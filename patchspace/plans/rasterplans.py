@@ -232,9 +232,9 @@ def fill_stripes(spark, sf_dir):
     return flat(fill.inpaint(masks.damage(r, masks.hole_mask(r)), "scan", k=9))
 
 
-@query("wave_fill", "SELECT 0::BIGINT AS image_id, y::INTEGER AS y, x::INTEGER AS x, ((x + y * 3) % 8 * 28 + y % 4 * 5)::BIGINT AS pix FROM (SELECT unnest(range(0, 32)) AS y), (SELECT unnest(range(0, 32)) AS x)")
+@query("wave_fill", "SELECT 0::BIGINT AS image_id, y::INTEGER AS y, x::INTEGER AS x, ((x + y * 3) % 8 * 28 + y % 4 * 5)::BIGINT AS pix FROM (SELECT unnest(range(0, 24)) AS y), (SELECT unnest(range(0, 24)) AS x)")
 def wave_fill(spark, sf_dir):
-    r = rasters.stripes(spark, 32, 32)
+    r = rasters.stripes(spark, 24, 24)
     return flat(fill.wave_fill(masks.damage(r, masks.hole_mask(r, 8)), 5, 6, 10, 64)[0])
 
 
