@@ -52,8 +52,8 @@ def shared_root(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, what: str) -> str:
-    """A fresh folder name below the shared root."""
-    return f"{shared_root(spark)}/patchspace/{what}-{uuid.uuid4().hex[:12]}"
+    """A fresh folder name below the shared root; an application's folders lie together."""
+    return f"{shared_root(spark)}/patchspace/{spark.sparkContext.applicationId}/{what}-{uuid.uuid4().hex[:12]}"
 
 
 def staged(df: DataFrame, what: str, partition_by: list[str] | None = None) -> DataFrame:
