@@ -23,7 +23,7 @@ SIZES = {"S": (100, 75), "M": (200, 150), "L": (256, 192), "XL": (320, 240)}
 def grid(spark: SparkSession, height: int, width: int, images: Column) -> DataFrame:
     """All cells of images of one shape; ``images`` is an array column of ids."""
     ys = spark.range(height).select(F.col("id").cast("int").alias("y"))
-    return ys.select(F.explode(images).cast("long").alias("image_id"), "y").withColumn("x", F.explode(F.sequence(F.lit(0), F.lit(width - 1))))
+    return ys.select(F.explode(images.cast("array<bigint>")).alias("image_id"), "y").withColumn("x", F.explode(F.sequence(F.lit(0), F.lit(width - 1))))
 
 
 def on_grid(spark: SparkSession, sums: DataFrame, height: int, width: int, images: Column, value: str = "v") -> DataFrame:
@@ -114,7 +114,7 @@ def activity_rgb(spark: SparkSession, sf_dir: str, users: int = 150, slots: int
 
 def part_surface(spark: SparkSession, sf_dir: str, width: int = 50) -> DataFrame:
     t = table(sf_dir, "part", spark)
-    at = F.col("p_partkey") - 1
+    at = F.col("p_partkey")  # keys are dense from 0
     cells = t.select(F.lit(0).cast("long").alias("image_id"), F.floor(at / width).cast("int").alias("y"), F.pmod(at, F.lit(width)).cast("int").alias("x"), cents(F.col("p_retailprice")).alias("v"))
     return scaled(cells)
 
