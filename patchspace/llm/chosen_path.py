@@ -17,7 +17,10 @@ the rest works on one representative (the smallest identifier) of each class.
    leaves of trees grown over that group's rows take its place. In either, links are confirmed on full
    sets, in integers, by prefix filtering; pairs that are connected already are skipped, as they
    cannot change the result.
-5. Components of the confirmed links give the classes; a class is named by its smallest
+5. A row whose leaves lie so deep that 1 - (the product of 1 - s^depth over its trees) is below
+   ``recall`` at the target similarity is met exactly: such rows are joined on the rare end of
+   their full sets (``exact_links``), between components that are not linked yet.
+6. Components of the confirmed links give the classes; a class is named by its smallest
    identifier.
 
 Null and empty texts have an empty set and are linked with nothing. Null identifiers are kept
@@ -26,6 +29,8 @@ as rows of their own with a null component. Repeated rows have equal sets, so sh
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -38,6 +43,7 @@ from patchspace.llm.tokens import slices
 
 COORDINATES, TREES, SIGMAS = 128, 12, 4.75
 LEAF_ROWS, GROUP_ROWS, GROUP_SHINGLES, MAX_DEPTH = 2048, 8192, 4_000_000, 64
+RECALL, BUCKET_BITS, CELL_ROWS = 0.99, 20, 512
 
 
 def sketches(docs: DataFrame, words: int, trees: int = TREES, id_col: str = "doc_id", text_col: str = "text", seed: int = 1) -> DataFrame:
@@ -71,8 +77,8 @@ def sketches(docs: DataFrame, words: int, trees: int = TREES, id_col: str = "doc
     return rows.mapInArrow(make, "doc_id long, n_shingles long, f1 long, f2 long, roots array<long>, sketch binary")
 
 
-def grow(reps: DataFrame, trees: int = TREES, leaf_rows: int = LEAF_ROWS) -> tuple[DataFrame, list[DataFrame]]:
-    """(leaf rows, star pairs of the nodes that branched): trees over doc_id, n_shingles, roots, sketch."""
+def grow(reps: DataFrame, trees: int = TREES, leaf_rows: int = LEAF_ROWS) -> tuple[list[DataFrame], list[DataFrame]]:
+    """(leaf rows by depth from 1, star pairs of the nodes that branched): trees over doc_id, n_shingles, roots, sketch."""
     rows = reps.select("doc_id", "n_shingles", "sketch", F.posexplode("roots").alias("tree", "token"))
     rows = rows.select(F.xxhash64("tree", "token").alias("node"), "doc_id", "n_shingles", "sketch")
     leaves, stars = [], []
@@ -93,10 +99,31 @@ def grow(reps: DataFrame, trees: int = TREES, leaf_rows: int = LEAF_ROWS) -> tup
         value = F.substring("sketch", coordinate, F.lit(1))
         rows = inner.select(F.xxhash64("node", F.lit(depth), value).alias("node"), "doc_id", "n_shingles", "sketch")
         depth += 1
-    out = leaves[0]
-    for more in leaves[1:]:
+    return leaves, stars
+
+
+def _union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for more in frames[1:]:
         out = out.unionByName(more)
-    return out, stars
+    return out
+
+
+def deep_rows(leaves: list[DataFrame], percent: int, trees: int, recall: float) -> DataFrame | None:
+    """doc_id of the rows whose leaves miss ``recall`` at the target similarity; None if no leaf can."""
+    s = percent / 100
+    enough = 0  # the depth down to which ``trees`` trees suffice
+    while enough < len(leaves) and 1 - (1 - s ** (enough + 1)) ** trees >= recall:
+        enough += 1
+    if enough == len(leaves):
+        return None
+    # a tree with a higher leaf counts as one of depth ``enough``, so too many rows rather than too few are deep
+    high = math.log1p(-(s**enough)) if 0 < enough else -math.inf
+    below = _union([f.select("doc_id", F.lit(math.log1p(-(s ** (enough + 1 + k)))).alias("miss")) for k, f in enumerate(leaves[enough:])])
+    sums = below.groupBy("doc_id").agg(F.sum("miss").alias("miss"), F.count("*").alias("n"))
+    if enough:
+        sums = sums.withColumn("miss", F.col("miss") + F.lit(high) * (F.lit(trees) - F.col("n")))
+    return sums.where(F.col("miss") > math.log1p(-recall) if recall < 1 else F.lit(True)).select("doc_id")
 
 
 def _runs(batches, key: str):
@@ -293,7 +320,76 @@ def confirm(docs: DataFrame, groups: DataFrame, words: int, percent: int, id_col
     return dealt.mapInArrow(check, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, leaf_rows: int = LEAF_ROWS, id_col: str = "doc_id", text_col: str = "text", group_rows: int = GROUP_ROWS, group_shingles: int = GROUP_SHINGLES) -> DataFrame:
+def exact_links(docs: DataFrame, rows: DataFrame, words: int, percent: int, id_col: str, text_col: str) -> DataFrame:
+    """Confirmed links (a, b) among rows(doc_id, component) of different components, none missed.
+
+    A prefix join: shingles have one global order, rarest first, and the first common shingle of
+    a pair at the limit lies in the first n - ceil(limit * n) + 1 of either set. What the places leave
+    room for below that shingle bounds the common part. A shingle of many rows is dealt over cells,
+    a cell being a pair of blocks of its rows, so no key has to fit in one task.
+    """
+    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    rows = staged(rows.join(texts, F.col("doc_id") == F.col("_id")).select("doc_id", "component", "text"), "path-exact")
+    shift = np.uint64(64 - BUCKET_BITS)
+
+    def count(batches):
+        sums = np.zeros(1 << BUCKET_BITS, np.int64)
+        for batch in batches:
+            for part in slices(batch):
+                own = np.concatenate(shingle_sets(part.column("text"), words))
+                sums += np.bincount((own >> shift).astype(np.int64), minlength=len(sums))
+        at = np.flatnonzero(sums)
+        for lo in range(0, len(at), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(at[lo : lo + (1 << 16)]), pa.array(sums[at[lo : lo + (1 << 16)]])], names=["bucket", "n"])
+
+    found = rows.select("text").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    often = np.zeros(1 << BUCKET_BITS, np.uint8)  # eighths of powers of two; any order is right, a good one is quick
+    often[found.column("bucket").to_numpy()] = np.minimum(255, 8 * np.log2(found.column("n").to_numpy() + 1.0)).astype(np.uint8)
+
+    def prefixes(batches):
+        for batch in batches:
+            for part in slices(batch):
+                keys, places, lengths = [], [], []
+                for own in shingle_sets(part.column("text"), words):
+                    keep = len(own) - (percent * len(own) + 99) // 100 + 1 if len(own) else 0
+                    keys.append(own[np.lexsort((own, often[(own >> shift).astype(np.int64)]))[:keep]])
+                    places.append(np.arange(keep))
+                    lengths.append((len(own), keep))
+                n, kept = np.array(lengths).T
+                key = np.concatenate(keys).view(np.int64)
+                doc, component = (np.repeat(part.column(c).to_numpy(), kept) for c in ("doc_id", "component"))
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (key, np.concatenate(places), doc, component, np.repeat(n, kept))], names=["key", "place", "doc_id", "component", "n_shingles"])
+
+    def meet(batches):
+        for t in _runs(batches, "cell"):
+            cell, own, place, doc, component, n = (t.column(c).to_numpy() for c in ("cell", "own", "place", "doc_id", "component", "n_shingles"))
+            diagonal = t.column("diagonal").to_numpy(zero_copy_only=False)
+            i, k = np.arange(len(cell)), 1
+            while len(i := i[i + k < len(cell)]) and len(i := i[cell[i] == cell[i + k]]):
+                for at in range(0, len(i), 1 << 16):
+                    x = i[at : at + (1 << 16)]
+                    y = x + k
+                    ok = (component[x] != component[y]) & (diagonal[x] | (own[x] != own[y]))
+                    ok &= 100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y])
+                    ok &= (100 + percent) * np.minimum(n[x] - place[x], n[y] - place[y]) >= percent * (n[x] + n[y])
+                    x, y = doc[x[ok]], doc[y[ok]]
+                    if len(x):
+                        yield pa.RecordBatch.from_arrays([pa.array(np.maximum(x, y)), pa.array(np.minimum(x, y))], schema=_pairs_schema())
+                k += 1
+
+    keyed = staged(rows.mapInArrow(prefixes, "key long, place long, doc_id long, component long, n_shingles long"), "path-prefix")
+    shared = keyed.groupBy("key").agg(F.count("*").alias("rows"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi")
+    shared = shared.select(F.col("key").alias("_key"), F.expr(f"cast(ceil(rows / {CELL_ROWS}) AS int)").alias("blocks"))
+    met = keyed.join(shared, F.col("key") == F.col("_key")).withColumn("own", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int"))
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cell = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).alias("cell")
+    met = met.select(cell, "own", (F.col("own") == F.col("other")).alias("diagonal"), "place", "doc_id", "component", "n_shingles")
+    pairs = staged(met.repartition("cell").sortWithinPartitions("cell").mapInArrow(meet, "a long, b long").distinct(), "path-met")
+    pair_rows = pairs.select(F.xxhash64("a", "b").alias("group"), F.explode(F.array("a", "b")).alias("doc_id"))
+    return confirm(docs, pair_rows, words, percent, id_col, text_col)
+
+
+def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, leaf_rows: int = LEAF_ROWS, id_col: str = "doc_id", text_col: str = "text", group_rows: int = GROUP_ROWS, group_shingles: int = GROUP_SHINGLES, recall: float = RECALL) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: a row per row of ``docs``."""
     all_rows = staged(sketches(docs, words, trees, id_col, text_col), "path-sketches")
     some = all_rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
@@ -302,7 +398,8 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: i
     reps = some.join(own, (F.col("doc_id") == F.col("_rep")) & (F.col("f1") == F.col("_f1")) & (F.col("f2") == F.col("_f2")), "left_semi")
     reps = staged(reps.dropDuplicates(["doc_id", "f1", "f2"]).select("doc_id", "n_shingles", "roots", "sketch"), "path-reps")
     leaves, stars = grow(reps, trees, leaf_rows)
-    pairs = compare_leaves(leaves, percent)
+    exact = deep_rows(leaves, percent, trees, recall)
+    pairs = compare_leaves(_union(leaves), percent)
     for s in stars:
         pairs = pairs.unionByName(compare_stars(s, percent))
     loose = staged(components(pairs), "path-loose")
@@ -315,11 +412,16 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: i
         rest = reps.join(loose.join(big, "component", "left_semi").select(F.col("node").alias("_n")), F.col("doc_id") == F.col("_n"), "left_semi")
         per_tree = max(2, leaf_rows // 4)
         own_leaves, own_stars = grow(rest, trees, per_tree)
-        links = links.unionByName(confirm(docs, own_leaves.select(F.col("node").alias("group"), "doc_id"), words, percent, id_col, text_col))
+        links = links.unionByName(confirm(docs, _union(own_leaves).select(F.col("node").alias("group"), "doc_id"), words, percent, id_col, text_col))
         for s in own_stars:  # the hub of a branching node with each of its rows, pair by pair
             near = compare_stars(s, percent).distinct()
             pair_rows = near.select(F.xxhash64("a", "b").alias("group"), F.explode(F.array("a", "b")).alias("doc_id"))
             links = links.unionByName(confirm(docs, pair_rows, words, percent, id_col, text_col))
+    if exact is not None:
+        links = staged(links, "path-links")
+        known = staged(components(links), "path-known")
+        rows = exact.distinct().join(known, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("component", "doc_id").alias("component"))
+        links = links.unionByName(staged(exact_links(docs, rows, words, percent, id_col, text_col), "path-exact-links"))
     linked = staged(components(links), "path-linked")
     named = classes.join(linked, F.col("rep") == F.col("node"), "left").select("n_shingles", "f1", "f2", F.coalesce("component", "rep").alias("component_id"))
     named = staged(named, "path-named")

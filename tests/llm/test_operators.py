@@ -367,6 +367,44 @@ def test_near_duplicates(spark, words, percent, leaf, group):
         assert r.kept == (r.doc_id is None or r.doc_id == r.component_id)
 
 
+def hot_source(n=160, shared=84, own=16):
+    """Texts of one source that share most words, in pairs that differ in some words."""
+    rng = np.random.default_rng(9)
+    common = [f"C{i}" for i in range(shared)]
+    rows = []
+    for i in range(0, n, 2):
+        w = common + [f"P{i}x{j}" for j in range(own)]
+        other = list(w)
+        for at in rng.choice(shared, 2, replace=False):
+            other[at] = f"Q{i}x{at}"
+        rows += [(i, " ".join(w), "s"), (i + 1, " ".join(other), "s")]
+    return rows
+
+
+def linked(got):
+    return {r.doc_id: r.component_id for r in got.collect()}
+
+
+def test_near_duplicates_of_deep_nodes_reach_the_target_recall(spark):
+    rows = hot_source()
+    df, _ = documents(spark, rows)
+    want = {i: c for i, (c, _) in brute_groups(rows, 3, 85).items()}
+    assert len(set(want.values())) == 80
+    assert linked(chosen_path.near_duplicates(df, 3, 85, trees=3, leaf_rows=4, recall=0.0)) != want
+    assert linked(chosen_path.near_duplicates(df, 3, 85, trees=3, leaf_rows=4)) == want
+
+
+def test_shingles_of_many_rows_are_met_in_cells(spark, monkeypatch):
+    monkeypatch.setattr(chosen_path, "CELL_ROWS", 3)
+    rows = hot_source(60, 96, 4)
+    df, _ = documents(spark, rows)
+    each = df.select("doc_id", F.col("doc_id").alias("component")).where("doc_id IS NOT NULL")
+    links = {(r.a, r.b) for r in chosen_path.exact_links(df, each, 1, 95, "doc_id", "text").collect()}
+    sets = {i: set(t.split()) for i, t, _ in rows}
+    want = {(a, b) for a in sets for b in sets if b < a and 100 * len(sets[a] & sets[b]) >= 95 * len(sets[a] | sets[b])}
+    assert want and links == want
+
+
 def test_near_duplicates_of_an_empty_table(spark):
     assert chosen_path.near_duplicates(documents(spark, [])[0]).count() == 0
 
