@@ -14,12 +14,13 @@ the rest works on one representative (the smallest identifier) of each class.
    alike texts are linked by a number of pairs that is linear in their size.
 4. Candidate pairs are joined to loose groups (connected components). A group's full sets meet
    in one task, if they are fewer than ``group_rows`` and ``group_shingles`` together; else the
-   leaves of trees grown over that group's rows take its place. In either, links are confirmed on full
-   sets, in integers, by prefix filtering; pairs that are connected already are skipped, as they
-   cannot change the result.
-5. A row whose leaves lie so deep that 1 - (the product of 1 - s^depth over its trees) is below
-   ``recall`` at the target similarity is met exactly: such rows are joined on the rare end of
-   their full sets (``exact_links``), between components that are not linked yet.
+   leaves of trees grown over that group's rows link most of it, and step 5 the rest. In either, links
+   are confirmed on full sets, in integers, by prefix filtering; pairs that are connected already
+   are skipped, as they cannot change the result.
+5. Rows of larger groups are met exactly, and so is a row whose leaves lie so deep that 1 - (the
+   product of 1 - s^depth over its trees) is below ``recall`` at the target similarity: such rows are
+   joined on the rare end of their full sets (``exact_links``), between components that are not
+   linked yet.
 6. Components of the confirmed links give the classes; a class is named by its smallest
    identifier.
 
@@ -417,6 +418,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: i
             near = compare_stars(s, percent).distinct()
             pair_rows = near.select(F.xxhash64("a", "b").alias("group"), F.explode(F.array("a", "b")).alias("doc_id"))
             links = links.unionByName(confirm(docs, pair_rows, words, percent, id_col, text_col))
+        exact = rest.select("doc_id") if exact is None else exact.unionByName(rest.select("doc_id"))
     if exact is not None:
         links = staged(links, "path-links")
         known = staged(components(links), "path-known")

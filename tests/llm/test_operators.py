@@ -394,6 +394,13 @@ def test_near_duplicates_of_deep_nodes_reach_the_target_recall(spark):
     assert linked(chosen_path.near_duplicates(df, 3, 85, trees=3, leaf_rows=4)) == want
 
 
+def test_large_groups_are_confirmed_wholly(spark):
+    rows = hot_source()
+    df, _ = documents(spark, rows)
+    want = {i: c for i, (c, _) in brute_groups(rows, 3, 85).items()}
+    assert linked(chosen_path.near_duplicates(df, 3, 85, trees=2, leaf_rows=200, group_rows=8, recall=0.0)) == want
+
+
 def test_shingles_of_many_rows_are_met_in_cells(spark, monkeypatch):
     monkeypatch.setattr(chosen_path, "CELL_ROWS", 3)
     rows = hot_source(60, 96, 4)
