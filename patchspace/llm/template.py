@@ -13,7 +13,8 @@
    that markup declares as menu, header, footer, sidebar, notice, advert, form or comments.
    A page without such an element keeps all slots outside those parts, less the text blocks
    that belong to a valid class (the host's fixed wording). Pages of hosts without a valid class
-   are framed by their own sectioning tags.
+   are framed by their own sectioning tags. Every element is closed by its own end tag, by its
+   parent's, or by a start tag that implies its end; class and id words count on containers only.
 
 Inside kept slots nothing is dropped. References are decoded, white space within a block
 becomes one space, blocks are joined by one newline. Null or empty HTML gives an empty text;
@@ -36,13 +37,16 @@ from patchspace.shared import ship, staged
 
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>", re.S)
 RAW = {t: re.compile(rf"</{t}\s*>", re.I) for t in ("script", "style", "textarea", "title", "noscript", "iframe", "template", "svg", "xmp")}
-NAMES = re.compile(r"""(class|id|role|itemprop|hidden)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>"']+))?""", re.I)
+ATTRIBUTE = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>"']+))?""")
 # Elements that end a run of text, and elements that never hold the article.
 BLOCK = frozenset("address article aside blockquote body br caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
 OUT = frozenset("head title script style noscript iframe template svg nav footer aside form button select option textarea input label dialog menu object canvas audio video map".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 MAIN = frozenset(("article", "main"))
 AWAY = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|adsense|sponsor\w*|promo\w*|banner|nav\w*|menu\w*|breadcrumbs?|side-?bar\w*|footer|header|masthead|cookies?|consent|gdpr|notices?|alert|popup|modal|overlay|newsletter|subscribe|subscription|sign-?up|login|comments?|commentlist|disqus|replies|reply|respond|shar(?:e|ing)|social|related|recommend\w*|pagination|pager|toolbar|search\w*|widget|navigation|contentinfo|complementary|dialog)(?:$|[\s_-])", re.I)
+# Class and id words tell of containers only; an id of a section is often an anchor, so all of its words count.
+CONTAINERS = frozenset("div section aside nav header footer form fieldset ul ol dl table details dialog menu figure".split())
+NEVER_AWAY = frozenset("article main h1 h2 h3 h4 h5 h6 hgroup".split())
 FP_BITS = 38  # sums of the fingerprints of 2**25 pages stay within a long
 
 
@@ -65,13 +69,13 @@ def tokens(page: str):
         key, away = name, False
         if not closing and ("=" in attrs or "hidden" in attrs):
             marks = []
-            for k, v in NAMES.findall(attrs):
+            for k, v in ATTRIBUTE.findall(attrs):
                 k, v = k.lower(), v.strip("\"'")
                 if k == "hidden":
                     away = away or v.lower() not in ("until-found",)
-                elif k != "itemprop":
+                elif k in ("class", "id", "role"):
                     marks.append(v)
-                    away = away or bool(AWAY.search(v))
+                    away = away or declared(name, k, v)
             if marks:
                 key = f"{name}.{' '.join(marks)}"
         yield ("tag", closing, name, key, away)
@@ -80,6 +84,16 @@ def tokens(page: str):
             at = end.start() if end else n
 
 
+def declared(name: str, attribute: str, value: str) -> bool:
+    """Whether a class, id or role says that an element is no part of the article."""
+    if name in NEVER_AWAY or attribute != "role" and name not in CONTAINERS:
+        return False
+    if name == "section" and attribute == "id":
+        words = re.split(r"[\s_-]+", value.strip())
+        return bool(AWAY.fullmatch(value.strip())) or all(AWAY.fullmatch(w) for w in words)
+    return bool(AWAY.search(value))
+
+
 def token_counts(page: str) -> tuple[Counter, dict[str, int]]:
     """How often each token occurs in the page, and the place of its first occurrence."""
     counts: Counter = Counter()
@@ -177,11 +191,16 @@ class Frame:
         classes = json.loads(template) if template else []
         self.tags = {t for c in classes for t in c["tokens"] if t[0] == "<"}
         self.texts = {t for c in classes for t in c["tokens"] if t[0] == "#"}
-        # the names of the elements that the template opens once a page and closes once a page
-        self.paired = {t[1:].partition(".")[0] for t in self.tags if not t.startswith("</") and "</" + t[1:].partition(".")[0] in self.tags}
 
 
 SECTION = frozenset("article main section div aside nav header footer form body table ul ol dl fieldset details dialog menu figure head html".split())
+# Start tags that end an open element of a name, looked for up to the nearest bounding element.
+P_ENDERS = BLOCK - frozenset("br caption dd dt legend li option head body html tbody td tfoot th thead tr".split())
+ENDS = {
+    "li": ("li",), "dd": ("dd", "dt"), "dt": ("dd", "dt"), "option": ("option",), "optgroup": ("option", "optgroup"),
+    "td": ("td", "th"), "th": ("td", "th"), "tr": ("td", "th", "tr"),
+    "tbody": ("td", "th", "tr", "thead", "tbody", "tfoot"), "tfoot": ("td", "th", "tr", "thead", "tbody"), "body": ("head",),
+} | {t: ("p",) for t in P_ENDERS}
 
 
 def extract(page: str, frame: Frame) -> str:
@@ -198,6 +217,19 @@ def extract(page: str, frame: Frame) -> str:
                 slots.append((inside, bool(frame.texts) and "#" + xxhash.xxh64_hexdigest(" ".join("".join(text).split())) in frame.texts, words))
             text.clear()
 
+    def close(names: tuple[str, ...]) -> None:
+        """End the open elements of these names; of small elements, only those within the nearest section."""
+        section = not names or names[0] in SECTION or names[0] in OUT
+        i = len(stack) - 1
+        while names and i >= 0:
+            if stack[i][0] in names:
+                del stack[i:]
+                if len(names) == 1:
+                    return
+            elif not section and stack[i][0] in SECTION:
+                return
+            i -= 1
+
     for t in tokens(page):
         if t[0] == "text":
             if not away:
@@ -206,23 +238,19 @@ def extract(page: str, frame: Frame) -> str:
         _, closing, name, key, own_away = t
         if name in BLOCK:
             flush()
-        # a tag frames slots if the host's template has it, or if it can hold a section;
-        # other tags (their counts vary from page to page) are content of a slot
-        framing = name in frame.paired or name in SECTION or name in OUT or own_away
-        if name in VOID or not framing:
+        if name in VOID:
             continue
         if closing:
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == name:
-                    del stack[i:]
-                    break
+            close((name,))
         elif name in MAIN and not own_away:
+            close(ENDS[name])
             any_main = True
             if not (stack and stack[-1][2] and stack[-1][1]):  # comments may hold articles
                 stack.append((name, False, True))
             else:
                 stack.append((name, True, True))
         else:
+            close(ENDS.get(name, ()))
             up_away, up_in = (stack[-1][1], stack[-1][2]) if stack else (False, False)
             gone = own_away and name not in ("html", "body") or name in OUT or name == "header" and not up_in
             stack.append((name, up_away or gone, up_in))

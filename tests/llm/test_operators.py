@@ -284,6 +284,22 @@ def test_template_drops_fixed_wording_without_an_article(spark):
     assert len(t) == 1 and '"<div.x"' in t[0].template
 
 
+@pytest.mark.parametrize(
+    "body,want",
+    [
+        ("<p class='notice'>x</p><p>body</p>", "x\nbody"),
+        ("<span hidden>x</span> <span>y</span><p hidden>z</p><p>body</p>", "y\nbody"),
+        ("<p hidden>x<p>body<ul><li hidden>a<li>b</ul><div class='notice'><div>c</div></div>d", "body\nb\nd"),
+        ("<span hidden>x<span>y</span>z</span>body", "body"),
+        ("<div style='overflow:hidden'>a</div><div aria-hidden='false'>b</div><div data-title='The hidden valley' data-id='ad'>c</div>", "a\nb\nc"),
+        ("<h2 id='search-algorithms'>a</h2><section id='social-history'>b</section><section id='related'>c</section><div class='ad'>d</div>", "a\nb"),
+    ],
+)
+def test_text_beside_away_elements_stays(body, want):
+    for tag in ("article", "main class='has-sidebar'", "article style='overflow:hidden'"):
+        assert template.extract(f"<body><{tag}>{body}</{tag.split()[0]}></body>", template.Frame(None)) == want
+
+
 def test_classes_nest():
     out = template.nested([(4, [(0.0, "<a"), (5.0, "</a"), (9.0, "<z")]), (3, [(1.0, "<b"), (2.0, "<c")]), (2, [(4.0, "<d"), (6.0, "<e")])])
     assert [c["tokens"] for c in out] == [["<a", "</a", "<z"], ["<b", "<c"]] and (out[1]["parent"], out[1]["slot"]) == (0, 1)
