@@ -8,12 +8,11 @@
    large and frequent: at least ``min_size`` tokens, one occurrence a page, on at least
    ``min_share`` of at least ``min_pages`` pages. Classes are nested by the mean places of their
    tokens: a class lies in the slot of the parent whose bounding tokens enclose it.
-3. A page is read against its host's template. Template tags give its frame, and what lies
-   between them are the slots. Slots in an article or main element are kept, save for parts
+3. A page is cut into slots by its own tags. Where it has an article or main element, static rules
+   decide and the template does not: slots in such an element are kept, save for parts
    that markup declares as menu, header, footer, sidebar, notice, advert, form or comments.
    A page without such an element keeps all slots outside those parts, less the text blocks
-   that belong to a valid class (the host's fixed wording). Pages of hosts without a valid class
-   are framed by their own sectioning tags. Every element is closed by its own end tag, by its
+   that belong to a valid class (the host's fixed wording). Every element is closed by its own end tag, by its
    parent's, or by a start tag that implies its end; class and id words count on containers only.
 
 Inside kept slots nothing is dropped. References are decoded, white space within a block
@@ -185,11 +184,10 @@ def nested(classes: list[tuple[int, list[tuple[float, str]]]]) -> list[dict]:
 
 
 class Frame:
-    """The tokens of a host's template."""
+    """The fixed wording of a host's template."""
 
     def __init__(self, template: str | None):
         classes = json.loads(template) if template else []
-        self.tags = {t for c in classes for t in c["tokens"] if t[0] == "<"}
         self.texts = {t for c in classes for t in c["tokens"] if t[0] == "#"}
 
 
