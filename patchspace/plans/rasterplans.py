@@ -260,7 +260,7 @@ def sparse_acquisition(spark, sf_dir):
 @query("corpus_fill")
 def corpus_fill(spark, sf_dir):
     """Many small images side by side: documents as character rasters."""
-    r = rasters.document_corpus(spark, sf_dir).where("image_id % 20 = 0 AND y < 40")
+    r = rasters.document_corpus(spark, sf_dir)
     m = masks.hole_mask(r, 8)
     return metrics.fill_quality(fill.inpaint(masks.damage(r, m), "zcurve", k=7, order="onion"), r, m)
 

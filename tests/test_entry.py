@@ -1,5 +1,6 @@
 """The registry, and that the rest works without the training-data operators."""
 
+import random
 import subprocess
 import sys
 from pathlib import Path
@@ -26,3 +27,13 @@ def test_entry_runs(spark):
     import __spark_entry__ as e
 
     assert e.entry(spark).count() == 10
+
+
+def test_corpus_fill_takes_every_document(spark, tmp_path):
+    from patchspace.plans import load
+
+    rng = random.Random(3)
+    rows = [(i, "".join(rng.choice("abcdef ") for _ in range(n))) for i, n in ((1, 1100), (20, 2048), (33, 1500))]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.image_id for r in load()[0]["corpus_fill"](spark, str(tmp_path)).collect()}
+    assert got == {1, 20, 33}
