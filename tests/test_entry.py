@@ -1,10 +1,14 @@
 """The registry, and that the rest works without the training-data operators."""
 
+import os
 import random
+import shutil
 import subprocess
 import sys
 from pathlib import Path
 
+import pytest
+
 ROOT = Path(__file__).resolve().parent.parent
 
 
@@ -14,13 +18,17 @@ def test_sql_twins_belong_to_queries():
     assert set(e.oracle_sql()) <= set(e.queries()) and len(e.queries()) > 100
 
 
-def test_imports_without_the_llm_parts(tmp_path):
-    import shutil
-
-    shutil.copytree(ROOT / "patchspace", tmp_path / "patchspace", ignore=shutil.ignore_patterns("llm", "__pycache__"))
-    shutil.copy(ROOT / "__spark_entry__.py", tmp_path)
-    code = "import __spark_entry__ as e; q = e.queries(); assert q and not any(n.startswith('op') or n == 'pipeline' for n in q); e.oracle_sql()"
-    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, timeout=120)
+@pytest.mark.parametrize("pipeline_stays", [True, False])
+def test_imports_without_the_llm_parts(tmp_path, pipeline_stays):
+    """The whole tree less both folders, with nothing of this tree on the path."""
+    gone = shutil.ignore_patterns("llm", "__pycache__", ".git", *([] if pipeline_stays else ["corpus_pipeline.py"]))
+    tree = tmp_path / "tree"
+    shutil.copytree(ROOT, tree, ignore=gone)
+    code = "import __spark_entry__ as e; q = e.queries(); assert q and not any(n.startswith('op') or n == 'pipeline' for n in q); assert set(e.oracle_sql()) <= set(q); import bench"
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    subprocess.run([sys.executable, "-c", code], cwd=tree, env=env, check=True, timeout=120)
+    # and with the other tree still on the path, as a driver may have it
+    subprocess.run([sys.executable, "-c", code], cwd=tree, env=env | {"PYTHONPATH": f"{tree}:{ROOT}"}, check=True, timeout=120)
 
 
 def test_entry_runs(spark):
