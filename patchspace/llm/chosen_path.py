@@ -25,7 +25,8 @@ the rest works on one representative (the smallest identifier) of each class.
    identifier.
 
 Null and empty texts have an empty set and are linked with nothing. Null identifiers are kept
-as rows of their own with a null component. Repeated rows have equal sets, so share a class.
+as rows of their own with a null component. Repeated rows have equal sets, so share a class. Texts
+that share an identifier are nodes of their own, so they link nothing but what they are alike to.
 """
 
 from __future__ import annotations
@@ -48,10 +49,10 @@ RECALL, BUCKET_BITS, CELL_ROWS = 0.99, 20, 512
 
 
 def sketches(docs: DataFrame, words: int, trees: int = TREES, id_col: str = "doc_id", text_col: str = "text", seed: int = 1) -> DataFrame:
-    """doc_id, n_shingles, f1, f2 (fingerprint), roots (full minwise tokens), sketch (bytes)."""
+    """doc_id, text_key, n_shingles, f1, f2 (fingerprint), roots (full minwise tokens), sketch (bytes)."""
     ship(docs.sparkSession)
     odd = np.random.default_rng(seed).integers(1 << 62, size=COORDINATES, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
-    names = ["doc_id", "n_shingles", "f1", "f2", "roots", "sketch"]
+    names = ["doc_id", "text_key", "n_shingles", "f1", "f2", "roots", "sketch"]
 
     def make(batches):
         for batch in batches:
@@ -72,10 +73,11 @@ def sketches(docs: DataFrame, words: int, trees: int = TREES, id_col: str = "doc
                         mins[full, c] = np.minimum.reduceat(mix((h * odd[c]) ^ M2) if c < trees else h * odd[c], starts)
                     sketch = (mix(mins) >> np.uint64(56)).astype(np.uint8)
                 roots = pa.FixedSizeListArray.from_arrays(pa.array(mins[:, :trees].astype(np.int64).ravel()), trees).cast(pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(n), pa.array(f[0].view(np.int64)), pa.array(f[1].view(np.int64)), roots, pa.array([x.tobytes() for x in sketch], pa.binary())], names=names)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(n), pa.array(f[0].view(np.int64)), pa.array(f[1].view(np.int64)), roots, pa.array([x.tobytes() for x in sketch], pa.binary())], names=names)
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return rows.mapInArrow(make, "doc_id long, n_shingles long, f1 long, f2 long, roots array<long>, sketch binary")
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), text.alias("text"))
+    return rows.mapInArrow(make, "doc_id long, text_key long, n_shingles long, f1 long, f2 long, roots array<long>, sketch binary")
 
 
 def grow(reps: DataFrame, trees: int = TREES, leaf_rows: int = LEAF_ROWS) -> tuple[list[DataFrame], list[DataFrame]]:
@@ -287,8 +289,18 @@ def links_of_group(doc: list[int], sets: list[np.ndarray], percent: int) -> list
     return found
 
 
-def confirm(docs: DataFrame, groups: DataFrame, words: int, percent: int, id_col: str, text_col: str) -> DataFrame:
-    """Confirmed links (a, b) within groups(group, doc_id), read from whole texts."""
+def keyed_texts(docs: DataFrame, id_col: str, text_col: str, repeated: DataFrame | None) -> DataFrame:
+    """_id, text. Where texts share an identifier (a row of ``repeated``), each has a key of its own."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.col(id_col).cast("long").alias("_id"), text.alias("text"))
+    if repeated is None:
+        return rows
+    marked = rows.join(repeated.select(F.col("doc_id").alias("_again")), F.col("_id") == F.col("_again"), "left")
+    return marked.select(F.when(F.col("_again").isNotNull(), F.xxhash64("_id", F.xxhash64("text"))).otherwise(F.col("_id")).alias("_id"), "text")
+
+
+def confirm(texts: DataFrame, groups: DataFrame, words: int, percent: int) -> DataFrame:
+    """Confirmed links (a, b) within groups(group, doc_id), read from whole texts(_id, text)."""
 
     def check(batches):
         for t in _runs(batches, "group"):
@@ -315,13 +327,12 @@ def confirm(docs: DataFrame, groups: DataFrame, words: int, percent: int, id_col
                     yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=_pairs_schema())
                 at = end
 
-    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     rows = groups.join(texts, F.col("doc_id") == F.col("_id")).select("group", "doc_id", "text")
     dealt = rows.repartition("group").sortWithinPartitions("group", "doc_id")
     return dealt.mapInArrow(check, "a long, b long")
 
 
-def exact_links(docs: DataFrame, rows: DataFrame, words: int, percent: int, id_col: str, text_col: str) -> DataFrame:
+def exact_links(texts: DataFrame, rows: DataFrame, words: int, percent: int) -> DataFrame:
     """Confirmed links (a, b) among rows(doc_id, component) of different components, none missed.
 
     A prefix join: shingles have one global order, rarest first, and the first common shingle of
@@ -329,7 +340,6 @@ def exact_links(docs: DataFrame, rows: DataFrame, words: int, percent: int, id_c
     room for below that shingle bounds the common part. A shingle of many rows is dealt over cells,
     a cell being a pair of blocks of its rows, so no key has to fit in one task.
     """
-    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     rows = staged(rows.join(texts, F.col("doc_id") == F.col("_id")).select("doc_id", "component", "text"), "path-exact")
     shift = np.uint64(64 - BUCKET_BITS)
 
@@ -387,17 +397,31 @@ def exact_links(docs: DataFrame, rows: DataFrame, words: int, percent: int, id_c
     met = met.select(cell, "own", (F.col("own") == F.col("other")).alias("diagonal"), "place", "doc_id", "component", "n_shingles")
     pairs = staged(met.repartition("cell").sortWithinPartitions("cell").mapInArrow(meet, "a long, b long").distinct(), "path-met")
     pair_rows = pairs.select(F.xxhash64("a", "b").alias("group"), F.explode(F.array("a", "b")).alias("doc_id"))
-    return confirm(docs, pair_rows, words, percent, id_col, text_col)
+    return confirm(texts, pair_rows, words, percent)
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, leaf_rows: int = LEAF_ROWS, id_col: str = "doc_id", text_col: str = "text", group_rows: int = GROUP_ROWS, group_shingles: int = GROUP_SHINGLES, recall: float = RECALL) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept: a row per row of ``docs``."""
+    """doc_id, n_shingles, component_id, kept, text_key, first: a row per row of ``docs``.
+
+    ``text_key`` is xxhash64 of the text. ``first`` marks one text of each component (the texts with the
+    smallest identifier and, of several under it, one): it differs from ``kept`` only where an
+    identifier has several texts, which then are documents of their own.
+    """
     all_rows = staged(sketches(docs, words, trees, id_col, text_col), "path-sketches")
+    repeated = staged(all_rows.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("text_key").alias("lo"), F.max("text_key").alias("hi")).where("lo <> hi").select("doc_id"), "path-repeated")
+    if repeated.isEmpty():
+        repeated = None
+        all_rows = all_rows.withColumn("node", F.col("doc_id"))
+    else:
+        again = repeated.select(F.col("doc_id").alias("_again"))
+        own_key = F.when(F.col("_again").isNotNull(), F.xxhash64("doc_id", "text_key")).otherwise(F.col("doc_id"))
+        all_rows = staged(all_rows.join(again, F.col("doc_id") == F.col("_again"), "left").withColumn("node", own_key).drop("_again"), "path-nodes")
+    texts = keyed_texts(docs, id_col, text_col, repeated)
     some = all_rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    classes = staged(some.groupBy("n_shingles", "f1", "f2").agg(F.min("doc_id").alias("rep")), "path-classes")
+    classes = staged(some.groupBy("n_shingles", "f1", "f2").agg(F.min(F.struct("doc_id", "node")).alias("r")).select("n_shingles", "f1", "f2", F.col("r.doc_id").alias("rep_id"), F.col("r.node").alias("rep")), "path-classes")
     own = classes.select(F.col("rep").alias("_rep"), F.col("f1").alias("_f1"), F.col("f2").alias("_f2"))
-    reps = some.join(own, (F.col("doc_id") == F.col("_rep")) & (F.col("f1") == F.col("_f1")) & (F.col("f2") == F.col("_f2")), "left_semi")
-    reps = staged(reps.dropDuplicates(["doc_id", "f1", "f2"]).select("doc_id", "n_shingles", "roots", "sketch"), "path-reps")
+    reps = some.join(own, (F.col("node") == F.col("_rep")) & (F.col("f1") == F.col("_f1")) & (F.col("f2") == F.col("_f2")), "left_semi")
+    reps = staged(reps.dropDuplicates(["node"]).select(F.col("node").alias("doc_id"), "n_shingles", "roots", "sketch"), "path-reps")
     leaves, stars = grow(reps, trees, leaf_rows)
     exact = deep_rows(leaves, percent, trees, recall)
     pairs = compare_leaves(_union(leaves), percent)
@@ -408,30 +432,31 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, trees: i
     sizes = sizes.groupBy("component").agg(F.count("*").alias("rows"), F.sum("n_shingles").alias("total"))
     big = staged(sizes.where(f"rows > {group_rows} OR total > {group_shingles}").select("component"), "path-big")
     groups = loose.join(big, "component", "left_anti").select(F.col("component").alias("group"), F.col("node").alias("doc_id"))
-    links = confirm(docs, groups, words, percent, id_col, text_col)
-    if big.limit(1).count():
+    links = confirm(texts, groups, words, percent)
+    if not big.isEmpty():
+        # leaves of trees over a large group link most of it cheaply; the exact join below links the rest
         rest = reps.join(loose.join(big, "component", "left_semi").select(F.col("node").alias("_n")), F.col("doc_id") == F.col("_n"), "left_semi")
-        per_tree = max(2, leaf_rows // 4)
-        own_leaves, own_stars = grow(rest, trees, per_tree)
-        links = links.unionByName(confirm(docs, _union(own_leaves).select(F.col("node").alias("group"), "doc_id"), words, percent, id_col, text_col))
-        for s in own_stars:  # the hub of a branching node with each of its rows, pair by pair
-            near = compare_stars(s, percent).distinct()
-            pair_rows = near.select(F.xxhash64("a", "b").alias("group"), F.explode(F.array("a", "b")).alias("doc_id"))
-            links = links.unionByName(confirm(docs, pair_rows, words, percent, id_col, text_col))
+        own_leaves, _ = grow(rest, trees, max(2, leaf_rows // 4))
+        links = links.unionByName(confirm(texts, _union(own_leaves).select(F.col("node").alias("group"), "doc_id"), words, percent))
         exact = rest.select("doc_id") if exact is None else exact.unionByName(rest.select("doc_id"))
     if exact is not None:
         links = staged(links, "path-links")
         known = staged(components(links), "path-known")
         rows = exact.distinct().join(known, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("component", "doc_id").alias("component"))
-        links = links.unionByName(staged(exact_links(docs, rows, words, percent, id_col, text_col), "path-exact-links"))
+        links = links.unionByName(staged(exact_links(texts, rows, words, percent), "path-exact-links"))
     linked = staged(components(links), "path-linked")
-    named = classes.join(linked, F.col("rep") == F.col("node"), "left").select("n_shingles", "f1", "f2", F.coalesce("component", "rep").alias("component_id"))
-    named = staged(named, "path-named")
-    out = all_rows.select("doc_id", "n_shingles", "f1", "f2").join(named, ["n_shingles", "f1", "f2"], "left")
+    named = classes.join(linked, F.col("rep") == F.col("node"), "left").select("n_shingles", "f1", "f2", "rep_id", "rep", F.coalesce("component", "rep").alias("component"))
+    if repeated is None:
+        named = named.withColumn("component_id", F.col("component")).withColumn("first_node", F.col("component"))
+    else:
+        least = named.groupBy("component").agg(F.min(F.struct("rep_id", "rep")).alias("l")).select("component", F.col("l.rep_id").alias("component_id"), F.col("l.rep").alias("first_node"))
+        named = named.join(least, "component")
+    named = staged(named.select("n_shingles", "f1", "f2", "component_id", "first_node"), "path-named")
+    out = all_rows.select("doc_id", "node", "text_key", "n_shingles", "f1", "f2").join(named, ["n_shingles", "f1", "f2"], "left")
     component = F.when(F.col("doc_id").isNull(), F.lit(None)).otherwise(F.coalesce("component_id", "doc_id")).cast("long")
-    out = out.select("doc_id", "n_shingles", component.alias("component_id"))
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    out = out.select("doc_id", "n_shingles", component.alias("component_id"), "text_key", F.coalesce(F.col("node") == F.col("first_node"), F.lit(True)).alias("first"))
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))).select("doc_id", "n_shingles", "component_id", "kept", "text_key", "first")
 
 
 def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"), words=3, percent=85)
+    return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"), words=3, percent=85).select("doc_id", "n_shingles", "component_id", "kept")
