@@ -1,7 +1,9 @@
 """Media columns: interleaved document sequences with payloads resolved by digest.
 
 A page is parsed to an ordered array of items, each either a text block or a reference to a
-medium: ``struct<position, kind, text, digest, caption>``. Payloads live in a media table of
+medium: ``struct<position, kind, text, digest, caption>``. A figure's caption belongs to the media
+directly in that figure, before or after it; media without one keep their own description; a
+caption outside figures is a text block. What scripts, styles and inert templates hold is no item. Payloads live in a media table of
 their own, a row per stored form, found by the digest of the payload. ``interleave`` parses,
 ``resolve`` joins by digest; position and caption come from the page, bytes from the store, so
 they stay aligned whatever the join does to row order.
@@ -28,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from patchspace.llm.spread import spread_join
 from patchspace.shared import ship, staged
 
 WIDTH = 64
@@ -153,8 +156,8 @@ class _Items(HTMLParser):
         self.items: list[dict] = []
         self.text: list[str] = []
         self.hidden = 0
-        self.figure: int | None = None
-        self.caption: list[str] | None = None
+        self.figures: list[dict] = []  # open figures: places of the media directly in them, caption
+        self.captions: list[tuple[dict, list[str]]] = []  # open captions, each of a figure
 
     def flush(self) -> None:
         words = re.sub(r"\s+", " ", "".join(self.text)).strip()
@@ -162,20 +165,35 @@ class _Items(HTMLParser):
         if words:
             self.items.append({"position": len(self.items), "kind": "text", "text": words, "digest": None, "caption": None})
 
+    def end_caption(self) -> None:
+        figure, parts = self.captions.pop()
+        figure["caption"] = figure["caption"] or re.sub(r"\s+", " ", "".join(parts)).strip()
+
+    def end_figure(self) -> None:
+        figure = self.figures.pop()
+        while self.captions and self.captions[-1][0] is figure:
+            self.end_caption()
+        for place in figure["media"] if figure["caption"] else ():
+            self.items[place]["caption"] = figure["caption"]
+
     def handle_starttag(self, tag, attrs):
         if tag in self.HIDDEN:
             self.hidden += 1
+        if self.hidden:
+            return
         if tag in self.BLOCK or tag in self.MEDIA:
             self.flush()
         if tag == "figure":
-            self.figure = len(self.items)
-        elif tag == "figcaption":
-            self.caption = []
+            self.figures.append({"media": [], "caption": None})
+        elif tag == "figcaption" and self.figures:
+            self.captions.append((self.figures[-1], []))
         elif tag in self.MEDIA:
             own = dict(attrs)
             ref = own.get(self.MEDIA[tag])
             if ref:
                 digest = ref[len(SCHEME) :] if ref.startswith(SCHEME) else None
+                if self.figures:
+                    self.figures[-1]["media"].append(len(self.items))
                 self.items.append({"position": len(self.items), "kind": "media", "text": None if digest else ref, "digest": digest, "caption": own.get("alt") or None})
 
     def handle_startendtag(self, tag, attrs):
@@ -186,29 +204,31 @@ class _Items(HTMLParser):
     def handle_endtag(self, tag):
         if tag in self.HIDDEN:
             self.hidden = max(0, self.hidden - 1)
-        if tag == "figcaption" and self.caption is not None:
-            words = re.sub(r"\s+", " ", "".join(self.caption)).strip()
-            for item in self.items[self.figure or 0 :]:
-                if item["kind"] == "media" and words:
-                    item["caption"] = words
-            self.caption = None
-        elif tag in self.BLOCK:
+        if self.hidden:
+            return
+        if tag in self.BLOCK:
             self.flush()
-        if tag == "figure":
-            self.figure = None
+        if tag == "figcaption" and self.captions:
+            self.end_caption()
+        elif tag == "figure" and self.figures:
+            self.end_figure()
 
     def handle_data(self, data):
-        if self.hidden:
-            return
-        (self.text if self.caption is None else self.caption).append(data)
+        if not self.hidden:
+            (self.captions[-1][1] if self.captions else self.text).append(data)
+
+    def finish(self) -> list[dict]:
+        self.close()
+        self.flush()
+        while self.figures:
+            self.end_figure()
+        return self.items
 
 
 def parse_items(html: str | None) -> list[dict]:
     p = _Items()
     p.feed(html or "")
-    p.close()
-    p.flush()
-    return p.items
+    return p.finish()
 
 
 def interleave(pages: DataFrame, html_col: str = "html") -> DataFrame:
@@ -226,13 +246,17 @@ def interleave(pages: DataFrame, html_col: str = "html") -> DataFrame:
 
 
 def resolve(pages: DataFrame, media: DataFrame, key: list[str]) -> DataFrame:
-    """One row per item in page order columns, with the media row of its digest joined on.
+    """One row per item, with the media row of its digest joined on; ``key`` and position tell the order.
 
-    ``media`` holds one row per digest. A digest that most references share is spread by
-    the adaptive join, as both sides are plain shuffles of tables.
+    ``media`` holds one row per digest, whatever its columns: stored bytes, features. References to
+    a popular digest are counted first and dealt over many tasks.
     """
     flat = pages.select(*key, F.explode("items").alias("item")).select(*key, "item.*")
-    return flat.join(media, "digest", "left")
+    uses = flat.where("digest IS NOT NULL").groupBy("digest").agg(F.count("*").alias("n"))
+    uses = staged(uses, "media-uses")
+    total = uses.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    found = media.join(uses, "digest")  # a medium that nothing refers to takes no part
+    return spread_join(flat, found, "digest", total, F.xxhash64(*key, "position"), "left")
 
 
 def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
