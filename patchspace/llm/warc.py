@@ -27,6 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from patchspace.llm.spread import spread_join
 from patchspace.shared import new_path, open_fs, ship, staged
 
 MIN_REVISIT, CHUNK = 100, 1 << 20
@@ -39,15 +40,18 @@ CHUNKS = "page_id long, record_type string, refers_to long, declared_bytes long,
 def decide(pages: DataFrame, id_col: str = "page_id", payload_col: str = "html", min_revisit: int = MIN_REVISIT) -> DataFrame:
     """The pages as page_id, url, payload, digest, refers_to (null for a response).
 
-    Only digests and identifiers are grouped; payloads are not shuffled for it. Digests that
-    occur once cannot be revisited, so only the rest take part in the join.
+    Grouping moves digests and identifiers only. Digests that occur once cannot be revisited, so
+    the rest make a table (a row per repeated payload) that is joined on: while it is small Spark
+    broadcasts it; beyond that payloads are shuffled once, and those of a frequent digest are dealt
+    over many tasks.
     """
     payload = F.encode(F.coalesce(F.col(payload_col), F.lit("")), "UTF-8")
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.coalesce(F.col("url"), F.lit("")).alias("url"), payload.alias("payload"))
     rows = rows.withColumn("digest", F.sha2("payload", 256))
     small = rows.where(F.octet_length("payload") >= min_revisit).select("page_id", "digest")
-    firsts = staged(small.groupBy("digest").agg(F.min("page_id").alias("refers_to"), F.count("*").alias("n")).where("n > 1").select("digest", "refers_to"), "warc-firsts")
-    return rows.join(firsts, "digest", "left").withColumn("refers_to", F.when(F.col("page_id") != F.col("refers_to"), F.col("refers_to")))
+    firsts = staged(small.groupBy("digest").agg(F.min("page_id").alias("refers_to"), F.count("*").alias("n")).where("n > 1"), "warc-firsts")
+    total = firsts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    return spread_join(rows, firsts, "digest", total, F.xxhash64("page_id", "url"), "left").withColumn("refers_to", F.when(F.col("page_id") != F.col("refers_to"), F.col("refers_to")))
 
 
 def _head(row: dict, n: int) -> bytes:
