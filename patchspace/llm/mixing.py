@@ -13,7 +13,8 @@ Positions are prefix sums of two levels (within hash ranges of a source, then ov
 sums), so a source of any size is spread over as many tasks as it has ranges.
 
 Null text counts no tokens; null sources form one source of their own; repeated rows are mixed
-row by row; a table without tokens keeps every row once. Other columns may have any name.
+row by row; a table without tokens keeps every row once, and the documents of a source without
+tokens are dealt evenly over the blocks. Other columns may have any name.
 """
 
 from __future__ import annotations
@@ -27,7 +28,7 @@ from pyspark.sql.window import Window
 from patchspace.shared import staged
 
 MAX_REPEATS, ENTROPY_SHARE, BLOCK_TOKENS, SEED = 2.0, 1.0, 1 << 20, 7
-STEPS = 48  # of the bisection; halves an interval of length 1 each time
+STEPS, HALVINGS = 48, 8  # of the bisection in all, and in one pass over the sources
 NO_SOURCE = "\x00"
 
 
@@ -42,58 +43,55 @@ def _unit(*cols: Column) -> Column:
     return F.pmod(F.xxhash64(*cols), F.lit(1 << 52)) / F.lit(float(1 << 52))
 
 
-def solve_exponent(shares: Column, target_entropy: Column, limit: Column) -> Column:
-    """The exponent for an array of positive shares; one row, higher-order functions only."""
+def solve_exponent(by: DataFrame, all_tokens: float, target_entropy: float, limit: float) -> float:
+    """The exponent for the sources of ``by`` (column tokens, positive), by bisection.
 
-    def powers(a: Column) -> Column:
-        return F.transform(shares, lambda p: F.pow(p, a))
-
-    def total(xs: Column) -> Column:
-        return F.aggregate(xs, F.lit(0.0), lambda s, x: s + x)
-
-    def entropy(a: Column) -> Column:
-        return F.aggregate(powers(a), F.struct(F.lit(0.0).alias("z"), F.lit(0.0).alias("t")), lambda s, x: F.struct((s.z + x).alias("z"), (s.t + F.when(x > 0, x * F.ln(x)).otherwise(0.0)).alias("t")), lambda s: F.ln(s.z) - s.t / s.z)
-
-    def repeats(a: Column) -> Column:
-        """Largest over smallest number of passes over a source."""
-        rates = F.transform(shares, lambda p: F.pow(p, a - 1.0))
-        return F.array_max(rates) / F.array_min(rates)
-
-    def bisect(low_ok) -> Column:
-        start = F.struct(F.lit(0.0).alias("lo"), F.lit(1.0).alias("hi"))
-
-        def step(s: Column, _: Column) -> Column:
-            mid = (s.lo + s.hi) / 2
-            ok = low_ok(mid)
-            return F.struct(F.when(ok, mid).otherwise(s.lo).alias("lo"), F.when(ok, s.hi).otherwise(mid).alias("hi"))
-
-        return F.aggregate(F.sequence(F.lit(1), F.lit(STEPS)), start, step)
-
-    by_entropy = bisect(lambda a: entropy(a) >= target_entropy).lo
-    by_repeats = bisect(lambda a: repeats(a) > limit).hi
-    by_repeats = F.when(repeats(F.lit(0.0)) <= limit, F.lit(0.0)).otherwise(by_repeats)
-    return F.greatest(by_entropy, by_repeats)
+    Entropy falls and repeats fall as the exponent rises, so both conditions are bisected on
+    [0, 1], ``HALVINGS`` halvings in one pass over the sources: a pass evaluates all the
+    midpoints that these halvings could ask for, as sums that combine before the shuffle. Sources
+    are never gathered, however many there are.
+    """
+    share = F.col("tokens") / F.lit(all_tokens)
+
+    def bisect(high_enough) -> float:
+        """The least exponent that ``high_enough`` holds for, within 2 ** -STEPS."""
+        lo, hi = 0.0, 1.0
+        for _ in range(STEPS // HALVINGS):
+            n = 1 << HALVINGS
+            mids = [lo + (hi - lo) * i / n for i in range(1, n)]
+            power = F.pow("p", "a")
+            at = by.select(share.alias("p"), F.explode(F.array(*[F.lit(a) for a in mids])).alias("a"))
+            sums = at.groupBy("a").agg(F.sum(power).alias("z"), F.sum(F.when(power > 0, power * F.ln(power)).otherwise(0.0)).alias("t"), F.max(F.pow("p", F.col("a") - 1)).alias("most"), F.min(F.pow("p", F.col("a") - 1)).alias("least"))
+            ok = {r.a: high_enough(r) for r in sums.collect()}  # a row per midpoint
+            first = next((i for i, a in enumerate(mids) if ok[a]), n - 1)
+            lo, hi = lo + (hi - lo) * first / n, lo + (hi - lo) * (first + 1) / n
+        return hi
+
+    ends = by.select(F.max(share).alias("most"), F.min(share).alias("least")).first()
+    by_entropy = bisect(lambda r: math.log(r.z) - r.t / r.z < target_entropy)
+    by_repeats = 0.0 if ends.most / ends.least <= limit else bisect(lambda r: r.most / r.least <= limit)
+    return max(0.0 if by_entropy <= 2.0 ** (2 - STEPS) else by_entropy, by_repeats)
 
 
 def weights(rows: DataFrame, entropy_share: float = ENTROPY_SHARE, max_repeats: float = MAX_REPEATS, budget: float | None = None) -> DataFrame:
-    """One row per source: source_key, tokens, docs, exponent, weight, target_tokens, rate.
+    """One row per source: source_key, tokens, docs, exponent, weight, target_tokens, rate, budget.
 
     ``entropy_share``: target entropy as a part of the largest possible, ln of the number of
     sources. ``rate`` is the number of passes over the source.
     """
-    by = rows.groupBy("source_key").agg(F.sum("n_tokens").alias("tokens"), F.count("*").alias("docs"))
-    one = by.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("all_tokens"), F.collect_list(F.when(F.col("tokens") > 0, F.col("tokens").cast("double"))).alias("parts"))
-    one = one.withColumn("shares", F.transform("parts", lambda t: t / F.col("all_tokens")))
-    target = F.ln(F.greatest(F.size("shares"), F.lit(1))) * entropy_share - 1e-12
-    one = one.withColumn("exponent", F.when(F.size("shares") == 0, F.lit(1.0)).otherwise(solve_exponent(F.col("shares"), target, F.lit(float(max_repeats)))))
-    one = one.withColumn("norm", F.aggregate("shares", F.lit(0.0), lambda s, p: s + F.pow(p, F.col("exponent"))))
-    full = F.lit(float(budget)) if budget is not None else F.col("all_tokens") * F.array_max(F.transform("shares", lambda p: F.pow(p, 1.0 - F.col("exponent")))) * F.col("norm")
-    one = one.select("all_tokens", "exponent", "norm", full.alias("budget"))
-    out = by.crossJoin(F.broadcast(one))  # one row
-    weight = F.when(F.col("tokens") > 0, F.pow(F.col("tokens") / F.col("all_tokens"), "exponent") / F.col("norm")).otherwise(0.0)
-    out = out.withColumn("weight", weight).withColumn("target_tokens", F.coalesce(F.col("weight") * F.col("budget"), F.lit(0.0)))
+    by = staged(rows.groupBy("source_key").agg(F.sum("n_tokens").alias("tokens"), F.count("*").alias("docs")), "mix-sources")
+    some = by.where("tokens > 0")
+    facts = some.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("all"), F.count("*").alias("n")).first()
+    exponent = solve_exponent(some, float(facts["all"]), math.log(max(1, facts.n)) * entropy_share - 1e-12, float(max_repeats)) if facts.n else 1.0
+    share = F.col("tokens") / F.lit(float(max(1, facts["all"])))
+    powers = some.agg(F.sum(F.pow(share, F.lit(exponent))).alias("norm"), F.max(F.pow(share, F.lit(1.0 - exponent))).alias("most")).first()
+    norm = powers.norm or 1.0
+    full = float(budget) if budget is not None else facts["all"] * (powers.most or 0.0) * norm
+    weight = F.when(F.col("tokens") > 0, F.pow(share, F.lit(exponent)) / norm).otherwise(0.0)
+    out = by.withColumn("exponent", F.lit(exponent)).withColumn("weight", weight).withColumn("target_tokens", F.col("weight") * full)
     rate = F.when(F.col("tokens") > 0, F.col("target_tokens") / F.col("tokens")).otherwise(1.0)
-    return out.withColumn("rate", rate).withColumn("full_epochs", F.floor(F.col("rate") + 1e-9).cast("int"))
+    out = out.withColumn("rate", rate).withColumn("full_epochs", F.floor(F.col("rate") + 1e-9).cast("int"))
+    return out.withColumn("budget", F.lit(full))
 
 
 def _lean(docs: DataFrame, id_col: str, source_col: str, text_col: str) -> DataFrame:
@@ -105,7 +103,10 @@ def plan_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source"
     rows = staged(_lean(docs, id_col, source_col, text_col), "mix-rows")
     w = staged(weights(rows, entropy_share, max_repeats, budget), "mix-weights")
     occ = _streams(rows, w, seed)
-    block = F.floor(F.col("start_token") / F.greatest(F.col("weight") * block_tokens, F.lit(1.0))).cast("long")
+    block = F.floor(F.col("start_token") / F.greatest(F.col("weight") * block_tokens, F.lit(1.0)))
+    # a source without tokens has no share of a block: its documents are dealt evenly over all blocks
+    n_blocks = F.greatest(F.ceil(F.col("budget") / block_tokens), F.ceil(F.col("docs") / block_tokens), F.lit(1))
+    block = F.when(F.col("tokens") > 0, block).otherwise(F.floor(F.col("place") * n_blocks)).cast("long")
     occ = occ.select("doc_id", "source", "n_tokens", "epoch", "start_token", "place", block.alias("block"))
     order = Window.partitionBy("block").orderBy(F.xxhash64(F.lit(seed), F.lit("block"), "doc_id", "epoch"), "doc_id", "epoch", "place")
     occ = occ.withColumn("position", F.row_number().over(order) - 1)
@@ -116,7 +117,7 @@ def _streams(rows: DataFrame, w: DataFrame, seed: int) -> DataFrame:
     """Each document once per epoch in which its source's budget reaches it."""
     n = rows.count()
     ranges = max(1, math.isqrt(n))  # as many ranges as rows in a range: both levels stay small
-    joined = rows.join(w.select("source_key", "weight", "tokens", "target_tokens", "full_epochs"), "source_key")
+    joined = rows.join(w.select("source_key", "weight", "tokens", "docs", "budget", "target_tokens", "full_epochs"), "source_key")
     epochs = joined.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("full_epochs"))))
     epochs = epochs.withColumn("place", _unit(F.lit(seed), F.col("epoch"), F.col("doc_id"), F.col("source_key")))
     epochs = epochs.withColumn("range", F.floor(F.col("place") * ranges).cast("int"))
@@ -139,15 +140,15 @@ def apply_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source
     rows = staged(_lean(docs, id_col, source_col, text_col), "mix-rows")
     w = staged(weights(rows, entropy_share, max_repeats, budget), "mix-weights")
     last = _streams(rows, w, seed).where(F.col("epoch") == F.col("full_epochs"))
-    ends = last.groupBy("source_key").agg(F.max("place").alias("_until"))
-    cut = w.select(F.col("source_key").alias("_src"), F.col("full_epochs").alias("_full")).join(ends, F.col("_src") == F.col("source_key"), "left").drop("source_key")
-    cut = staged(cut, "mix-cut")
-    key = F.coalesce(docs[source_col].cast("string"), F.lit(NO_SOURCE))
-    joined = docs.withColumn("_key", key).join(cut, F.col("_key") == F.col("_src"))
-    place = _unit(F.lit(seed), F.col("_full"), F.col(id_col), F.col("_key"))
-    copies = F.col("_full") + F.when(place <= F.col("_until"), 1).otherwise(0)
-    many = joined.withColumn("_copies", copies).where("_copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
-    return many.select(*docs.columns)
+    ends = last.groupBy("source_key").agg(F.max("place").alias("until"))
+    cut = staged(w.select("source_key", "full_epochs").join(ends, "source_key", "left"), "mix-cut")
+    key = F.coalesce(F.col(source_col).cast("string"), F.lit(NO_SOURCE))
+    # the row travels as one struct, so that its columns may have any name
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), key.alias("source_key"), F.col(id_col).alias("id"))
+    joined = packed.join(cut, "source_key")
+    place = _unit(F.lit(seed), F.col("full_epochs"), F.col("id"), F.col("source_key"))
+    copies = F.col("full_epochs") + F.when(place <= F.col("until"), 1).otherwise(0)
+    return joined.where(copies > 0).select("row", F.explode(F.sequence(F.lit(1), copies)).alias("copy")).select("row.*")
 
 
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
