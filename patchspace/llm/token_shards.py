@@ -14,6 +14,8 @@ from __future__ import annotations
 
 import uuid
 import zlib
+from bisect import bisect_left
+from collections import OrderedDict
 
 import numpy as np
 import pyarrow as pa
@@ -122,31 +124,49 @@ def _scan(manifest: DataFrame, with_ids: bool) -> DataFrame:
     return _by_shard(spark, manifest).mapInArrow(read, schema)
 
 
-def lookup(manifest: DataFrame, wanted: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The ids of wanted identifiers: shards by key range, then filter, index and blocks.
+def lookup(manifest: DataFrame, wanted: DataFrame, id_col: str = "doc_id", open_shards: int = 8) -> DataFrame:
+    """The ids of wanted identifiers: shards by bisection over key ranges, then filter, index and blocks.
 
-    The range list of the shards is small (a row per file) and goes along as an expression;
-    each shard is opened by the tasks that hold requests for it.
+    The range list of the shards is small (a row per file) and goes along as an expression.
+    Requests are dealt and sorted by range, so a task needs neighbouring shards and keeps at most
+    ``open_shards`` of them open.
     """
     spark = manifest.sparkSession
     ship(spark)
-    shards = sorted(((r.min_id, r.max_id, r.path) for r in manifest.collect()), key=lambda r: (r[0] is not None, r[0] or 0))
+    rows = sorted(manifest.collect(), key=lambda r: r.shard)
+    nulls = [r.path for r in rows if r.min_id is None]
+    keyed = [(-(1 << 63) if r.min_id is None else r.min_id, r.max_id, r.path) for r in rows if r.max_id is not None]
+    highs = [r[1] for r in keyed]
+
+    def paths(x):
+        if x is None:
+            yield from nulls
+            return
+        at = bisect_left(highs, x)  # equal identifiers may lie in neighbouring shards
+        while at < len(keyed) and keyed[at][0] <= x:
+            yield keyed[at][2]
+            at += 1
 
     def find(batches):
-        open_files: dict[str, Reader] = {}
+        opened: OrderedDict[str, tuple] = OrderedDict()
         for batch in batches:
-            rows = []
+            out = []
             for x in batch.column(0).to_pylist():
-                for low, high, path in shards:
-                    if x is None and low is None or x is not None and (low is None or low <= x) and (high is not None and x <= high):
-                        if path not in open_files:
-                            fs, name = open_fs(path)
-                            open_files[path] = Reader(fs.open_input_file(name))
-                        rows += [{"doc_id": x, "ids": v.astype("<u4").tobytes(), "n_tokens": len(v)} for v in open_files[path].get_all(x)]
-            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.binary()), ("n_tokens", pa.int64())]))
+                for path in paths(x):
+                    if path not in opened:
+                        if len(opened) >= open_shards:
+                            opened.popitem(last=False)[1][0].close()
+                        fs, name = open_fs(path)
+                        f = fs.open_input_file(name)
+                        opened[path] = (f, Reader(f))
+                    opened.move_to_end(path)
+                    out += [{"doc_id": x, "ids": v.astype("<u4").tobytes(), "n_tokens": len(v)} for v in opened[path][1].get_all(x)]
+            yield pa.RecordBatch.from_pylist(out, schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.binary()), ("n_tokens", pa.int64())]))
+        for f, _ in opened.values():
+            f.close()
 
     keys = wanted.select(F.col(id_col).cast("long").alias("doc_id")).distinct()
-    return keys.sortWithinPartitions("doc_id").mapInArrow(find, "doc_id long, ids binary, n_tokens long")
+    return keys.repartitionByRange("doc_id").sortWithinPartitions("doc_id").mapInArrow(find, "doc_id long, ids binary, n_tokens long")
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
