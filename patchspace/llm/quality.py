@@ -239,19 +239,21 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col:
     """Word vectors from all documents, the network from a bounded labelled sample."""
     vectors = word_vectors(docs, text_col)
     usable = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull() & ~held_out(F.col(id_col)))
-    own = usable.groupBy(F.col(id_col).cast("long").alias("_id")).agg(F.max(label_col).cast("int").alias("_y"))
-    chosen = own.orderBy(F.xxhash64("_id"), "_id").limit(max_train)  # at most max_train small rows
-    rows = docs.join(F.broadcast(chosen), F.col(id_col) == F.col("_id"))
-    rows = rows.select(F.col("_id"), F.col("_y"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    own = usable.groupBy(F.col(id_col).cast("long").alias("c_id")).agg(F.max(label_col).cast("int").alias("y"))
+    chosen = own.orderBy(F.xxhash64("c_id"), "c_id").limit(max_train)  # at most max_train small rows
+    lean = docs.select(F.col(id_col).cast("long").alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    rows = lean.join(F.broadcast(chosen), F.col("i") == F.col("c_id")).select("i", "y", F.xxhash64("text").alias("k"), "text")
 
     def pool(batches):
         index = index_vectors().astype(np.float32)
         for batch in batches:
             for part in slices(batch):
                 x = features(part.column("text"), vectors, index)
-                yield pa.RecordBatch.from_arrays([part.column("_id"), part.column("_y"), pa.array([r.tobytes() for r in x], pa.binary())], names=["i", "y", "x"])
+                yield pa.RecordBatch.from_arrays([part.column("i"), part.column("y"), part.column("k"), pa.array([r.tobytes() for r in x], pa.binary())], names=["i", "y", "k", "x"])
 
-    got = rows.mapInArrow(pool, "i long, y int, x binary").dropDuplicates(["i"]).collect()
+    # of several texts of an identifier, the one of the least hash, so that the model depends on no row order
+    one = rows.mapInArrow(pool, "i long, y int, k long, x binary").groupBy("i").agg(F.min(F.struct("k", "y", "x")).alias("r"))
+    got = one.select("i", "r.y", "r.x").collect()  # at most max_train rows
     got.sort(key=lambda r: r.i)
     x = np.frombuffer(b"".join(r.x for r in got), np.float32).reshape(-1, FEATURES).astype(float)
     return train(x, np.array([r.y for r in got], float), vectors)
