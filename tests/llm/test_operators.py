@@ -3,6 +3,7 @@ and columns with clashing names, against a brute-force version."""
 
 import gzip
 import hashlib
+import json
 import math
 import re
 import zlib
@@ -182,6 +183,42 @@ def test_mixing_entropy_target_and_empty_table(spark):
     assert mixing.apply_mix(documents(spark, [(1, None, None), (2, "", "x")])[0]).count() == 2
 
 
+def test_mixing_keeps_columns_of_any_name(spark):
+    rows = [(i, "a b", "x" if i % 3 else "y", i, 2 * i, 3 * i, 4 * i, f"r{i}", 5 * i) for i in range(30)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, _key long, _copies long, _until long, copy long, `row` string, full_epochs long")
+    got = mixing.apply_mix(df)
+    assert got.columns == df.columns and {tuple(r) for r in got.collect()} == set(rows)
+
+
+def test_sources_without_tokens_are_dealt_over_blocks(spark):
+    rows = [(i, "w " * 10, "a") for i in range(200)] + [(1000 + i, "", "b") for i in range(200)]
+    occ, _ = mixing.plan_mix(documents(spark, rows)[0], block_tokens=100)
+    got = occ.collect()
+    assert len(got) >= 400 and len({r.block for r in got if r.source == "b"}) > 10
+
+
+def test_exponent_equals_a_plain_bisection(spark):
+    tokens = [5, 17, 100, 1000, 40000, 3]
+    by = spark.createDataFrame([(t,) for t in tokens], "tokens long")
+    p = np.array(tokens) / sum(tokens)
+
+    def entropy(a):
+        q = p**a / (p**a).sum()
+        return -(q * np.log(q)).sum()
+
+    for share, limit in ((0.8, 1e9), (1.0, 3.0), (0.5, 1.0), (0.0, 1e9)):
+        lo, hi = 0.0, 1.0
+        for _ in range(60):
+            mid = (lo + hi) / 2
+            lo, hi = (mid, hi) if entropy(mid) >= share * math.log(6) - 1e-12 else (lo, mid)
+        least, most = 0.0, 1.0
+        for _ in range(60):
+            mid = (least + most) / 2
+            r = p ** (mid - 1)
+            least, most = (least, mid) if r.max() / r.min() <= limit else (mid, most)
+        assert mixing.solve_exponent(by, float(sum(tokens)), share * math.log(6) - 1e-12, limit) == pytest.approx(max(lo, most if limit < 1e9 else 0.0), abs=1e-5)
+
+
 # op2
 
 
@@ -212,9 +249,77 @@ def test_interleaved_items(spark):
     assert flat[1, 1] == 7 and flat[1, 3] is None
 
 
+@pytest.mark.parametrize(
+    "html,want",
+    [
+        ('<img src="a"><img src="b" alt="own"><figcaption>stray</figcaption>', [("a", None), ("b", "own"), "stray"]),
+        ('<img src="a"><figure><img src="b"><figure><img src="c"><figcaption>in</figcaption></figure><figcaption>out</figcaption></figure>', [("a", None), ("b", "out"), ("c", "in")]),
+        ('<figure><figcaption>first<p>two</figcaption><img src="a"></figure><img src="b">', [("a", "firsttwo"), ("b", None)]),
+        ('<template><img src="a">t</template><figure><img src="b"><figcaption>open', [("b", "open")]),
+        ('</figure></figcaption>x<script><img src="a"></script>', ["x"]),
+    ],
+)
+def test_captions_stay_with_their_figure(html, want):
+    got = media.parse_items(html)
+    assert [(i["text"] or i["digest"], i["caption"]) if i["kind"] == "media" else i["text"] for i in got] == want
+    assert [i["position"] for i in got] == list(range(len(got)))
+
+
+def test_payloads_are_resolved_by_digest(spark, monkeypatch):
+    """Stored bytes come to their place in the page, also where one digest has most references."""
+    from patchspace.llm import spread
+
+    monkeypatch.setattr(spread, "HOT_ROWS", 4)
+    texts = ["hot", *(f"t{i}" for i in range(6))]
+    payloads = spark.createDataFrame([(t,) for t in texts], "text string").select(media.payload_of(F.col("text")).alias("payload"))
+    store = media.store_media(payloads)
+    digest = {t: hashlib.sha256(t.encode().ljust(64, b"\0")).hexdigest() for t in texts}
+    use = lambda i: texts[0] if i % 3 else texts[1 + i % 6]
+    pages = spark.createDataFrame([(i, f'<p>before {i}<img src="sha256:{digest[use(i)]}"><img src="sha256:00">') for i in range(40)], "page_id long, html string").repartition(3)
+    got = media.resolve(media.interleave(pages), store, ["page_id"]).collect()
+    assert len(got) == 120
+    for r in got:
+        if r.position == 1:
+            assert media.decode_png(bytes(r.media)).rstrip(b"\0").decode() == use(r.page_id)
+        else:
+            assert r.media is None and (r.text == f"before {r.page_id}") == (r.position == 0)
+
+
+def test_op2_features_equal_a_plain_computation(spark, tmp_path):
+    df, rows = documents(spark)
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    got = media.op2(spark, str(tmp_path)).collect()
+    assert len(got) == len(rows)
+    texts = defaultdict(list)
+    for i, t, _ in rows:
+        texts[i].append((t or "").encode())
+    for r in got:
+        raw = next(x for x in texts[r.doc_id] if len(x) == r.n_bytes)
+        p = raw + b"\0" * (-len(raw) % 64 if raw else 64)
+        assert (r.payload_bytes, r.payload_sha256, r.caption) == (len(p), hashlib.sha256(p).hexdigest(), f"Text of document {'null' if r.doc_id is None else r.doc_id}")
+        x = [list(p[k : k + 64]) for k in range(0, len(p), 64)]
+        flat = [v for line in x for v in line]
+        mean = sum(flat) / len(flat)
+        std = math.sqrt(sum((v - mean) ** 2 for v in flat) / len(flat))
+        parts = dict(f.split("=") for f in r.feature.split(";"))
+        assert int(parts["h"]) == len(x) and abs(float(parts["mean"]) - mean) < 1e-4 and abs(float(parts["std"]) - std) < 1e-4
+
+
 # op3
 
 
+def test_warc_of_a_hot_payload(spark, monkeypatch):
+    from patchspace.llm import spread
+
+    monkeypatch.setattr(spread, "HOT_ROWS", 4)
+    rows = [(i, f"u{i}", "h" * 200 if i % 2 else f"{i % 20} " * 100) for i in range(60)]
+    got = {r.page_id: r.refers_to for r in warc.decide(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    first = {}
+    for i, _, h in rows:
+        first.setdefault(h, i)
+    assert got == {i: None if first[h] == i else first[h] for i, _, h in rows}
+
+
 def test_warc_round_trip(spark):
     long = "x" * 250 + "é"
     rows = [(9, "u9", long), (3, "u3", long), (4, None, "short"), (5, "u5", "short"), (6, "u6", None), (7, "u7", ""), (None, "un", long), (8, "u\r\n8", "y" * 3000)]
@@ -258,6 +363,24 @@ def test_exact_top_k(spark, scale):
     assert annuli.top_k(df.limit(0), F.col("vec_id") % 20 == 0).count() == 0
 
 
+def test_far_annuli_are_not_shuffled(spark):
+    """Clusters far apart: a group of queries is paired with the blocks of its own cluster only."""
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(6, 8)) * 40
+    centres *= 100 / np.linalg.norm(centres, axis=1)[:, None]
+    vecs = [(i, (centres[i % 6] + rng.normal(size=8) * 0.2).tolist()) for i in range(900)]
+    df = spark.createDataFrame(vecs, "vec_id long, embedding array<double>").repartition(3)
+    rows = annuli.integers(df)
+    index, facts = annuli.build_index(rows, 5, F.col("vec_id") % 20 == 0, 24, 16, group_queries=4, group_rows=32)
+    every = index.where("kind = 'query'").select("grp").distinct().count() * index.where("kind = 'block'").select("grp").distinct().count()
+    assert annuli.pairs(index).count() < 0.6 * every
+    got = annuli.search(index, facts, 5).collect()
+    ok = {i: np.floor(64 * np.array(v)) for i, v in vecs}
+    for q in range(0, 900, 20):
+        want = sorted(((-int(ok[q] @ v), i) for i, v in ok.items() if i != q))[:5]
+        assert [(-r.score, r.vec_id) for r in sorted((r for r in got if r.query_id == q), key=lambda r: r.rank)] == want
+
+
 # op5
 
 
@@ -284,6 +407,58 @@ def test_template_drops_fixed_wording_without_an_article(spark):
     assert len(t) == 1 and '"<div.x"' in t[0].template
 
 
+def given_style(i, rng):
+    """A page of the given tables' shape, with a region that no list names, in and beside the article."""
+    say = lambda n: " ".join(f"w{x}" for x in rng.integers(0, 500, n))
+    nav = "".join(f"<li><a href='/{j}'>{say(1)}</a></li>" for j in range(5))
+    return f"<!DOCTYPE html><html><head><title>T</title></head><body><nav><ul>{nav}</ul></nav><div class='teaser-x'>{say(4)}</div><div class='ad'>{say(3)}</div><article><h1>{say(4)}</h1><p><b>{say(30)}<br><p>{say(20)}</p><div class='k7'><p>Always the same words.</p></div><p>{say(9)}</p></article><footer>&copy; {say(3)}</footer></body></html>"
+
+
+def test_the_template_decides_regions(spark):
+    rng = np.random.default_rng(4)
+    pages = [given_style(i, rng) for i in range(8)]
+    # no article element: only the amount of text in the host's slots tells the story from the teasers
+    plain = [p.replace("<article>", "<div class='s1'>").replace("</article>", "</div>") for p in pages]
+    rows = [(i, f"http://a.example/{i}", p) for i, p in enumerate(pages)] + [(100 + i, f"http://b.example/{i}", p) for i, p in enumerate(plain)] + [(200, "http://c.example/1", pages[0]), (201, "http://c.example/2", plain[0])]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    got = {r.page_id: r.text for r in template.main_text(df).collect()}
+    off = {i: template.extract(h, template.Frame(None)) for i, _, h in rows}
+    for i in range(8):
+        assert "Always the same words." in off[i] and "Always the same words." not in got[i]
+        assert got[i] == off[i].replace("Always the same words.\n", "")
+        assert got[100 + i] == got[i] and off[100 + i] != got[i]
+    assert got[200] == off[200] and got[201] == off[201]  # two pages are no template
+
+
+def test_articles_that_repeat_are_no_template(spark):
+    copies = [(i, "http://d.example/", "<html><body><nav>m</nav><article id='p7'><h1>Head</h1><p>same text</p></article></body></html>") for i in range(6)]
+    shared = [(10 + i, "http://e.example/", f"<html><body><article><h1>H{i}</h1><p>shared passage</p><p>own {i}</p></article></body></html>") for i in range(6)]
+    df = spark.createDataFrame(copies + shared, "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in template.main_text(df).collect()}
+    assert got == {i: "Head\nsame text" for i in range(6)} | {10 + i: f"H{i}\nshared passage\nown {i}" for i in range(6)}
+
+
+def test_classes_equal_those_of_whole_occurrence_vectors(spark):
+    rng = np.random.default_rng(11)
+    pages = [given_style(i, rng) + ("<p class='z'>tail</p><i></i><u></u>" if i % 3 else "") for i in range(12)]
+    df = spark.createDataFrame([(i, "http://h.example/", p) for i, p in enumerate(pages)], "page_id long, url string, html string").repartition(4)
+    vectors = defaultdict(lambda: [0] * len(pages))
+    for i, p in enumerate(pages):
+        for t in template.tokens(p):
+            if t[0] == "tag":
+                vectors[("</" if t[1] else "<") + t[3]][i] += 1
+            elif t[1].split():
+                vectors[template.text_key(" ".join(t[1].split()))][i] += 1
+    classes = defaultdict(set)
+    for token, v in vectors.items():
+        if set(v) <= {0, 1} and sum(v) >= 6:
+            classes[tuple(v)].add(token)
+    want = {frozenset(c) for c in classes.values() if len(c) >= 3}
+    found = json.loads(template.deduce(template.occurrences(template._pages(df, "page_id", "url", "html"))).first().template)
+    assert {frozenset(c["tokens"]) for c in found["classes"]} <= want and len(want) == 2
+    assert max(want, key=len) in {frozenset(c["tokens"]) for c in found["classes"]} and found["main"] == "<article"
+
+
 @pytest.mark.parametrize(
     "body,want",
     [
@@ -300,8 +475,9 @@ def test_text_beside_away_elements_stays(body, want):
         assert template.extract(f"<body><{tag}>{body}</{tag.split()[0]}></body>", template.Frame(None)) == want
 
 
-def test_classes_nest():
-    out = template.nested([(4, [(0.0, "<a"), (5.0, "</a"), (9.0, "<z")]), (3, [(1.0, "<b"), (2.0, "<c")]), (2, [(4.0, "<d"), (6.0, "<e")])])
+def test_classes_nest():  # members: place, token, end, chars, fixed
+    m = lambda place, token: (place, token, place, 1, False)
+    out = template.nested([(4, [m(0.0, "<a"), m(5.0, "</a"), m(9.0, "<z")]), (3, [m(1.0, "<b"), m(2.0, "<c")]), (2, [m(4.0, "<d"), m(6.0, "<e")])])
     assert [c["tokens"] for c in out] == [["<a", "</a", "<z"], ["<b", "<c"]] and (out[1]["parent"], out[1]["slot"]) == (0, 1)
 
 
@@ -422,12 +598,25 @@ def test_shingles_of_many_rows_are_met_in_cells(spark, monkeypatch):
     rows = hot_source(60, 96, 4)
     df, _ = documents(spark, rows)
     each = df.select("doc_id", F.col("doc_id").alias("component")).where("doc_id IS NOT NULL")
-    links = {(r.a, r.b) for r in chosen_path.exact_links(df, each, 1, 95, "doc_id", "text").collect()}
+    links = {(r.a, r.b) for r in chosen_path.exact_links(chosen_path.keyed_texts(df, "doc_id", "text", None), each, 1, 95).collect()}
     sets = {i: set(t.split()) for i, t, _ in rows}
     want = {(a, b) for a in sets for b in sets if b < a and 100 * len(sets[a] & sets[b]) >= 95 * len(sets[a] | sets[b])}
     assert want and links == want
 
 
+def test_texts_that_share_an_identifier_are_told_apart(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(40)) for x in "abc")
+    rows = [(3, b, "s"), (5, a, "s"), (5, b, "s"), (7, a, "s"), (8, b, "s"), (9, c, "s"), (5, a, "s"), (11, c + " more", "s"), (2, c, "s"), (2, c + " tail", "s")]
+    df, _ = documents(spark, rows)
+    got = chosen_path.near_duplicates(df, 3, 85).join(df.select("doc_id", F.xxhash64("text").alias("text_key"), "text").distinct(), ["doc_id", "text_key"]).collect()
+    assert len(got) == len(rows)
+    component = {(r.doc_id, r.text): r.component_id for r in got}
+    assert {k: component[k] for k in component if k[1] in (a, b)} == {(3, b): 3, (5, b): 3, (8, b): 3, (5, a): 5, (7, a): 5}
+    assert {component[k] for k in component if k[1].startswith("c0")} == {2}
+    assert {(r.doc_id, r.text) for r in got if r.first} - {(2, c), (2, c + " tail")} == {(3, b), (5, a)}
+    assert sum(r.first and r.component_id == 2 for r in got) == 1
+
+
 def test_near_duplicates_of_an_empty_table(spark):
     assert chosen_path.near_duplicates(documents(spark, [])[0]).count() == 0
 
@@ -438,3 +627,14 @@ def test_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 7), (200, 201), (201, 200), (5, 5)]
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert all(got[i] == 0 for i in range(41)) and got[100] == 0 and got[201] == got[200] == 200
+
+
+def test_components_of_hubs(spark, monkeypatch):
+    from patchspace.llm import spread
+    from patchspace.llm.components import components
+
+    monkeypatch.setattr(spread, "HOT_ROWS", 5)
+    monkeypatch.setattr(spread, "HOT_SHARE", 8)
+    edges = [(1000, i) for i in range(1, 60)] + [(59, 2000), (2000, 2001), (3000, 3001)]
+    got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert all(got[i] == 1 for i in [*range(1, 60), 1000, 2000, 2001]) and got[3000] == got[3001] == 3000

@@ -36,6 +36,15 @@ def test_stages(spark, tmp_path):
     assert {r.doc_id for r in packed.select("doc_id").distinct().collect()} == set(range(200))
 
 
+def test_other_texts_of_an_identifier_stay(spark):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    docs = spark.createDataFrame([(3, b, 1), (5, a, 2), (5, b, 3), (None, b, 4), (6, None, 5), (6, None, 6)], "doc_id long, text string, _gone long")
+    got = pipeline.near_duplicate_removal(spark, docs, "")
+    assert got.columns == docs.columns
+    rows = sorted((r.doc_id or 0, r.text or "") for r in got.collect())
+    assert rows == [(0, b), (3, b), (5, a), (6, "")]
+
+
 def test_empty_corpus(spark, tmp_path):
     sf = str(tmp_path / "sf")
     spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{sf}/documents.parquet")
