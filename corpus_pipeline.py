@@ -6,7 +6,7 @@ and read again as the next stage's documents. All but the last return the column
 1. quality: documents that the classifier rejects go; it learns from the labels of ``sf_dir``.
 2. near_duplicates: of each group of near-duplicates (five-word shingles, similarity 0.8 or more)
    the document with the smallest identifier stays. Documents without words, and rows with a null
-   identifier, are no one's duplicates.
+   identifier, are no one's duplicates; texts that share an identifier are documents of their own.
 3. mixing: each document stays, and documents of rarer sources occur again, up to twice.
 4. packing: one row per piece of a document in a sequence of at most 4096 tokens.
 
@@ -34,10 +34,13 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    classes = staged(near_duplicates(docs, WORDS, PERCENT).select("doc_id", "kept"), "pipeline-classes")
-    gone = staged(classes.where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct(), "pipeline-gone")
-    kept = docs.join(gone, docs["doc_id"] == F.col("_gone"), "left_anti")
-    ids = classes.where("kept AND doc_id IS NOT NULL").agg(F.count("*").alias("n"), F.countDistinct("doc_id").alias("d")).first()
+    """Rows are told apart by identifier and text, so other texts of an identifier stay."""
+    classes = staged(near_duplicates(docs, WORDS, PERCENT), "pipeline-classes")
+    gone = staged(classes.where("NOT first").select(F.col("doc_id").alias("g_id"), F.col("text_key").alias("g_key")).distinct(), "pipeline-gone")
+    text_key = F.xxhash64(F.coalesce(F.col("text"), F.lit("")))
+    rows = docs.select(F.struct(*docs.columns).alias("r"), F.col("doc_id").cast("long").alias("k_id"), text_key.alias("k_key"))
+    kept = rows.join(gone, (F.col("k_id") == F.col("g_id")) & (F.col("k_key") == F.col("g_key")), "left_anti").select("r.*")
+    ids = classes.where("first AND doc_id IS NOT NULL").agg(F.count("*").alias("n"), F.countDistinct("doc_id").alias("d")).first()
     return kept.dropDuplicates(["doc_id", "text"]) if ids.n != ids.d else kept
 
 
