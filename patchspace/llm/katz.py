@@ -1,30 +1,38 @@
-"""Katz backoff language model over the whole corpus, order 2, scored text by text.
+"""Katz backoff language model over the whole corpus, of any order (3), scored text by text.
 
 Counts. Words are lower-cased (A-Z) runs between ASCII white space; a text ends with an end
-token, and its first word has a start mark as its history. N-grams of the training rows are
-counted over the whole corpus; Good-Turing discounts apply to counts up to ``K``.
+token, and one start mark stands before its first word. N-grams of the training rows are counted
+over the whole corpus; Good-Turing discounts apply to counts up to ``K``, order by order.
 
-Model, evaluated recursively for a word w after a history h, c being counts::
+Model, evaluated recursively for a word w after a history h of n - 1 words, c being counts and h'
+the history without its first word::
 
-    P(w | h) = d2(c(h,w)) c(h,w) / c(h)      if c(h,w) > 0
-             = a(h) P(w)                     if c(h) > 0
-             = P(w)                          otherwise
-    P(w)     = d1(c(w)) c(w) / N             if c(w) > 0
+    P(w | h) = d(c(h,w)) c(h,w) / c(h)       if c(h,w) > 0
+             = a(h) P(w | h')                if c(h) > 0
+             = P(w | h')                     otherwise
+    P(w)     = d(c(w)) c(w) / N              if c(w) > 0
              = what is left of 1             for the unknown word, one type
 
-    a(h) = (1 - sum of P(w|h) over seen w) / (1 - sum of P(w) over seen w)
+    a(h) = (1 - sum of P(w|h) over seen w) / (1 - sum of P(w|h') over seen w)
 
 so that every distribution sums to 1 over the V training types and the unknown word. Where all
 counts after h are above K nothing would be left: there h counts one more occurrence, unseen.
-
-Execution. Texts become blocks of word hashes and local word numbers, staged once. For a level,
-a block asks for its distinct n-grams: sorted keys, packed, a message per (block, bucket). A
-bucket merges the messages to its part of the count table and answers each in the order of its
-keys. So every n-gram crosses the network once per block and not per occurrence, and answers carry
-no keys. Bigrams are dealt by history; histories with more than a bucket's half share of all
-tokens (at most two per bucket) are dealt by the whole bigram, and their sums, additive, are collected. Answers
-hold sufficient statistics (count of counts after h), so discounts can come last. Messages to a block are written
-below the shared folder under its number, and the task that holds the block reads them there.
+A history reaches back to the start mark at most: the first words of a text have shorter ones.
+
+Execution. Texts become blocks of word hashes and local word numbers, staged once. Level by level
+a block asks for its distinct n-grams: a message for each (block, bucket) that has any, so never more
+than there are keys. A bucket merges messages to its part of the count table and answers each in
+the order of its keys. Words, and then n-grams, are named by dense numbers of the level below,
+so keys stay some bytes short and are never cut or merged. An n-gram that no other block asked for is local: what
+follows it, or ends in it, is counted within the block, and of that only sums for shared histories are
+sent. So the higher levels exchange only what several blocks may have in common.
+
+N-grams are dealt by history; a history with more than half a bucket's share of all tokens is dealt
+over as many parts as it has such shares, and its sums, additive, are collected: at most
+two rows per bucket. Answers hold sufficient statistics (counts of counts after h), so discounts can
+come last. Blocks and answers meet in one exchange by block, and levels below are worked out
+again from the answers rather than stored. The count tables are kept by bucket (rows of kind 0 in
+the folders), n-grams of one block with the block.
 
 Null text is an empty text: its only token is the end. Null identifiers are training rows (they
 have no remainder). Repeated rows are counted and scored one by one. With no training rows all
@@ -34,58 +42,91 @@ tokens are the unknown word, of probability 1. Other columns are ignored.
 from __future__ import annotations
 
 import gc
+import struct
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.parquet as pq
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from patchspace.shared import new_path, open_fs, ship, staged_at, trim
+from patchspace.shared import drop_path, ship, staged_at, trim
 from patchspace.llm.shingles import mix, word_hashes
 from patchspace.llm.tokens import slices
 
-K = 5
-START, END = np.uint64(0x5354415254), np.uint64(0x454E44)
-BLOCK_TOKENS, BUCKET_KEYS = 1_000_000, 2_500_000
-LOW40 = np.uint64((1 << 40) - 1)
-
-
-def pack(a: np.ndarray) -> bytes:
-    """An integer or float array as zstd over its byte planes."""
-    a = np.ascontiguousarray(a)
-    planes = a.view(np.uint8).reshape(-1, a.itemsize).T if len(a) else np.empty(0, np.uint8)
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(planes).tobytes())
-
-
-def unpack(raw: bytes, kind: str) -> np.ndarray:
-    data = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), np.uint8)
-    size = np.dtype(kind).itemsize
-    return np.ascontiguousarray(data.reshape(size, -1).T).view(kind).ravel()
-
-
-def keys40(a: np.ndarray) -> bytes:
-    return np.ascontiguousarray(a.astype("<u8")).view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+K, ORDER = 5, 3
+START = 0  # the number of the start mark; words have theirs from 1
+END = np.uint64(0x454E44)
+BLOCK_TOKENS, BUCKET_KEYS, BLOCKS_A_TASK = 1_000_000, 2_000_000, 4
+TABLE, ANSWER, TOTALS = 0, 1, 2
+BASE, WORDS = 0, 1
+MOVED = "bucket int, block long, kind int, body binary"
+MOVED_SCHEMA = pa.schema([("bucket", pa.int32()), ("block", pa.int64()), ("kind", pa.int32()), ("body", pa.binary())])
+
+
+def pack(*arrays: np.ndarray) -> bytes:
+    """Arrays as zstd over their byte planes; integers, never negative, in as few bytes as the largest needs."""
+    head, body = [struct.pack("<B", len(arrays))], []
+    for a in arrays:
+        if a.dtype == bool:
+            kind, planes = 0, np.packbits(a)
+        elif a.dtype.kind == "f":
+            kind, planes = 9, np.ascontiguousarray(a, "<f8").view(np.uint8).reshape(-1, 8).T
+        else:
+            most = int(a.max()) if len(a) else 0
+            kind = max(1, -(-most.bit_length() // 8))
+            planes = np.ascontiguousarray(a, "<u8").view(np.uint8).reshape(-1, 8)[:, :kind].T
+        head.append(struct.pack("<BQ", kind, len(a)))
+        body.append(np.ascontiguousarray(planes).tobytes())
+    return zstandard.ZstdCompressor(level=1).compress(b"".join(head + body))
+
+
+def unpack(raw: bytes) -> list[np.ndarray]:
+    """The arrays of ``pack``: booleans, int64 or doubles."""
+    data = zstandard.ZstdDecompressor().decompress(raw)
+    at, out = 1 + 9 * data[0], []
+    for i in range(data[0]):
+        kind, n = struct.unpack_from("<BQ", data, 1 + 9 * i)
+        size = (n + 7) // 8 if kind == 0 else n * (8 if kind == 9 else kind)
+        part = np.frombuffer(data, np.uint8, size, at)
+        at += size
+        if kind == 0:
+            out.append(np.unpackbits(part, count=n).astype(bool))
+        elif kind == 9:
+            out.append(np.ascontiguousarray(part.reshape(8, n).T).view("<f8").ravel())
+        else:
+            wide = np.zeros((n, 8), np.uint8)
+            wide[:, :kind] = part.reshape(kind, n).T
+            out.append(wide.view("<i8").ravel())
+    return out
 
 
-def unkeys40(raw: bytes) -> np.ndarray:
-    out = np.zeros((len(raw) // 5, 8), np.uint8)
-    out[:, :5] = np.frombuffer(raw, np.uint8).reshape(-1, 5)
-    return out.view("<u8").ravel()
+def steps(a: np.ndarray) -> np.ndarray:
+    """Differences of a rising array; ``np.cumsum`` gives it back."""
+    return np.diff(a, prepend=0)
 
 
 def good_turing(n: np.ndarray, k: int = K) -> np.ndarray:
-    """Discounts d[0..k] from counts of counts n[1..k+1]; where the ratios do not lie strictly
-    between 0 and 1 (too few n-grams to tell), half a count is taken off."""
-    d = np.ones(k + 1)
-    tail = (k + 1) * n[k + 1] / n[1] if n[1] else 1.0
-    for r in range(1, k + 1):
-        value = ((r + 1) * n[r + 1] / (r * n[r]) - tail) / (1 - tail) if n[r] and tail < 1 else 0.0
-        d[r] = value if 0 < value < 1 else (r - 0.5) / r
-    return d
+    """Discounts d[0..k] from counts of counts n[1..k+1]: between 0 and 1, and no smaller for a
+    larger count. Where the counts of counts as they are do not give that (few n-grams, or
+    many texts that occur just so often), a line through their logarithms stands for them; where
+    that does not either, half a count is taken off."""
+    r = np.arange(1, k + 2, dtype=float)
+    own = n[1 : k + 2].astype(float)
+    some = own > 0
+    tries = [own]
+    if some.sum() > 1:
+        slope, level = np.polyfit(np.log(r[some]), np.log(own[some]), 1)
+        tries.append(np.exp(level) * r**slope)
+    for c in tries:
+        if c.all() and (k + 1) * c[k] < c[0]:
+            tail = (k + 1) * c[k] / c[0]
+            d = (r[1:] * c[1:] / (r[:-1] * c[:-1]) - tail) / (1 - tail)
+            if (d > 0).all() and (d < 1).all() and (np.diff(d) >= 0).all():
+                return np.append(1.0, d)
+    return np.append(1.0, (r[:-1] - 0.5) / r[:-1])
 
 
 @dataclass
@@ -106,11 +147,14 @@ def training(id_col: Column, modulus: int = 7, out: int = 2) -> Column:
     return F.coalesce(F.pmod(F.crc32(id_col.cast("string").cast("binary")), F.lit(modulus)) != out, F.lit(True))
 
 
-STAGE = pa.schema([("block", pa.int64()), ("tokens", pa.int64()), ("train_tokens", pa.int64()), ("n_words", pa.int64()), ("ids", pa.binary()), ("nulls", pa.binary()), ("sizes", pa.binary()), ("train", pa.binary()), ("hashes", pa.binary()), ("words", pa.binary())])
-STAGE_DDL = "block long, tokens long, train_tokens long, n_words long, ids binary, nulls binary, sizes binary, train binary, hashes binary, words binary"
+STAGE = pa.schema([("block", pa.int64()), ("kind", pa.int32()), ("tokens", pa.int64()), ("texts", pa.int64()), ("words", pa.int64()), ("body", pa.binary())])
+STAGE_DDL = "block long, kind int, tokens long, texts long, words long, body binary"
 
 
 def stage_blocks(docs: DataFrame, id_col: str, text_col: str, is_train: Column, block_tokens: int) -> tuple[DataFrame, str]:
+    """Two rows for each block: its texts as local word numbers (by rising hash), and what the numbers
+    stand for, hashes and training counts."""
+
     def make(batches):
         task, number = TaskContext.get().partitionId(), 0
         held: list = []
@@ -119,18 +163,19 @@ def stage_blocks(docs: DataFrame, id_col: str, text_col: str, is_train: Column,
         def emit():
             nonlocal number, held, size
             ids = np.array([i or 0 for p in held for i in p[0]], np.int64)
-            nulls = np.array([i is None for p in held for i in p[0]], np.uint8)
-            train = np.concatenate([p[1] for p in held]).astype(np.uint8)
-            w, sizes = np.concatenate([p[2] for p in held]), np.concatenate([p[3] for p in held]).astype(np.int32)
-            hashes, local, often = np.unique(w, return_inverse=True, return_counts=True)
-            rank = np.argsort(-often, kind="stable")
-            place = np.empty(len(rank), np.int32)
-            place[rank] = np.arange(len(rank), dtype=np.int32)
-            total = len(w) + len(ids)
-            trained = int(sizes[train == 1].sum() + train.sum())
-            row = [task << 32 | number, total, trained, len(hashes), pack(ids), pack(nulls), pack(sizes), pack(train), hashes[rank].astype("<u8").tobytes(), pack(place[local])]
+            nulls = np.array([i is None for p in held for i in p[0]], bool)
+            train = np.concatenate([p[1] for p in held]).astype(bool)
+            w, sizes = np.concatenate([p[2] for p in held]), np.concatenate([p[3] for p in held])
+            hashes, local = np.unique(np.append(w, END), return_inverse=True)
+            trained = np.bincount(local[:-1], weights=np.repeat(train, sizes), minlength=len(hashes)).astype(np.int64)
+            trained[local[-1]] += train.sum()
+            block = task << 32 | number
+            rows = [
+                (block, BASE, len(w) + len(ids), int(train.sum()), len(hashes), pack(ids.view(np.uint64), nulls, sizes, train, local, np.array([len(hashes)]))),
+                (block, WORDS, 0, 0, 0, pack_words(hashes, trained)),
+            ]
             number, held, size = number + 1, [], 0
-            return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, STAGE.types, strict=True)], schema=STAGE)
+            return pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*rows, strict=True), STAGE.types, strict=True)], schema=STAGE)
 
         for batch in batches:
             for part in slices(batch, max_bytes=2 << 20):
@@ -139,191 +184,369 @@ def stage_blocks(docs: DataFrame, id_col: str, text_col: str, is_train: Column,
                 size += len(w) + part.num_rows
                 if size >= block_tokens:
                     yield emit()
+                    trim()
         if held:
             yield emit()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), is_train.cast("int").alias("train"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return staged_at(rows.mapInArrow(make, STAGE_DDL), "katz-blocks")
+    return staged_at(rows.mapInArrow(make, STAGE_DDL), "katz-blocks", ["kind"])
+
+
+def pack_words(hashes: np.ndarray, trained: np.ndarray) -> bytes:
+    return len(hashes).to_bytes(8, "little") + hashes.astype("<u8").tobytes() + pack(trained)
+
+
+def unpack_words(body: bytes) -> tuple[np.ndarray, np.ndarray]:
+    n = int.from_bytes(body[:8], "little")
+    return np.frombuffer(body, "<u8", n, 8), unpack(body[8 + 8 * n :])[0]
 
 
 class Block:
-    """A staged block; START and END are its last two local words."""
-
-    def __init__(self, row: dict):
-        self.number = row["block"]
-        self.ids, self.nulls, self.sizes = unpack(row["ids"], "<i8"), unpack(row["nulls"], "u1"), unpack(row["sizes"], "<i4").astype(np.int64)
-        self.train = unpack(row["train"], "u1").astype(bool)
-        self.hashes = np.concatenate([np.frombuffer(row["hashes"], "<u8"), np.array([START, END], np.uint64)])
-        words = unpack(row["words"], "<i4")
-        n, docs = len(self.hashes), len(self.sizes)
+    """A staged block: its texts, and a token's word and place in its text."""
+
+    def __init__(self, body: bytes):
+        self.ids, self.nulls, self.sizes, self.train, local, n = unpack(body)
+        self.words = int(n[0])
+        docs = len(self.sizes)
         ends = np.cumsum(self.sizes + 1)
-        self.next = np.full(len(words) + docs, n - 1, np.int32)  # the words, and an end per text
-        inner = np.ones(len(self.next), bool)
+        self.start = ends - self.sizes - 1
+        self.word = np.full(len(local) - 1 + docs, local[-1])  # the words, and an end for each text
+        inner = np.ones(len(self.word), bool)
         inner[ends - 1] = False
-        self.next[inner] = words
-        self.history = np.empty_like(self.next)
-        self.history[1:] = self.next[:-1]
-        if docs:
-            self.history[np.concatenate(([0], ends[:-1]))] = n - 2
+        self.word[inner] = local[:-1]
         self.doc = np.repeat(np.arange(docs), self.sizes + 1)
-        self.start = np.concatenate(([0], ends[:-1])) if docs else np.empty(0, np.int64)
-
-    def unigram_requests(self, buckets: int):
-        """(bucket, local words in the order of their hashes)."""
-        order = np.argsort(self.hashes, kind="stable")
-        own = (mix(self.hashes[order]) % np.uint64(buckets)).astype(np.int64)
-        for b in range(buckets):
-            at = order[own == b]
-            if len(at):
-                yield b, at
-
-    def bigrams(self, counts: np.ndarray, buckets: int, hot: np.ndarray):
-        """Distinct bigrams that can have been seen: history, word, bucket, training count, and
-        for each token the place of its bigram among them (-1 if none)."""
-        known = counts > 0
-        known[-2] = True
-        width = len(self.hashes)
-        key = self.history.astype(np.int64) * width + self.next
-        values, inverse = np.unique(key, return_inverse=True)
-        trained = np.bincount(inverse, weights=self.train[self.doc], minlength=len(values)).astype(np.int64)
-        h, w = values // width, values % width
-        ok = known[h] & known[w]
-        h, w, trained = h[ok], w[ok], trained[ok]
-        hh, wh = self.hashes[h], mix(self.hashes[w]) & LOW40
-        bucket = mix(hh ^ START)
-        is_hot = np.isin(hh, hot)
-        bucket[is_hot] = mix(hh[is_hot] ^ mix(wh[is_hot]))
-        bucket = (bucket % np.uint64(buckets)).astype(np.int64)
-        order = np.lexsort((wh, hh, bucket))
-        place = np.full(len(values), -1, np.int64)
-        back = np.empty(len(order), np.int64)
-        back[order] = np.arange(len(order))
-        place[ok] = back
-        return h[order], w[order], bucket[order], trained[order], hh[order], wh[order], place[inverse]
-
-
-def blocks(batches):
-    for batch in batches:
-        for i in range(batch.num_rows):
-            yield Block(batch.slice(i, 1).to_pylist()[0])
-            trim()
+        self.at = np.arange(len(self.word)) - self.start[self.doc]
+        self.trained = self.train[self.doc]
 
 
-def _rows(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*rows, strict=True), schema.types, strict=True)], schema=schema)
+class Level:
+    """What a block knows of its distinct n-grams of one length; ``place`` is each token's (-1: none).
 
+    ``c`` counts, ``shared`` whether other blocks have it too, ``number`` its number if shared and
+    seen, ``p`` its probability if seen; ``low`` are the integers that ``p`` follows from.
+    """
+
+    place: np.ndarray
+    c: np.ndarray
+    shared: np.ndarray
+    number: np.ndarray
+    p: np.ndarray
+    low: list[np.ndarray]
+
+
+@dataclass
+class Facts:
+    """What all blocks need to know of a level that is done; the size grows with the buckets only."""
+
+    buckets: int
+    hot_from: float
+    offsets: np.ndarray | None = None
+    discounts: np.ndarray | None = None
+    uni: Unigrams | None = None
+    unknown: float = 1.0
+    texts: int = 0
+    hot: tuple | None = None  # numbers of split histories, rising; few, many, mass
+
+    def probability(self, low: list[np.ndarray]) -> np.ndarray:
+        """The probability of seen n-grams from the integers that go along with them."""
+        if self.uni is not None:
+            return self.uni.probability(low[0], 0.0)
+        return np.where(low[0] <= K, self.discounts[np.minimum(low[0], K)], 1.0) * low[0] / np.maximum(1, low[1])
+
+
+def spans(values: np.ndarray):
+    """(value, from, to) of the runs of a sorted array."""
+    if len(values):
+        cut = np.concatenate(([0], np.flatnonzero(values[1:] != values[:-1]) + 1, [len(values)]))
+        for lo, hi in zip(cut[:-1], cut[1:], strict=True):
+            yield int(values[lo]), lo, hi
+
+
+def level_one(block: Block, answers: list[tuple[int, bytes]], facts: Facts) -> Level:
+    """Words; the start mark comes after them, as a history only. Buckets are ranges of hashes, so
+    their answers, one after the other, are in the order of the local numbers."""
+    counts, shared, numbers = [], [], []
+    for bucket, body in answers:
+        c, both, rank = unpack(body)
+        own = np.full(len(c), -1)
+        own[both & (c > 0)] = np.cumsum(rank) + facts.offsets[bucket]
+        counts.append(c)
+        shared.append(both)
+        numbers.append(own)
+    got = Level()
+    got.c = np.append(np.concatenate(counts), facts.texts)
+    got.shared = np.append(np.concatenate(shared), True)
+    got.number = block.numbers = np.append(np.concatenate(numbers), START)
+    got.place = block.word
+    got.low = [got.c]
+    got.p = facts.uni.probability(got.c, facts.unknown)
+    return got
+
+
+def climb(body: bytes, answers: list[list[tuple[int, bytes]]], done: tuple[Facts, ...], order: int) -> tuple[Block, Level, Level, np.ndarray]:
+    """A block with its first and its last answered level, and the probability of each token by then."""
+    block = Block(body)
+    first = level = level_one(block, answers[0], done[0])
+    p = level.p[block.word]
+    for n, facts in enumerate(done[1:], 2):
+        level, p = Plan(block, level, n, facts).settle(answers[n - 1], facts, p, n == order)
+    return block, first, level, p
+
+
+class Plan:
+    """The distinct n-grams of length ``n`` of a block, and what of them it asks whom for."""
+
+    def __init__(self, block: Block, below: Level, n: int, facts: Facts):
+        size = len(below.c)
+        tokens = np.flatnonzero(block.at >= n - 2)
+        if n == 2:
+            history = np.where(block.at[tokens] > 0, block.word[tokens - 1], size - 1)
+        else:
+            history = below.place[tokens - 1]
+        values, first, inverse = np.unique(history * block.words + block.word[tokens], return_index=True, return_inverse=True)
+        self.h = values // block.words
+        self.s = below.place[tokens[first]]  # the n-gram without its first word
+        self.trained = np.bincount(inverse, weights=block.trained[tokens], minlength=len(values)).astype(np.int64)
+        self.place = np.full(len(block.word), -1)
+        self.place[tokens] = inverse
+        self.history = np.full(len(block.word), -1)
+        self.history[tokens] = history
+        del values, inverse
+        alive = below.c[self.h] > 0
+        common, ends_seen = below.shared[self.h], below.c[self.s] > 0
+        self.local = alive & (~common | ends_seen & ~below.shared[self.s])
+        self.ask = np.flatnonzero(alive & common & ends_seen & below.shared[self.s])
+        self.below, self.size = below, size
+        # histories that other blocks have too, by number, each with its home bucket
+        known = np.zeros(size, bool)
+        known[self.h[alive & common]] = True
+        self.hists = np.flatnonzero(known)
+        self.hists = self.hists[np.argsort(below.number[self.hists])]
+        number = below.number[self.hists].astype(np.uint64)
+        rank = np.full(size, -1)
+        rank[self.hists] = np.arange(len(self.hists))
+        home = mix(number + np.uint64(1))
+        self.parts = np.maximum(1, np.ceil(below.c[self.hists] / max(1.0, facts.hot_from))).astype(np.int64)
+        # keys: (bucket, history) pairs are entries; a split history has one in each of its parts' buckets
+        r = rank[self.h[self.ask]]
+        word = self._words(block, n)
+        bucket = home[r]
+        split = self.parts[r] > 1
+        bucket[split] = mix(bucket[split] + np.uint64(1) + mix(word[split].astype(np.uint64)) % self.parts[r[split]].astype(np.uint64))
+        width, buckets = max(1, len(self.hists)), np.uint64(facts.buckets)
+        own = (bucket % buckets).astype(np.int64) * width + r
+        self.homes = (home % buckets).astype(np.int64) * width + np.arange(len(self.hists))
+        self.entries = np.unique(np.concatenate([self.homes, own[split]]))
+        entry = np.searchsorted(self.entries, own)
+        order = np.argsort(entry * (int(word.max()) + 1 if len(word) else 1) + word)
+        self.ask, self.words = self.ask[order], word[order]
+        self.run = np.bincount(entry, minlength=len(self.entries))
+        self.entry_hist = self.entries % width
+        self.entry_bucket = self.entries // width
+        self.is_home = np.zeros(len(self.entries), bool)
+        self.is_home[np.searchsorted(self.entries, self.homes)] = True
+        open_ = np.zeros(size, bool)
+        waiting = (self.place >= 0) & ~block.trained
+        open_[self.history[waiting]] = True
+        self.need = self.is_home & open_[self.hists[self.entry_hist]]
+
+    def _words(self, block: Block, n: int) -> np.ndarray:
+        """Numbers of the last words of what is asked for."""
+        first = np.zeros(len(self.h), np.int64)
+        has = np.flatnonzero(self.place >= 0)
+        first[self.place[has]] = has
+        return block.numbers[block.word[first[self.ask]]]
+
+    def sums(self, of: np.ndarray, c: np.ndarray, p: np.ndarray, size: int):
+        """(few, many, mass): the statistics of histories ``of`` over n-grams of counts c."""
+        few = np.stack([np.bincount(of[c == r], minlength=size) for r in range(1, K + 1)])
+        return few, np.bincount(of, weights=np.where(c > K, c, 0), minlength=size).astype(np.int64), np.bincount(of, weights=p, minlength=size).astype(float)
+
+    def messages(self):
+        """(bucket, body): entries, then keys; and the block's own counts of counts."""
+        seen = np.flatnonzero(self.local & (self.trained > 0) & self.below.shared[self.h])
+        rank = np.full(self.size, -1)
+        rank[self.hists] = np.arange(len(self.hists))
+        few, many, mass = self.sums(rank[self.h[seen]], self.trained[seen], self.below.p[self.s[seen]], len(self.hists))
+        some = (few.sum(0) > 0) | (many > 0)
+        starts = np.concatenate(([0], np.cumsum(self.run)))
+        low = [x[self.s[self.ask]] for x in self.below.low]
+        numbers = self.below.number[self.hists]
+        for bucket, lo, hi in spans(self.entry_bucket):
+            e = self.entry_hist[lo:hi]
+            with_sums = self.is_home[lo:hi] & some[e]
+            keys = slice(starts[lo], starts[hi])
+            own = e[with_sums]
+            yield bucket, pack(steps(numbers[e]), self.run[lo:hi], self.need[lo:hi], self.parts[e] > 1, with_sums, *few[:, own], many[own], mass[own], self.words[keys], self.trained[self.ask[keys]], *[x[keys] for x in low])
+
+    def cofc(self) -> np.ndarray:
+        return _counts_of_counts(self.trained[self.local])
+
+    def settle(self, answers: list[tuple[int, bytes]], facts: Facts, before: np.ndarray, last: bool) -> tuple[Level, np.ndarray]:
+        """The level, and the probability of each token after it."""
+        below, size = self.below, self.size
+        got = Level()
+        got.place = self.place
+        got.c = np.where(self.local, self.trained, 0)
+        got.shared, got.number = np.zeros(len(self.h), bool), np.full(len(self.h), -1)
+        # statistics of histories: of local ones from here, of others from the answers
+        seen = np.flatnonzero(self.local & (self.trained > 0) & ~below.shared[self.h])
+        few, many, mass = self.sums(self.h[seen], self.trained[seen], below.p[self.s[seen]], size)
+        full = (few.sum(0) == 0) & (many > 0)
+        told = dict(answers)
+        starts = np.concatenate(([0], np.cumsum(self.run)))
+        for bucket, lo, hi in spans(self.entry_bucket):
+            c, both, rank, none_left, *stats = unpack(told[bucket])
+            own = self.ask[starts[lo] : starts[hi]]
+            got.c[own] = c
+            got.shared[own] = both
+            if not last:
+                numbers = np.full(len(c), -1)
+                numbers[both & (c > 0)] = np.cumsum(rank) + facts.offsets[bucket]
+                got.number[own] = numbers
+            hist = self.hists[self.entry_hist[lo:hi]]
+            full[hist] = none_left
+            hist = hist[self.need[lo:hi]]
+            few[:, hist], many[hist], mass[hist] = np.stack(stats[:K]), stats[K], stats[K + 1]
+        split = np.flatnonzero(self.parts > 1)
+        if len(split):
+            i = np.searchsorted(facts.hot[0], below.number[self.hists[split]])
+            hist = self.hists[split]
+            few[:, hist], many[hist], mass[hist] = facts.hot[1][:, i], facts.hot[2][i], facts.hot[3][i]
+            full[hist] = (facts.hot[1][:, i].sum(0) == 0) & (facts.hot[2][i] > 0)
+        whole = below.c + full  # what the counts after a history are divided by
+        d = facts.discounts
+        got.low = [got.c, whole[self.h]]
+        got.p = np.where(got.c > 0, facts.probability(got.low), 0.0)
+        kept = ((d[1:] * np.arange(1, K + 1))[:, None] * few).sum(0) + many
+        alpha = (1 - kept / np.maximum(1, whole)) / np.maximum(1e-300, 1 - mass)
+        now = before.copy()
+        t = np.flatnonzero(self.place >= 0)
+        gram, hist = self.place[t], self.history[t]
+        hit = got.c[gram] > 0
+        now[t[hit]] = got.p[gram[hit]]
+        miss = ~hit & (below.c[hist] > 0)
+        now[t[miss]] = alpha[hist[miss]] * before[t[miss]]
+        return got, now
+
+
+def _counts_of_counts(c: np.ndarray) -> np.ndarray:
+    return np.bincount(np.minimum(c[c > 0], K + 2), minlength=K + 3)[: K + 2].astype(np.int64)
 
-ASK = pa.schema([("bucket", pa.int32()), ("block", pa.int64()), ("h", pa.binary()), ("runs", pa.binary()), ("w", pa.binary()), ("trained", pa.binary()), ("lower", pa.binary())])
-ASK_DDL = "bucket int, block long, h binary, runs binary, w binary, trained binary, lower binary"
-TOLD = pa.schema([("kind", pa.int32()), ("bucket", pa.int32()), ("block", pa.int64()), ("h", pa.binary()), ("runs", pa.binary()), ("w", pa.binary()), ("counts", pa.binary()), ("sums", pa.binary()), ("stats", pa.binary())])
-TOLD_DDL = "kind int, bucket int, block long, h binary, runs binary, w binary, counts binary, sums binary, stats binary"
-TABLE, ANSWER, TOTALS = 0, 1, 2
+
+def _rows(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*rows, strict=True), MOVED_SCHEMA.types, strict=True)], schema=MOVED_SCHEMA)
 
 
 def _by_bucket(asked: DataFrame, buckets: int, merge) -> DataFrame:
-    """Whole buckets to ``merge(bucket, rows)``; a bucket's messages come together."""
+    """Whole buckets to ``merge(bucket, messages, blocks' totals)``; a bucket's messages come together."""
 
     def run(batches):
-        held: dict[str, list] = {}
-        now = None
+        now, messages, totals = None, [], []
         for batch in batches:
             for row in batch.to_pylist():
                 if now is not None and row["bucket"] != now:
-                    yield from merge(now, held)
-                    held = {}
+                    yield from merge(now, messages, totals)
+                    messages, totals = [], []
                     trim()
                 now = row["bucket"]
-                for k, v in row.items():
-                    held.setdefault(k, []).append(v)
+                (totals if row["kind"] == TOTALS else messages).append((row["block"], row["body"]))
         if now is not None:
-            yield from merge(now, held)
-
-    return asked.repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(run, TOLD_DDL)
-
-
-def _counts_of_counts(c: np.ndarray) -> np.ndarray:
-    return np.bincount(np.minimum(c[c > 0], K + 2), minlength=K + 3)[: K + 2].astype(np.int64)
-
-
-def _merge_unigrams(hot_from: float):
-    def merge(bucket: int, m: dict):
-        parts = [np.frombuffer(x, "<u8") for x in m["w"]]
-        values, inverse = np.unique(np.concatenate(parts), return_inverse=True)
-        trained = np.concatenate([unpack(x, "<i4") for x in m["trained"]]).astype(np.int64)
-        c = np.zeros(len(values), np.int64)
-        np.add.at(c, inverse, trained)
-        seen = c > 0
-        hot = values[c > hot_from]
-        stats = np.concatenate([[int(c.sum()), int(seen.sum())], _counts_of_counts(c)]).astype("<i8")
-        yield _rows([(TABLE, bucket, -1, None, None, values[seen].astype("<u8").tobytes(), pack(c[seen]), None, None), (TOTALS, bucket, -1, hot.astype("<u8").tobytes(), None, None, None, None, stats.tobytes())], TOLD)
-        at = 0
-        for block, p in zip(m["block"], parts, strict=True):
-            yield _rows([(ANSWER, bucket, block, None, None, None, pack(c[inverse[at : at + len(p)]]), None, None)], TOLD)
-            at += len(p)
-
-    return merge
-
+            yield from merge(now, messages, totals)
+            trim()
 
-def _merge_bigrams(uni: Unigrams, hot: np.ndarray):
-    def merge(bucket: int, m: dict):
-        hs = [np.frombuffer(x, "<u8") for x in m["h"]]
-        runs = [unpack(x, "<i4") for x in m["runs"]]
-        h = np.concatenate([np.repeat(a, r) for a, r in zip(hs, runs, strict=True)])
-        w = np.concatenate([unkeys40(x) for x in m["w"]])
-        order = np.lexsort((w, h))
-        first = np.ones(len(h), bool)
-        first[1:] = (h[order[1:]] != h[order[:-1]]) | (w[order[1:]] != w[order[:-1]])
-        group = np.cumsum(first) - 1
-        place = np.empty(len(h), np.int32)
-        place[order] = group
+    return asked.repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").mapInArrow(run, MOVED)
+
+
+def _merge_words(bucket: int, messages: list, totals: list):
+    parts = [unpack_words(body) for _, body in messages]
+    values, inverse, asked = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True, return_counts=True)
+    c = np.bincount(inverse, weights=np.concatenate([p[1] for p in parts]), minlength=len(values)).astype(np.int64)
+    both, seen = asked > 1, c > 0
+    numbered = both & seen
+    rank = np.cumsum(numbered) - 1
+    yield _rows([(bucket, -1, TABLE, pack_words(values[seen], c[seen])), (bucket, -1, TOTALS, pack(np.array([c.sum(), seen.sum(), numbered.sum()]), _counts_of_counts(c)))])
+    at = 0
+    for (block, _), (own, _) in zip(messages, parts, strict=True):
+        i = inverse[at : at + len(own)]
+        at += len(own)
+        yield _rows([(bucket, block, ANSWER, pack(c[i], both[i], steps(rank[i[numbered[i]]])))])
+
+
+def _merge_grams(below: Facts, last: bool):
+    lows = 1 if below.uni is not None else 2
+
+    def merge(bucket: int, messages: list, totals: list):
+        cofc = sum((unpack(body)[0] for _, body in totals), np.zeros(K + 2, np.int64))
+        told = [unpack(body) for _, body in messages]
+        cat = lambda j: np.concatenate([m[j] for m in told]) if told else np.empty(0, np.int64)
+        entry = np.concatenate([np.cumsum(m[0]) for m in told]) if told else np.empty(0, np.int64)
+        hists, inv = np.unique(entry, return_inverse=True)
+        size = len(hists)
+        word, trained = cat(K + 7), cat(K + 8)
+        h = np.repeat(inv, cat(1))
+        order = np.argsort(h * (int(word.max()) + 1 if len(word) else 1) + word)
+        first = np.ones(len(order), bool)
+        first[1:] = (h[order[1:]] != h[order[:-1]]) | (word[order[1:]] != word[order[:-1]])
         start = np.flatnonzero(first)
-        trained = np.concatenate([unpack(x, "<i4") for x in m["trained"]])
-        c = np.add.reduceat(trained[order], start, dtype=np.int64)
-        del trained
-        lower = np.concatenate([unpack(x, "<i8") for x in m["lower"]])[order[start]]
-        h, w = h[order[start]], w[order[start]]
-        del order, group
-        p = np.where(c > 0, uni.probability(lower, 0.0), 0.0)
-        opens = np.flatnonzero(np.concatenate(([True], h[1:] != h[:-1])))
-        names = h[opens]
-        few = np.stack([np.add.reduceat((c == r).astype(np.int64), opens) for r in range(1, K + 1)])
-        many = np.add.reduceat(np.where(c > K, c, 0), opens)
-        mass = np.add.reduceat(p, opens)
+        place = np.empty(len(order), np.int64)
+        place[order] = np.cumsum(first) - 1
+        c = np.add.reduceat(trained[order], start) if len(start) else np.empty(0, np.int64)
+        both = np.diff(np.append(start, len(order))) > 1
+        of, one = h[order[start]], order[start]
         seen = c > 0
-        runs_seen = np.add.reduceat(seen.astype(np.int32), opens)
-        is_hot = np.flatnonzero(np.isin(names, hot))
-        hot_sums = np.concatenate([few[:, is_hot], many[None, is_hot]]).T.astype("<i8")
-        yield _rows([(TABLE, bucket, -1, names[runs_seen > 0].astype("<u8").tobytes(), pack(runs_seen[runs_seen > 0].astype("<i4")), keys40(w[seen]), pack(c[seen]), None, None), (TOTALS, bucket, -1, names[is_hot].astype("<u8").tobytes(), None, hot_sums.tobytes(), None, mass[is_hot].astype("<f8").tobytes(), _counts_of_counts(c).astype("<i8").tobytes())], TOLD)
-        at = 0
-        for block, own, r in zip(m["block"], hs, runs, strict=True):
-            n = int(r.sum())
-            i = np.searchsorted(names, own)
-            sums = pack(np.concatenate([few[:, i].ravel(), many[i]]).astype("<i4" if many.max() < 1 << 31 else "<i8"))
-            yield _rows([(ANSWER, bucket, block, None, None, None, pack(c[place[at : at + n]]), sums, pack(mass[i]))], TOLD)
-            at += n
+        p = np.where(seen, below.probability([cat(K + 9 + j)[one] for j in range(lows)]), 0.0)
+        few = np.stack([np.bincount(of[c == r], minlength=size) for r in range(1, K + 1)])
+        many = np.bincount(of, weights=np.where(c > K, c, 0), minlength=size).astype(np.int64)
+        mass = np.bincount(of, weights=p, minlength=size).astype(float)
+        summed = inv[cat(4).astype(bool)]  # what the blocks add of their own n-grams
+        add = lambda j: np.bincount(summed, weights=cat(j), minlength=size)
+        few += np.stack([add(5 + r) for r in range(K)]).astype(np.int64)
+        many += add(5 + K).astype(np.int64)
+        mass = mass + add(6 + K)
+        cofc = cofc + _counts_of_counts(c)
+        none_left = (few.sum(0) == 0) & (many > 0)
+        hot = np.unique(inv[cat(3).astype(bool)])
+        numbered = both & seen
+        rank = np.cumsum(numbered) - 1
+        table = pack(steps(hists), np.bincount(of[seen], minlength=size), word[one][seen], c[seen])
+        yield _rows([(bucket, -1, TABLE, table), (bucket, -1, TOTALS, pack(np.array([0, 0, numbered.sum()]), cofc, hists[hot], *few[:, hot], many[hot], mass[hot]))])
+        at = at_entry = 0
+        for (block, _), m in zip(messages, told, strict=True):
+            i, e = place[at : at + len(m[K + 7])], inv[at_entry : at_entry + len(m[0])]
+            at, at_entry = at + len(i), at_entry + len(e)
+            need = e[m[2]]
+            ranks = steps(rank[i[numbered[i]]]) if not last else np.empty(0, np.int64)
+            yield _rows([(bucket, block, ANSWER, pack(c[i], both[i], ranks, none_left[e], *few[:, need], many[need], mass[need]))])
 
     return merge
 
 
-def _answers(told_path: str, spark: SparkSession, what: str) -> str:
-    """The answers, a folder per block, below the shared folder."""
-    told = spark.read.schema(TOLD_DDL).parquet(told_path)
-    path = new_path(spark, what)
-    told.where(f"kind = {ANSWER}").select("block", "bucket", "counts", "sums", "stats").repartition("block").sortWithinPartitions("block", "bucket").write.option("compression", "uncompressed").partitionBy("block").parquet(path)
-    return path
+def _with_answers(base: DataFrame, told: list[DataFrame], n_blocks: int, work, ddl: str) -> DataFrame:
+    """``work(body of a block, [answers of each level])`` for every block, in one exchange."""
+    rows = base.select("block", F.lit(0).alias("level"), F.lit(-1).alias("bucket"), "body")
+    for level, t in enumerate(told, 1):
+        rows = rows.unionByName(t.where(f"kind = {ANSWER}").select("block", F.lit(level).alias("level"), "bucket", "body"))
+    dealt = rows.repartition(max(1, -(-n_blocks // BLOCKS_A_TASK)), "block").sortWithinPartitions("block", "level", "bucket")
+    levels = len(told)
 
+    def run(batches):
+        now, body, answers = None, None, []
+        for batch in batches:
+            for i in range(batch.num_rows):
+                block, level, bucket, part = (batch.column(c)[i].as_py() for c in range(4))
+                if level == 0:
+                    if body is not None:
+                        yield from work(now, body, answers)
+                        trim()
+                    now, body, answers = block, part, [[] for _ in range(levels)]
+                else:
+                    answers[level - 1].append((bucket, part))
+        if body is not None:
+            yield from work(now, body, answers)
+            trim()
 
-def _read_answers(path: str, block: int) -> dict[int, dict]:
-    from pyarrow import fs as pafs
-
-    fs, root = open_fs(f"{path}/block={block}")
-    files = [f.path for f in fs.get_file_info(pafs.FileSelector(root, allow_not_found=True)) if f.path.endswith(".parquet")]
-    out = {}
-    for name in files:
-        with fs.open_input_file(name) as f:
-            for row in pq.ParquetFile(f).read().to_pylist():
-                out[row["bucket"]] = row
-    return out
+    return dealt.mapInArrow(run, ddl)
 
 
 def _release(spark: SparkSession) -> None:
@@ -332,119 +555,98 @@ def _release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def _unigram_counts(block: Block, buckets: int, path: str) -> np.ndarray:
-    told = _read_answers(path, block.number)
-    counts = np.zeros(len(block.hashes), np.int64)
-    for b, at in block.unigram_requests(buckets):
-        counts[at] = unpack(told[b]["counts"], "<i8")
-    return counts
-
-
-def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", modulus: int = 7, out: int = 2, block_tokens: int = BLOCK_TOKENS, bucket_keys: int = BUCKET_KEYS) -> tuple[DataFrame, dict[str, str]]:
+def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", modulus: int = 7, out: int = 2, order: int = ORDER, block_tokens: int = BLOCK_TOKENS, bucket_keys: int = BUCKET_KEYS) -> tuple[DataFrame, dict[str, str]]:
     """(scores, folders of the count tables). One row per row of ``docs``: doc_id, held_out,
-    n_tokens, n_known, train_tokens, base_score, score. Rows with kind 0 of the folders are the
-    tables of n-grams and counts, by bucket."""
+    n_tokens, n_known, train_tokens, base_score, score. ``order`` is the longest n-gram, 1 at least."""
+    if order < 1:
+        raise ValueError("a model has order 1 at least")
     spark = docs.sparkSession
     ship(spark)
     rows, rows_path = stage_blocks(docs, id_col, text_col, training(F.col(id_col), modulus, out), block_tokens)
-    facts = rows.agg(F.sum("tokens"), F.sum("train_tokens"), F.sum("n_words")).first()
-    total, n = facts[0] or 0, facts[1] or 0
-    one, two = max(1, -(-(facts[2] or 0) // (2 * bucket_keys))), max(1, -(-total // bucket_keys))
-    hot_from = n / (2 * two)
-
-    def ask_unigrams(batches):
-        for block in blocks(batches):
-            trained = np.bincount(block.next, weights=block.train[block.doc], minlength=len(block.hashes)).astype("<i4")
-            for b, at in block.unigram_requests(one):
-                yield _rows([(b, block.number, None, None, block.hashes[at].astype("<u8").tobytes(), pack(trained[at]), None)], ASK)
-
-    told, uni_path = staged_at(_by_bucket(rows.mapInArrow(ask_unigrams, ASK_DDL), one, _merge_unigrams(hot_from)), "katz-unigrams")
-    stats, hot = np.zeros(K + 4, np.int64), [np.array([START], np.uint64)]
-    for r in told.where(f"kind = {TOTALS}").select("h", "stats").collect():  # a row per bucket
-        stats += np.frombuffer(r.stats, "<i8")
-        hot.append(np.frombuffer(r.h, "<u8"))
-    hot = np.concatenate(hot)
-    uni = Unigrams(int(stats[0]), int(stats[1]), good_turing(stats[2:]))
-    few = sum(uni.discounts[r] * r * int(stats[2 + r]) for r in range(1, K + 1))
-    many = uni.n - sum(r * int(stats[2 + r]) for r in range(1, K + 1))
-    unknown = 1 - (few + many) / uni.n if uni.n else 1.0
-    if uni.n and unknown <= 1e-12:  # no count up to K: one more occurrence, of the unknown word
-        unknown = 1 / (uni.n + 1)
-        uni.scale = uni.n / (uni.n + 1)
-    first = _answers(uni_path, spark, "katz-answers-1")
+    base = rows.where(f"kind = {BASE}")
+    facts = base.agg(F.sum("tokens"), F.sum("words"), F.count("*"), F.sum("texts")).first()
+    total, words, n_blocks = facts[0] or 0, facts[1] or 0, facts[2]
+    done: list[Facts] = []
+    told: list[DataFrame] = []
+    paths = {"blocks": rows_path}
+
+    def totals(df: DataFrame) -> list:
+        return sorted((r.bucket, unpack(r.body)) for r in df.where(f"kind = {TOTALS}").select("bucket", "body").collect())  # a row per bucket
+
+    def offsets(parts: list, buckets: int, first: int) -> np.ndarray:
+        counts = np.zeros(buckets + 1, np.int64)
+        for bucket, body in parts:
+            counts[bucket + 1] = body[0][2]
+        return np.cumsum(counts) + first
+
+    def ask_words(batches):
+        for batch in batches:
+            for block, body in zip(batch.column("block").to_pylist(), batch.column("body"), strict=True):
+                hashes, trained = unpack_words(body.as_py())
+                for bucket, lo, hi in spans((hashes >> np.uint64(32)) * np.uint64(one.buckets) >> np.uint64(32)):
+                    yield _rows([(bucket, block, ANSWER, pack_words(hashes[lo:hi], trained[lo:hi]))])
+
+    one = Facts(max(1, -(-words // (2 * bucket_keys))), float("inf"), texts=facts[3] or 0)
+    asked = rows.where(f"kind = {WORDS}").select("block", "body").mapInArrow(ask_words, MOVED)
+    answered, paths["1"] = staged_at(_by_bucket(asked, one.buckets, _merge_words), "katz-1")
+    parts = totals(answered)
+    n, types = (sum(int(body[0][j]) for _, body in parts) for j in range(2))
+    cofc = sum((body[1] for _, body in parts), np.zeros(K + 2, np.int64))
+    one.offsets = offsets(parts, one.buckets, START + 1)
+    one.uni = uni = Unigrams(n, types, good_turing(cofc))
+    few = sum(uni.discounts[r] * r * int(cofc[r]) for r in range(1, K + 1))
+    many = n - sum(r * int(cofc[r]) for r in range(1, K + 1))
+    one.unknown = 1 - (few + many) / n if n else 1.0
+    if n and one.unknown <= 1e-12:  # no count up to K: one more occurrence, of the unknown word
+        one.unknown, uni.scale = 1 / (n + 1), n / (n + 1)
+    done.append(one)
+    told.append(answered)
+    drop_path(spark, f"{rows_path}/kind={WORDS}")
     _release(spark)
 
-    def ask_bigrams(batches):
-        for block in blocks(batches):
-            counts = _unigram_counts(block, one, first)
-            h, w, bucket, trained, hh, wh, _ = block.bigrams(counts, two, hot)
-            cut = np.searchsorted(bucket, np.arange(two + 1))
-            for b in range(two):
-                lo, hi = cut[b], cut[b + 1]
-                if lo == hi:
-                    continue
-                opens = np.flatnonzero(np.concatenate(([True], hh[lo + 1 : hi] != hh[lo : hi - 1])))
-                runs = np.diff(np.append(opens, hi - lo)).astype("<i4")
-                yield _rows([(b, block.number, hh[lo:hi][opens].astype("<u8").tobytes(), pack(runs), keys40(wh[lo:hi]), pack(trained[lo:hi].astype("<i4")), pack(counts[w[lo:hi]]))], ASK)
-
-    told, bi_path = staged_at(_by_bucket(rows.mapInArrow(ask_bigrams, ASK_DDL), two, _merge_bigrams(uni, hot)), "katz-bigrams")
-    cofc, hot_sums = np.zeros(K + 2, np.int64), {}
-    for r in told.where(f"kind = {TOTALS}").select("h", "w", "sums", "stats").collect():  # a row per bucket
-        cofc += np.frombuffer(r.stats, "<i8")
-        for name, s, p in zip(np.frombuffer(r.h, "<u8"), np.frombuffer(r.w, "<i8").reshape(-1, K + 1), np.frombuffer(r.sums, "<f8"), strict=True):
-            old = hot_sums.get(int(name), (np.zeros(K + 1, np.int64), 0.0))
-            hot_sums[int(name)] = (old[0] + s, old[1] + float(p))
-    _release(spark)
-    second = _answers(bi_path, spark, "katz-answers-2")
-    _release(spark)
-    d2 = good_turing(cofc)
-    n_types = uni.types
+    for level in range(2, order + 1):
+        buckets = max(1, -(-total // bucket_keys))
+        now = Facts(buckets, n / (2 * buckets))
+        below = tuple(done)
+
+        def ask(block, body, answers, level=level, now=now, below=below):
+            own, _, last, _ = climb(body, answers, below, order)
+            plan = Plan(own, last, level, now)
+            yield _rows([(block % now.buckets, block, TOTALS, pack(plan.cofc()))])
+            for bucket, message in plan.messages():
+                yield _rows([(bucket, block, ANSWER, message)])
+
+        asked = _with_answers(base, told, n_blocks, ask, MOVED)
+        answered, paths[str(level)] = staged_at(_by_bucket(asked, buckets, _merge_grams(below[-1], level == order)), f"katz-{level}")
+        parts = totals(answered)
+        now.discounts = good_turing(sum((body[1] for _, body in parts), np.zeros(K + 2, np.int64)))
+        now.offsets = offsets(parts, buckets, 1)
+        now.hot = _hot(parts)
+        done.append(now)
+        told.append(answered)
+        _release(spark)
+
     fields = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
+    finished = tuple(done)
 
-    def evaluate(batches):
-        for block in blocks(batches):
-            counts = _unigram_counts(block, one, first)
-            h, w, bucket, _, hh, _, place = block.bigrams(counts, two, hot)
-            told = _read_answers(second, block.number)
-            c = np.zeros(len(h), np.int64)
-            sums, mass = np.zeros((K + 1, len(block.hashes)), np.int64), np.zeros(len(block.hashes))
-            cut = np.searchsorted(bucket, np.arange(two + 1))
-            for b in range(two):
-                lo, hi = cut[b], cut[b + 1]
-                if lo == hi:
-                    continue
-                c[lo:hi] = unpack(told[b]["counts"], "<i8")
-                opens = np.flatnonzero(np.concatenate(([True], hh[lo + 1 : hi] != hh[lo : hi - 1])))
-                own = h[lo:hi][opens]
-                raw = zstandard.ZstdDecompressor().decompress(told[b]["sums"])
-                wide = "<i8" if len(raw) == len(own) * (K + 1) * 8 else "<i4"
-                sums[:, own] = unpack(told[b]["sums"], wide).reshape(K + 1, -1)
-                mass[own] = unpack(told[b]["stats"], "<f8")
-            for name, (s, p) in hot_sums.items():  # split over buckets: the collected sums count
-                i = np.flatnonzero(block.hashes == np.uint64(name))
-                sums[:, i], mass[i] = s[:, None], p
-            r = np.arange(1, K + 1)
-            ch = (sums[:K] * r[:, None]).sum(0) + sums[K]
-            kept = (sums[:K] * (d2[1:] * r)[:, None]).sum(0) + sums[K]
-            one_more = (ch > 0) & (ch - kept <= 1e-9)
-            denominator = np.maximum(1, ch + one_more).astype(float)
-            left = 1 - kept / denominator
-            p1 = uni.probability(counts, unknown)
-            alpha = np.where(ch > 0, left / np.maximum(1e-300, 1 - mass), 1.0)
-            d = np.where(c <= K, d2[np.minimum(c, K)], 1.0)
-            seen = np.where(c > 0, d * c / denominator[h], 0.0)
-            log = np.empty(len(block.next))
-            hit = place >= 0
-            hit[hit] = c[place[hit]] > 0
-            log[hit] = np.log10(seen[place[hit]])
-            miss = ~hit
-            log[miss] = np.log10(alpha[block.history[miss]] * p1[block.next[miss]])
-            base = np.log10((counts + 1) / (uni.n + n_types + 1))[block.next]
-            add = lambda x: np.add.reduceat(x, block.start)  # noqa: B023, E731
-            yield pa.RecordBatch.from_arrays([pa.array(block.ids, mask=block.nulls.astype(bool)), pa.array(~block.train), pa.array(block.sizes + 1), pa.array(add((counts[block.next] > 0).astype(np.int64))), pa.array(np.full(len(block.ids), uni.n)), pa.array(add(base)), pa.array(add(log))], schema=fields)
+    def evaluate(_, body, answers):
+        block, words, _, p = climb(body, answers, finished, order)
+        add = lambda x: np.add.reduceat(x, block.start)
+        c = words.c[block.word]
+        base_score = add(np.log10((c + 1) / (n + types + 1)))
+        ids = pa.array(block.ids, mask=block.nulls)
+        yield pa.RecordBatch.from_arrays([ids, pa.array(~block.train), pa.array(block.sizes + 1), pa.array(add((c > 0).astype(np.int64))), pa.array(np.full(len(block.ids), n)), pa.array(base_score), pa.array(add(np.log10(p)))], schema=fields)
 
     ddl = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return rows.mapInArrow(evaluate, ddl), {"unigrams": uni_path, "bigrams": bi_path, "blocks": rows_path}
+    return _with_answers(base, told, n_blocks, evaluate, ddl), paths
+
+
+def _hot(parts: list) -> tuple:
+    """The summed statistics of split histories, by number; at most two per bucket."""
+    cat = lambda j: np.concatenate([body[j] for _, body in parts]) if parts else np.empty(0, np.int64)
+    names, inv = np.unique(cat(2), return_inverse=True)
+    add = lambda j: np.bincount(inv, weights=cat(j), minlength=len(names))
+    return names, np.stack([add(3 + r) for r in range(K)]).astype(np.int64), add(3 + K).astype(np.int64), add(4 + K)
 
 
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
