@@ -254,6 +254,17 @@ class Facts:
         return np.where(low[0] <= K, self.discounts[np.minimum(low[0], K)], 1.0) * low[0] / np.maximum(1, low[1])
 
 
+def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(a place of each distinct key, by rising key; which of them each key is)."""
+    order = np.argsort(keys)
+    own = keys[order]
+    first = np.ones(len(own), bool)
+    first[1:] = own[1:] != own[:-1]
+    inverse = np.empty(len(own), np.int64)
+    inverse[order] = np.cumsum(first) - 1
+    return order[first], inverse
+
+
 def spans(values: np.ndarray):
     """(value, from, to) of the runs of a sorted array."""
     if len(values):
@@ -303,24 +314,26 @@ class Plan:
             history = np.where(block.at[tokens] > 0, block.word[tokens - 1], size - 1)
         else:
             history = below.place[tokens - 1]
-        values, first, inverse = np.unique(history * block.words + block.word[tokens], return_index=True, return_inverse=True)
-        self.h = values // block.words
-        self.s = below.place[tokens[first]]  # the n-gram without its first word
-        self.trained = np.bincount(inverse, weights=block.trained[tokens], minlength=len(values)).astype(np.int64)
+        one, inverse = distinct(history * block.words + block.word[tokens])
+        self.h = history[one]
+        one = tokens[one]
+        self.s = below.place[one]  # the n-gram without its first word
+        self.trained = np.bincount(inverse, weights=block.trained[tokens], minlength=len(one)).astype(np.int64)
         self.place = np.full(len(block.word), -1)
         self.place[tokens] = inverse
         self.history = np.full(len(block.word), -1)
         self.history[tokens] = history
-        del values, inverse
+        del inverse
         alive = below.c[self.h] > 0
         common, ends_seen = below.shared[self.h], below.c[self.s] > 0
-        self.local = alive & (~common | ends_seen & ~below.shared[self.s])
-        self.ask = np.flatnonzero(alive & common & ends_seen & below.shared[self.s])
+        ends_common = below.shared[self.s]
+        self.local = alive & (~common | ends_seen & ~ends_common)
+        self.ask = np.flatnonzero(alive & common & ends_seen & ends_common)
         self.below, self.size = below, size
         # histories that other blocks have too, by number, each with its home bucket
-        known = np.zeros(size, bool)
-        known[self.h[alive & common]] = True
-        self.hists = np.flatnonzero(known)
+        self.known = np.zeros(size, bool)
+        self.known[self.h[alive & common]] = True
+        self.hists = np.flatnonzero(self.known)
         self.hists = self.hists[np.argsort(below.number[self.hists])]
         number = below.number[self.hists].astype(np.uint64)
         rank = np.full(size, -1)
@@ -329,33 +342,32 @@ class Plan:
         self.parts = np.maximum(1, np.ceil(below.c[self.hists] / max(1.0, facts.hot_from))).astype(np.int64)
         # keys: (bucket, history) pairs are entries; a split history has one in each of its parts' buckets
         r = rank[self.h[self.ask]]
-        word = self._words(block, n)
+        word = block.numbers[block.word[one[self.ask]]]
         bucket = home[r]
         split = self.parts[r] > 1
-        bucket[split] = mix(bucket[split] + np.uint64(1) + mix(word[split].astype(np.uint64)) % self.parts[r[split]].astype(np.uint64))
+        if split.any():
+            bucket[split] = mix(bucket[split] + np.uint64(1) + mix(word[split].astype(np.uint64)) % self.parts[r[split]].astype(np.uint64))
         width, buckets = max(1, len(self.hists)), np.uint64(facts.buckets)
         own = (bucket % buckets).astype(np.int64) * width + r
         self.homes = (home % buckets).astype(np.int64) * width + np.arange(len(self.hists))
-        self.entries = np.unique(np.concatenate([self.homes, own[split]]))
-        entry = np.searchsorted(self.entries, own)
-        order = np.argsort(entry * (int(word.max()) + 1 if len(word) else 1) + word)
+        self.entries = np.sort(self.homes) if not split.any() else np.unique(np.concatenate([self.homes, own[split]]))
+        # the n-grams of a history lie together, their words by rising number; so only runs change places
+        opens = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1]))) if len(own) else np.empty(0, np.int64)
+        length = np.diff(np.append(opens, len(own)))
+        entry = np.searchsorted(self.entries, own[opens])
+        turn = np.argsort(entry, kind="stable")
+        ends = np.cumsum(length[turn])
+        order = np.repeat(opens[turn] - (ends - length[turn]), length[turn]) + np.arange(len(own))
         self.ask, self.words = self.ask[order], word[order]
-        self.run = np.bincount(entry, minlength=len(self.entries))
+        self.run = np.bincount(entry, weights=length, minlength=len(self.entries)).astype(np.int64)
         self.entry_hist = self.entries % width
         self.entry_bucket = self.entries // width
         self.is_home = np.zeros(len(self.entries), bool)
         self.is_home[np.searchsorted(self.entries, self.homes)] = True
-        open_ = np.zeros(size, bool)
-        waiting = (self.place >= 0) & ~block.trained
-        open_[self.history[waiting]] = True
-        self.need = self.is_home & open_[self.hists[self.entry_hist]]
-
-    def _words(self, block: Block, n: int) -> np.ndarray:
-        """Numbers of the last words of what is asked for."""
-        first = np.zeros(len(self.h), np.int64)
-        has = np.flatnonzero(self.place >= 0)
-        first[self.place[has]] = has
-        return block.numbers[block.word[first[self.ask]]]
+        # only a text that the counts leave out can have an n-gram that they do not know
+        self.open = np.zeros(size, bool)
+        self.open[self.history[(self.place >= 0) & ~block.trained]] = True
+        self.need = self.is_home & self.open[self.hists[self.entry_hist]]
 
     def sums(self, of: np.ndarray, c: np.ndarray, p: np.ndarray, size: int):
         """(few, many, mass): the statistics of histories ``of`` over n-grams of counts c."""
@@ -391,8 +403,10 @@ class Plan:
         got.shared, got.number = np.zeros(len(self.h), bool), np.full(len(self.h), -1)
         # statistics of histories: of local ones from here, of others from the answers
         seen = np.flatnonzero(self.local & (self.trained > 0) & ~below.shared[self.h])
+        full = below.c > 0
+        full[self.h[seen[self.trained[seen] <= K]]] = False
+        seen = seen[self.open[self.h[seen]]]
         few, many, mass = self.sums(self.h[seen], self.trained[seen], below.p[self.s[seen]], size)
-        full = (few.sum(0) == 0) & (many > 0)
         told = dict(answers)
         starts = np.concatenate(([0], np.cumsum(self.run)))
         for bucket, lo, hi in spans(self.entry_bucket):
@@ -415,18 +429,18 @@ class Plan:
             few[:, hist], many[hist], mass[hist] = facts.hot[1][:, i], facts.hot[2][i], facts.hot[3][i]
             full[hist] = (facts.hot[1][:, i].sum(0) == 0) & (facts.hot[2][i] > 0)
         whole = below.c + full  # what the counts after a history are divided by
-        d = facts.discounts
         got.low = [got.c, whole[self.h]]
         got.p = np.where(got.c > 0, facts.probability(got.low), 0.0)
-        kept = ((d[1:] * np.arange(1, K + 1))[:, None] * few).sum(0) + many
-        alpha = (1 - kept / np.maximum(1, whole)) / np.maximum(1e-300, 1 - mass)
         now = before.copy()
         t = np.flatnonzero(self.place >= 0)
-        gram, hist = self.place[t], self.history[t]
-        hit = got.c[gram] > 0
-        now[t[hit]] = got.p[gram[hit]]
-        miss = ~hit & (below.c[hist] > 0)
-        now[t[miss]] = alpha[hist[miss]] * before[t[miss]]
+        p = got.p[self.place[t]]
+        hit = p > 0
+        now[t[hit]] = p[hit]
+        t = t[~hit]
+        hist = self.history[t]
+        t, hist = t[below.c[hist] > 0], hist[below.c[hist] > 0]
+        kept = sum(facts.discounts[r] * r * few[r - 1, hist] for r in range(1, K + 1)) + many[hist]
+        now[t] *= (1 - kept / whole[hist]) / np.maximum(1e-300, 1 - mass[hist])
         return got, now
 
 
