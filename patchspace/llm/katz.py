@@ -389,7 +389,8 @@ class Plan:
             with_sums = self.is_home[lo:hi] & some[e]
             keys = slice(starts[lo], starts[hi])
             own = e[with_sums]
-            yield bucket, pack(steps(numbers[e]), self.run[lo:hi], self.need[lo:hi], self.parts[e] > 1, with_sums, *few[:, own], many[own], mass[own], self.words[keys], self.trained[self.ask[keys]], *[x[keys] for x in low])
+            trained = self.trained[self.ask[keys]]
+            yield bucket, pack(steps(numbers[e]), self.run[lo:hi], self.need[lo:hi], self.parts[e] > 1, with_sums, *few[:, own], many[own], mass[own], self.words[keys], trained, *[x[keys][trained > 0] for x in low])
 
     def cofc(self) -> np.ndarray:
         return _counts_of_counts(self.trained[self.local])
@@ -509,7 +510,10 @@ def _merge_grams(below: Facts, last: bool):
         both = np.diff(np.append(start, len(order))) > 1
         of, one = h[order[start]], order[start]
         seen = c > 0
-        p = np.where(seen, below.probability([cat(K + 9 + j)[one] for j in range(lows)]), 0.0)
+        low = np.zeros((lows, len(order)), np.int64)
+        low[:, trained > 0] = [cat(K + 9 + j) for j in range(lows)]  # blocks send it with what they count
+        low = np.maximum.reduceat(low[:, order], start, axis=1) if len(start) else low
+        p = np.where(seen, below.probability(list(low)), 0.0)
         few = np.stack([np.bincount(of[c == r], minlength=size) for r in range(1, K + 1)])
         many = np.bincount(of, weights=np.where(c > K, c, 0), minlength=size).astype(np.int64)
         mass = np.bincount(of, weights=p, minlength=size).astype(float)
@@ -523,7 +527,8 @@ def _merge_grams(below: Facts, last: bool):
         hot = np.unique(inv[cat(3).astype(bool)])
         numbered = both & seen
         rank = np.cumsum(numbered) - 1
-        table = pack(steps(hists), np.bincount(of[seen], minlength=size), word[one][seen], c[seen])
+        kept = np.flatnonzero(numbered)  # n-grams of one block are counted there
+        table = pack(steps(hists), np.bincount(of[kept], minlength=size), word[one[kept]], c[kept])
         yield _rows([(bucket, -1, TABLE, table), (bucket, -1, TOTALS, pack(np.array([0, 0, numbered.sum()]), cofc, hists[hot], *few[:, hot], many[hot], mass[hot]))])
         at = at_entry = 0
         for (block, _), m in zip(messages, told, strict=True):
