@@ -1,15 +1,19 @@
 """Nearest neighbours on the z-curve for a batch of queries, and filter-and-refine search.
 
 A recursion that prunes region by region becomes two rounds that all queries share. Round one
-scans the nearest blocks that hold k entries, which gives every query a radius; round two scans
-the other blocks whose box is not farther than that radius. The result is that of the recursion:
-bounds only leave out what cannot be among the k nearest.
+finds each query's place among the sorted blocks by bisection, as its key is made like theirs, and scans the
+blocks around it that hold k entries: that gives the query a radius. Round two descends a tree
+of boxes over the blocks, nodes of ``FAN`` children, and scans what is not farther than the radius.
+No query meets all blocks in either. The result is that of the recursion: bounds only leave out what cannot be
+among the k nearest.
 
 Ties go to the smaller patch_id everywhere, so a box at exactly the radius is still scanned.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_right
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -17,14 +21,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from patchspace.functions.costs import Cost, l2
-from patchspace.functions.zcurve import box_distance2, l2_squared
+from patchspace.functions.zcurve import box_distance2, encode, l2_squared
 from patchspace.operators.footprints import select_index
+from patchspace.operators.patches import RasterPatches
 from patchspace.operators.reduce import matrix
 from patchspace.operators.zindex import ZIndex
 from patchspace.shared import ship, staged
 
-BROADCAST_BLOCKS = 200_000  # rows of a catalogue that may go to every task
-GROUP = 256  # blocks of a group, when the catalogue is larger
+FAN = 32  # children of a node of the box tree
 MARGIN = 1e-4  # relative, for coordinates stored as floats
 
 
@@ -58,25 +62,98 @@ def query_coords(queries: DataFrame, index: ZIndex) -> DataFrame:
     return rows.mapInArrow(run, "query_id long, image_id long, cy int, cx int, index_id int, coord array<double>")
 
 
-def _bounded(q: DataFrame, catalog: DataFrame, radius2: Column | None = None) -> DataFrame:
-    """(query, block) pairs with the squared distance ``d`` to the block's box.
+class Boxes:
+    """The units of an index (blocks, or groups of them) in curve order, under a tree of boxes."""
+
+    def __init__(self, keys: list[bytes], ids: np.ndarray, n: np.ndarray, lo: np.ndarray, hi: np.ndarray):
+        self.keys, self.ids, self.n = keys, ids, n
+        self.levels = [(lo, hi)]
+        while len(self.levels[-1][0]) > FAN:
+            lo, hi = self.levels[-1]
+            cut = np.arange(0, len(lo), FAN)
+            self.levels.append((np.minimum.reduceat(lo, cut), np.maximum.reduceat(hi, cut)))
+
+    def around(self, key: bytes, wanted: int) -> np.ndarray:
+        """Units on both sides of a key's place, until they hold ``wanted`` entries."""
+        at = max(0, bisect_right(self.keys, key) - 1)
+        left, right, have = at, at, int(self.n[at]) if len(self.n) else 0
+        while have < wanted and (left > 0 or right + 1 < len(self.n)):
+            if right + 1 < len(self.n):
+                right += 1
+                have += int(self.n[right])
+            if left > 0 and have < wanted:
+                left -= 1
+                have += int(self.n[left])
+        return np.arange(left, right + 1) if len(self.n) else np.empty(0, np.int64)
+
+    def within(self, point: np.ndarray, radius2: float) -> np.ndarray:
+        """Units whose box is within the radius, found from the root down."""
+        at = np.arange(len(self.levels[-1][0]))
+        for depth in range(len(self.levels) - 1, -1, -1):
+            lo, hi = self.levels[depth]
+            at = at[at < len(lo)]
+            gap = np.maximum(0.0, np.maximum(lo[at] - point, point - hi[at]))
+            at = at[(gap**2).sum(1) <= radius2]
+            if depth:
+                at = (at[:, None] * FAN + np.arange(FAN)[None, :]).ravel()
+        return at
+
+
+def _boxes(index: ZIndex) -> dict[int, Boxes]:
+    """A tree for each index of the units; their number is checked where they are chosen."""
+    rows = index.units().toPandas()  # UNITS rows at most
+    out = {}
+    for i, own in rows.groupby("index_id"):
+        own = own.sort_values(["z_lo", "unit"])
+        out[int(i)] = Boxes([bytes(z) for z in own.z_lo], own.unit.to_numpy(np.int64), own.n.to_numpy(np.int64), np.stack(own.box_lo.to_numpy()).astype(float), np.stack(own.box_hi.to_numpy()).astype(float))
+    return out
+
+
+QUERY = "query_id long, image_id long, cy int, cx int, index_id int, coord array<double>"
 
-    A catalogue of checked size is broadcast. A larger one is met in two levels: groups of
-    blocks first (their boxes enclose their blocks' boxes), then the blocks of surviving groups.
-    """
-    pair = [F.col("index_id") == F.col("c_index")]
-    blocks = catalog.select(F.col("index_id").alias("c_index"), "block_id", "n", "box_lo", "box_hi")
-    gap = box_distance2(F.col("coord"), F.col("box_lo"), F.col("box_hi"))
-    keep = (lambda d: d <= radius2) if radius2 is not None else (lambda d: F.lit(True))
-    if catalog.count() <= BROADCAST_BLOCKS:
-        return q.join(F.broadcast(blocks), pair).withColumn("d", gap).where(keep(F.col("d"))).drop("box_lo", "box_hi", "c_index")
-    grouped = blocks.withColumn("g", F.shiftright("block_id", 8))
-    dims = len(catalog.select("box_lo").first()[0])
-    axis = lambda f, c: F.array(*[f(F.col(c)[i]) for i in range(dims)])
-    tops = grouped.groupBy("c_index", "g").agg(axis(F.min, "box_lo").alias("box_lo"), axis(F.max, "box_hi").alias("box_hi"))
-    near = q.join(tops, pair).withColumn("top", gap).where(keep(F.col("top"))).drop("box_lo", "box_hi", "top", "c_index")
-    inner = grouped.withColumnRenamed("g", "c_g")
-    return near.join(inner, [F.col("index_id") == F.col("c_index"), F.col("g") == F.col("c_g")]).withColumn("d", gap).where(keep(F.col("d"))).drop("box_lo", "box_hi", "c_index", "c_g", "g")
+
+def near_blocks(q: DataFrame, index: ZIndex, wanted: int, radius: bool = False) -> DataFrame:
+    """Pairs of ``q`` (with ``radius2``, if ``radius``) and blocks: those around a query's place, or,
+    with a radius, those within it that the first kind (of ``wanted`` entries) leaves out."""
+    spark = q.sparkSession
+    ship(spark)
+    sent, bases = spark.sparkContext.broadcast(_boxes(index)), {b.index_id: b for b in index.bases}
+    bits, grouped = index.bits, index.grouped
+
+    def pair(batches):
+        trees = sent.value
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            points = matrix(batch.column("coord")).astype(float)
+            found, rows = [], []
+            for row, (i, point) in enumerate(zip(batch.column("index_id").to_pylist(), points, strict=True)):
+                tree = trees.get(i)
+                if tree is None:
+                    continue
+                key = encode(bases[i].quantise(point[None, :], bits), bits).tobytes()
+                units = tree.around(key, 1 if grouped else wanted) if wanted else np.empty(0, np.int64)
+                if radius:
+                    inside = tree.within(point, batch.column("radius2")[row].as_py())
+                    units = inside if grouped else np.setdiff1d(inside, units)
+                found.append(tree.ids[units])
+                rows.append(np.full(len(units), row))
+            take = pa.array(np.concatenate(rows) if rows else np.empty(0, np.int64))
+            out = batch.take(take)
+            yield pa.RecordBatch.from_arrays([*out.columns, pa.array(np.concatenate(found) if found else np.empty(0, np.int64))], names=[*out.schema.names, "unit"])
+
+    columns = ["query_id", "image_id", "cy", "cx", "index_id", "coord", *(["radius2"] if radius else [])]
+    pairs = q.select(*columns).mapInArrow(pair, QUERY + (", radius2 double" if radius else "") + ", unit long")
+    if not grouped:
+        return pairs.withColumnRenamed("unit", "block_id")
+    # a large catalogue: units are groups, so the blocks of the few groups of a query are met next
+    blocks = index.catalog.select(F.col("index_id").alias("c_index"), "block_id", index.unit_of(F.col("block_id")).alias("c_unit"), "n", "box_lo", "box_hi")
+    met = pairs.join(blocks, [F.col("index_id") == F.col("c_index"), F.col("unit") == F.col("c_unit")])
+    met = met.withColumn("d", box_distance2(F.col("coord"), F.col("box_lo"), F.col("box_hi"))).drop("c_index", "c_unit", "unit", "box_lo", "box_hi")
+    if radius:
+        return met.where(F.col("d") <= F.col("radius2")).drop("d", "n")
+    ahead = F.sum("n").over(Window.partitionBy("query_id").orderBy("d", "block_id").rowsBetween(Window.unboundedPreceding, -1))
+    return met.withColumn("ahead", F.coalesce(ahead, F.lit(0))).where(F.col("ahead") < wanted).drop("ahead", "d", "n")
 
 
 def scan_blocks(pairs: DataFrame, entries: DataFrame, k: int | None, exclude_radius: int | None) -> DataFrame:
@@ -106,29 +183,36 @@ def zcurve_knn(queries: DataFrame, index: ZIndex, k: int, exclude_radius: int |
     ``counters``: also blocks visited, blocks in the index, and distances computed per query.
     """
     q = staged(query_coords(queries, index), "knn-queries")
-    near = _bounded(q, index.catalog)
-    order = Window.partitionBy("query_id").orderBy("d", "block_id")
-    ahead = F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, -1))
     wanted = k if exclude_radius is None else k + (2 * exclude_radius - 1) ** 2  # room for what is excluded
-    seeds = staged(near.withColumn("ahead", F.coalesce(ahead, F.lit(0))).where(F.col("ahead") < wanted), "knn-seeds")
+    seeds = near_blocks(q, index, wanted)
     first = staged(scan_blocks(seeds, index.entries, k, exclude_radius), "knn-first")
     worst = first.groupBy("query_id").agg(F.max("dist2").alias("worst"), F.count("*").alias("got"))
     radius = worst.select(F.col("query_id").alias("r_id"), F.when(F.col("got") >= k, F.col("worst") * (1 + MARGIN)).otherwise(F.lit(float("inf"))).alias("radius2"))
     q2 = q.join(radius, F.col("query_id") == F.col("r_id"), "left").withColumn("radius2", F.coalesce("radius2", F.lit(float("inf")))).drop("r_id")
-    rest = _bounded(q2, index.catalog, F.col("radius2")).join(seeds.select("query_id", "block_id"), ["query_id", "block_id"], "left_anti")
+    rest = near_blocks(q2, index, wanted, radius=True)
+    if index.grouped:  # a seed is met again with its group
+        rest = rest.join(seeds.select("query_id", "block_id"), ["query_id", "block_id"], "left_anti")
     more = scan_blocks(rest, index.entries, k, exclude_radius)
     out = first_k(first.drop("rank").unionByName(more.drop("rank")), k)
     if not counters:
         return out
-    visits = seeds.select("query_id", "index_id", "n").unionByName(rest.select("query_id", "index_id", "n"))
+    sizes = index.catalog.select(F.col("index_id").alias("c_index"), F.col("block_id").alias("c_block"), "n")
+    visits = seeds.select("query_id", "index_id", "block_id").unionByName(rest.select("query_id", "index_id", "block_id"))
+    visits = visits.join(sizes, [F.col("index_id") == F.col("c_index"), F.col("block_id") == F.col("c_block")])
     visits = visits.groupBy("query_id", "index_id").agg(F.count("*").alias("blocks"), F.sum("n").alias("distances"))
-    sizes = index.catalog.groupBy(F.col("index_id").alias("s_index")).agg(F.count("*").alias("all_blocks"), F.sum("n").alias("entries"))
-    return visits.join(F.broadcast(sizes), F.col("index_id") == F.col("s_index")).select("query_id", "index_id", "blocks", "all_blocks", "distances", "entries")
+    all_of = index.catalog.groupBy(F.col("index_id").alias("s_index")).agg(F.count("*").alias("all_blocks"), F.sum("n").alias("entries"))
+    return visits.join(F.broadcast(all_of), F.col("index_id") == F.col("s_index")).select("query_id", "index_id", "blocks", "all_blocks", "distances", "entries")  # a row per index
 
 
-def refine(candidates: DataFrame, queries: DataFrame, dictionary: DataFrame, cost: Cost, k: int = 1) -> DataFrame:
-    """True costs of candidates over the whole search area; the k best of each query."""
-    pairs = candidates.select("query_id", "patch_id").join(dictionary.select("patch_id", F.col("vals").alias("p_vals")), "patch_id")
+def refine(candidates: DataFrame, queries: DataFrame, dictionary: DataFrame | RasterPatches, cost: Cost, k: int = 1) -> DataFrame:
+    """True costs of candidates over the whole search area; the k best of each query.
+
+    Candidates of a raster's patches are sent to the strips they are cut from; a dictionary that is a
+    table is joined by patch_id, where the smaller side, as a rule the candidates, is broadcast.
+    """
+    wanted = candidates.select("query_id", "patch_id")
+    patches = dictionary.cut(wanted.select("patch_id").distinct()) if isinstance(dictionary, RasterPatches) else dictionary
+    pairs = wanted.join(patches.select("patch_id", F.col("vals").alias("p_vals")), "patch_id")
     found = pairs.join(queries.select("query_id", "vals", "known"), "query_id").select("query_id", "patch_id", cost.column(F.col("vals"), F.col("p_vals"), F.col("known")).alias("cost"))
     if k == 1:
         best = found.groupBy("query_id").agg(F.min(F.struct("cost", "patch_id")).alias("b"), F.count("*").alias("refined"))
@@ -137,13 +221,14 @@ def refine(candidates: DataFrame, queries: DataFrame, dictionary: DataFrame, cos
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def full_scan(queries: DataFrame, dictionary: DataFrame, cost: Cost | None = None, k: int = 1, exclude_radius: int | None = None) -> DataFrame:
+def full_scan(queries: DataFrame, dictionary: DataFrame | RasterPatches, cost: Cost | None = None, k: int = 1, exclude_radius: int | None = None) -> DataFrame:
     """The declared baseline: every query against every patch. query_id, rank, patch_id, cost.
 
     The stated queries go to the tasks that hold patches, as long as they are few; beyond that
     Spark pairs partitions of both.
     """
     cost = cost or l2()
+    dictionary = dictionary.frame if isinstance(dictionary, RasterPatches) else dictionary
     q = queries.select("query_id", "image_id", "cy", "cx", "vals", "known")
     if q.count() <= 10_000:
         q = F.broadcast(q)
@@ -156,7 +241,7 @@ def full_scan(queries: DataFrame, dictionary: DataFrame, cost: Cost | None = Non
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def search(queries: DataFrame, index: ZIndex, dictionary: DataFrame, k: int = 80, cost: Cost | None = None, exact: bool = False, exclude_radius: int | None = None, on_uncovered: str = "scan") -> DataFrame:
+def search(queries: DataFrame, index: ZIndex, dictionary: DataFrame | RasterPatches, k: int = 80, cost: Cost | None = None, exact: bool = False, exclude_radius: int | None = None, on_uncovered: str = "scan") -> DataFrame:
     """Filter with the index, refine with the true cost: query_id, patch_id, cost, refined.
 
     ``exact``: an orthonormal projection of some known positions never exceeds the L2 cost, so
@@ -174,11 +259,10 @@ def search(queries: DataFrame, index: ZIndex, dictionary: DataFrame, k: int = 80
         norm = F.sqrt(F.col("cost").cast("double")) if cost.root == 2 else F.col("cost").cast("double")
         radius = best.select(F.col("query_id").alias("r_id"), F.pow(norm / cost.filter_scale * (1 + MARGIN) + MARGIN, 2).alias("radius2"))
         q = query_coords(chosen, index).join(radius, F.col("query_id") == F.col("r_id"), "left").withColumn("radius2", F.coalesce("radius2", F.lit(float("inf")))).drop("r_id")
-        pairs = _bounded(q, index.catalog, F.col("radius2"))
+        pairs = near_blocks(q, index, 0, radius=True)
         within = scan_blocks(pairs, index.entries, None, exclude_radius).join(radius.withColumnRenamed("r_id", "query_id"), "query_id", "left").where(F.col("dist2") <= F.coalesce("radius2", F.lit(float("inf"))))
         best = refine(within, chosen, dictionary, cost)
-    if on_uncovered == "scan":
-        left = chosen.where("index_id IS NULL")
+    if on_uncovered == "scan" and not (left := chosen.where("index_id IS NULL")).isEmpty():
         scanned = full_scan(left, dictionary, cost, 1, exclude_radius).select("query_id", "patch_id", "cost", F.lit(None).cast("long").alias("refined"))
         best = best.unionByName(scanned)
     return best

@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+from typing import TYPE_CHECKING
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from patchspace.functions.portable import portable_hash
+from patchspace.shared import staged
+
+if TYPE_CHECKING:
+    from patchspace.operators.zindex import ZIndex
 
 STEP = 1 << 20  # cells per side of the largest raster a patch_id can address
 
@@ -65,13 +71,62 @@ def build_dictionary(raster: DataFrame, k: int, stride: int = 1, sample: float |
     return out
 
 
-def save_dictionary(dictionary: DataFrame, path: str) -> None:
-    dictionary.write.mode("errorifexists").parquet(path)
+STRIP = 256  # cells of a strip, a piece of a raster's row
+
+
+class RasterPatches:
+    """The dictionary of a raster that is never written out: patches are cut where they are asked for."""
+
+    def __init__(self, raster: DataFrame, k: int):
+        self.raster, self.k = raster, k
+        self._strips: DataFrame | None = None
+
+    @property
+    def frame(self) -> DataFrame:
+        """All wholly known patches, as a table."""
+        return build_dictionary(self.raster, self.k)
+
+    @property
+    def strips(self) -> DataFrame:
+        """image_id, y, strip, x0, cells: known cells of a piece of a row, written once, in order of x."""
+        if self._strips is None:
+            cells = self.raster.where("known").groupBy("image_id", "y", F.expr(f"x div {STRIP}").alias("strip"))
+            strips = cells.agg(F.array_sort(F.collect_list(F.struct("x", "pix"))).alias("cells"))
+            self._strips = staged(strips, "strips")
+        return self._strips
+
+    def cut(self, ids: DataFrame) -> DataFrame:
+        """patch_id, vals of the patches with these identifiers: k rows of each, from the strips they cross.
+
+        A patch that is not wholly known, or not on the raster, has no row.
+        """
+        half, k = self.k // 2, self.k
+        at = ids.select("patch_id", F.shiftright("patch_id", 40).alias("image_id"), F.pmod(F.shiftright("patch_id", 20), F.lit(STEP)).cast("int").alias("cy"), F.pmod("patch_id", F.lit(STEP)).cast("int").alias("cx"))
+        rows = at.select("patch_id", "image_id", "cx", F.explode(F.sequence(F.col("cy") - half, F.col("cy") - half + (k - 1))).alias("y"))
+        first, last = F.expr(f"(cx - {half}) div {STRIP}"), F.expr(f"(cx - {half} + {k - 1}) div {STRIP}")
+        rows = rows.select("patch_id", "image_id", "cx", "y", F.explode(F.sequence(first, last)).alias("strip"))
+        part = rows.join(self.strips, ["image_id", "y", "strip"])
+        part = part.select("patch_id", "y", "strip", F.filter("cells", lambda c: c["x"].between(F.col("cx") - half, F.col("cx") - half + (k - 1))).alias("cells"))
+        whole = part.groupBy("patch_id").agg(F.array_sort(F.collect_list(F.struct("y", "strip", "cells"))).alias("parts"))
+        cells = F.flatten(F.transform("parts", lambda p: p["cells"]))
+        return whole.select("patch_id", cells.alias("cells")).where(F.size("cells") == k * k).select("patch_id", F.flatten(F.transform("cells", lambda c: c["pix"])).alias("vals"))
+
+
+def save_dictionary(dictionary: DataFrame, path: str, index: ZIndex | None = None) -> None:
+    """Write a dictionary; with an index, in curve order, a folder for each of its indices."""
+    if index is None:
+        dictionary.write.mode("errorifexists").parquet(path)
+        return
+    keys = index.entries.select("index_id", "zkey", "patch_id")
+    rows = keys.join(dictionary, "patch_id").repartitionByRange("index_id", "zkey", "patch_id").sortWithinPartitions("index_id", "zkey", "patch_id")
+    rows.write.mode("errorifexists").partitionBy("index_id").parquet(path)
 
 
 def load_dictionary(spark: SparkSession, path: str) -> DataFrame:
     """A saved dictionary, with the columns that ``build_dictionary`` gives."""
     found = spark.read.parquet(path)
+    if {"index_id", "zkey"} <= set(found.columns):  # saved in curve order: a patch stands once in each index
+        found = found.where(F.col("index_id") == found.agg(F.min("index_id")).first()[0]).drop("index_id", "zkey")
     missing = {"patch_id", "image_id", "vals"} - set(found.columns)
     if missing:
         raise ValueError(f"not a dictionary: no {sorted(missing)}")

@@ -11,17 +11,19 @@ from __future__ import annotations
 
 import json
 from dataclasses import asdict, dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from patchspace.operators.footprints import Footprint
 from patchspace.operators.reduce import Basis, fit_pca, matrix
 from patchspace.shared import new_path, ship
 
+UNITS = 200_000  # blocks, or groups of them, that may go to every task
 ENTRY = "index_id int, zkey binary, coord array<float>, patch_id long, image_id long"
 BLOCKED = "index_id int, block_id long, zkey binary, coord array<float>, patch_id long, image_id long"
 
@@ -40,6 +42,30 @@ class ZIndex:
     def basis(self, index_id: int) -> Basis:
         return next(b for b in self.bases if b.index_id == index_id)
 
+    @cached_property
+    def shift(self) -> int:
+        """Units are blocks as long as the catalogue has at most UNITS rows; beyond, neighbouring blocks
+        share a unit, in powers of two, until there are no more units than that."""
+        n, shift = self.catalog.count(), 0
+        while n >> shift > UNITS:
+            shift += 4
+        return shift
+
+    @property
+    def grouped(self) -> bool:
+        return self.shift > 0
+
+    def unit_of(self, block_id: Column) -> Column:
+        return F.shiftright(block_id, self.shift)
+
+    def units(self) -> DataFrame:
+        """index_id, unit, n, z_lo, box_lo, box_hi: what every task may know of the catalogue."""
+        if not self.grouped:
+            return self.catalog.select("index_id", F.col("block_id").alias("unit"), "n", "z_lo", "box_lo", "box_hi")
+        axis = lambda f, c: F.array(*[f(F.col(c)[i]) for i in range(self.dims)])
+        grouped = self.catalog.groupBy("index_id", self.unit_of(F.col("block_id")).alias("unit"))
+        return grouped.agg(F.sum("n").alias("n"), F.min("z_lo").alias("z_lo"), axis(F.min, "box_lo").alias("box_lo"), axis(F.max, "box_hi").alias("box_hi"))
+
 
 def project(dictionary: DataFrame, bases: list[Basis], bits: int = 8, order: list[int] | None = None) -> DataFrame:
     """Entries of all indices in one pass over the patches."""
@@ -106,7 +132,7 @@ def build_index(dictionary: DataFrame, fps: list[Footprint], k: int, dims: int =
     path = path or new_path(spark, "zindex")
     cut_blocks(project(dictionary, bases, bits, order), mu).write.partitionBy("index_id").parquet(f"{path}/entries")
     entries = spark.read.schema(BLOCKED).parquet(f"{path}/entries")
-    block_catalog(entries, used).coalesce(1).write.parquet(f"{path}/catalog")
+    block_catalog(entries, used).write.parquet(f"{path}/catalog")
     meta = {"k": k, "dims": used, "mu": mu, "bits": bits, "footprints": [asdict(f) for f in fps], "bases": [{"index_id": b.index_id, "pos": b.pos.tolist(), "mean": b.mean.tolist(), "loadings": b.loadings.tolist(), "eigen": b.eigen.tolist(), "low": b.low, "step": b.step} for b in bases]}
     spark.createDataFrame([(json.dumps(meta),)], "meta string").coalesce(1).write.parquet(f"{path}/meta")
     return load_index(spark, path)
