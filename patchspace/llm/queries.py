@@ -22,6 +22,30 @@ r AS (
 SELECT query_id, k::INTEGER AS rank, vec_id, score FROM r WHERE k <= 20
 """
 
+OP3 = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
+d AS (SELECT page_id, octet_length(encode(html))::BIGINT AS payload_bytes, sha256(html) AS payload_digest FROM p),
+f AS (SELECT *, CASE WHEN payload_bytes >= 100 THEN min(page_id) OVER (PARTITION BY payload_digest) END AS first_id FROM d)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id <> first_id THEN 'revisit' ELSE 'response' END AS record_type,
+  CASE WHEN page_id <> first_id THEN first_id END AS refers_to FROM f
+"""
+
+# shingles as sets of (word, word, word); links from counts of common shingles; components by recursion
+OP9 = """
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents),
+s AS (SELECT doc_id, CASE WHEN len(words) = 0 THEN [] WHEN len(words) < 3 THEN [array_to_string(words, ' ')]
+    ELSE list_distinct([words[i] || ' ' || words[i + 1] || ' ' || words[i + 2] for i in range(1, len(words) - 1)]) END AS shingles FROM w),
+n AS (SELECT doc_id, len(shingles)::BIGINT AS n FROM s),
+u AS (SELECT doc_id, unnest(shingles) AS shingle FROM s),
+links AS (SELECT a.doc_id AS a, b.doc_id AS b FROM u a JOIN u b ON a.shingle = b.shingle AND a.doc_id < b.doc_id
+  JOIN n x ON x.doc_id = a.doc_id JOIN n y ON y.doc_id = b.doc_id
+  GROUP BY a.doc_id, b.doc_id, x.n, y.n HAVING 100 * count(*) >= 85 * (x.n + y.n - count(*))),
+both_ways AS (SELECT a, b FROM links UNION SELECT b, a FROM links),
+reach(id, node) AS (SELECT doc_id, doc_id FROM n UNION SELECT r.id, l.b FROM reach r JOIN both_ways l ON l.a = r.node)
+SELECT n.doc_id, n.n AS n_shingles, min(r.node)::BIGINT AS component_id, n.doc_id = min(r.node) AS kept FROM n JOIN reach r ON r.id = n.doc_id GROUP BY n.doc_id, n.n
+"""
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
@@ -40,5 +64,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op3_warc": OP3,
         "op4_pivot_annuli": OP4,
+        "op9_chosen_path": OP9,
     }
