@@ -131,10 +131,20 @@ def ssim() -> Cost:
     return Cost("ssim", column, local, False, None)
 
 
-def guided(weight: int, guide: Callable[[Column, Column], Column]) -> Cost:
-    """Squared L2 plus a weighted non-negative distance to a guide raster's patch."""
+def guided(weight: int, guide: Callable[[Column, Column], Column], guide_local: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None) -> Cost:
+    """Squared L2 plus a weighted non-negative distance to a guide raster's patch.
+
+    ``guide`` gives that distance for columns, ``guide_local`` for a query and rows of patches in
+    numpy; fills need the second.
+    """
     base = l2()
-    return Cost("guided", lambda q, p, k: base.column(q, p, k) + weight * guide(q, p), base.local, True, 1.0, 2)
+
+    def local(q, p, k):
+        if guide_local is None:
+            raise ValueError("this guide has no numpy form, which a fill needs")
+        return base.local(q, p, k) + weight * guide_local(q, p)
+
+    return Cost("guided", lambda q, p, k: base.column(q, p, k) + weight * guide(q, p), local, True, 1.0, 2)
 
 
 def blend_weights(query: np.ndarray, patches: np.ndarray, known: np.ndarray, ridge: float = 1e-3) -> np.ndarray:

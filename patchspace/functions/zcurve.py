@@ -7,6 +7,7 @@ builders serve plans; the functions on integers and arrays serve kernels and tes
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -136,26 +137,62 @@ def ranges(lo, hi, bits: int = 8, most: int = 16) -> list[tuple[int, int]]:
     return [tuple(x) for x in out]
 
 
-def hilbert_int(point, bits: int = 8) -> int:
-    """Place of a point on the Hilbert curve (Gray code of transposed axes), for ablations."""
-    x, n = [int(v) for v in point], len(point)
-    m = 1 << (bits - 1)
-    q = m
-    while q > 1:
-        p = q - 1
-        for i in range(n):
-            if x[i] & q:
-                x[0] ^= p
-            else:
-                t = (x[0] ^ x[i]) & p
-                x[0] ^= t
-                x[i] ^= t
-        q >>= 1
-    for i in range(1, n):
-        x[i] ^= x[i - 1]
-    t, q = 0, m
-    while q > 1:
-        if x[n - 1] & q:
-            t ^= q - 1
-        q >>= 1
-    return encode_int([v ^ t for v in x], bits)
+def hilbert(points: np.ndarray, bits: int = 8) -> np.ndarray:
+    """Places of points (rows) on the Hilbert curve, as Python integers in an object array where needed.
+
+    From the highest bit down, the bits of a point name one of the 2^D sub-boxes. The curve visits
+    sub-boxes in Gray-code order after the box's own reflection (``flip``) and rotation of axes
+    (``turn``); both follow from the sub-box that was entered.
+    """
+    points = np.atleast_2d(points).astype(np.int64)
+    n, dims = points.shape
+    full = (1 << dims) - 1
+    flip, turn = np.zeros(n, np.int64), np.zeros(n, np.int64)
+    out = np.zeros(n, np.int64 if dims * bits < 63 else object)
+    rotate = lambda x, r: ((x >> r) | (x << (dims - r))) & full
+    for b in range(bits - 1, -1, -1):
+        box = np.zeros(n, np.int64)
+        for i in range(dims):
+            box |= (points[:, i] >> b & 1) << i
+        local = rotate(box ^ flip, turn)
+        place, shifted = local.copy(), local >> 1
+        while shifted.any():  # the inverse of the Gray code: prefix parities of the bits
+            place ^= shifted
+            shifted >>= 1
+        out = (out << dims) | place
+        # where the curve enters the sub-box, and along which axis it leaves it
+        even = np.maximum(0, 2 * ((place - 1) // 2))
+        entry = np.where(place == 0, 0, even ^ (even >> 1))
+        ones = np.where(place % 2 == 0, place - 1, place)
+        axis = np.zeros(n, np.int64)
+        run = np.where(place == 0, 0, ones)
+        while (run & 1).any():  # trailing ones
+            axis += run & 1
+            run = np.where(run & 1, run >> 1, 0)
+        axis = np.where(place == 0, 0, axis) % dims
+        flip = flip ^ rotate(entry, (dims - turn) % dims)
+        turn = (turn + axis + 1) % dims
+    return out
+
+
+def h_key(coords: Column, dims: int, bits: int = 8) -> Column:
+    """The Hilbert place of an array column as a long; ``dims * bits`` is 62 at most."""
+    if dims * bits > 62:
+        raise ValueError("a Hilbert key has 62 bits at most")
+
+    @F.pandas_udf("long")
+    def place(p: pd.Series) -> pd.Series:
+        return pd.Series(hilbert(np.stack(p.to_numpy()), bits).astype(np.int64) if len(p) else np.empty(0, np.int64))
+
+    return place(coords)
+
+
+def z_split(lo: Column, hi: Column) -> Column:
+    """struct(dim, cut): where a box is cut, at the highest bit in which its corners differ (of several
+    dimensions the first); null for a single point. ``cut`` is the last value of the lower half."""
+    diff = F.zip_with(lo, hi, lambda a, b: a.cast("long").bitwiseXOR(b.cast("long")))
+    ranked = F.transform(diff, lambda d, i: F.struct(F.when(d > 0, F.floor(F.log2(d.cast("double")))).otherwise(-1).cast("int").alias("bit"), (-i).alias("first")))
+    best = F.array_max(ranked)
+    top = F.element_at(hi, 1 - best["first"]).cast("long")
+    size = F.call_function("shiftleft", F.lit(1).cast("long"), best["bit"])
+    return F.when(best["bit"] >= 0, F.struct((-best["first"]).cast("int").alias("dim"), (top - F.pmod(top, size) - 1).cast("int").alias("cut")))

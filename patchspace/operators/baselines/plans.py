@@ -22,6 +22,8 @@ def idistance_build(points: DataFrame, refs: int = 16, seed: int = 5, sample: in
 
     ``points``: patch_id, coord. References are means fitted on a bounded sample in hash order.
     """
+    if points.isEmpty():
+        return points.select("patch_id", "coord", F.lit(0).alias("ref"), F.lit(0.0).alias("r")), []
     few = points.orderBy(portable_hash(F.col("patch_id")), "patch_id").limit(sample)
     model = KMeans(k=refs, seed=seed, maxIter=5, featuresCol="features").fit(few.select(array_to_vector("coord").alias("features")))
     centres = [[float(v) for v in c] for c in model.clusterCenters()]
@@ -37,6 +39,8 @@ def idistance_knn(queries: DataFrame, keyed: DataFrame, centres: list[list[float
     Keys are cut into rings of ``width``; a round joins the rings that the radius reaches, and a
     query ends when its k-th distance is within the radius: nothing outside can be nearer.
     """
+    if not centres:
+        return queries.select("query_id", F.lit(0).alias("rank"), F.lit(None).cast("long").alias("patch_id"), F.lit(0.0).alias("dist2")).limit(0)
     rings = keyed.withColumn("ring", F.floor(F.col("r") / width))
     table = F.array(*[F.array(*[F.lit(v) for v in c]) for c in centres])
     to = F.transform(table, lambda c, i: F.struct(i.alias("ref"), F.sqrt(l2_squared(F.col("coord"), c)).alias("d")))
@@ -57,27 +61,29 @@ def idistance_knn(queries: DataFrame, keyed: DataFrame, centres: list[list[float
         found = part if found is None else found.unionByName(part)
         done = settled.select("query_id")
         open_q = staged(open_q.join(done, "query_id", "left_anti"), "idistance-open")
-        if not open_q.limit(1).count():
-            break
-    return found
+        if open_q.isEmpty():
+            return found
+    raise RuntimeError("queries are left without k neighbours")
 
 
 def early_stop_scan(queries: DataFrame, dictionary: DataFrame, chunks: int = 4) -> DataFrame:
     """Exact L2 scan by staged sums: each stage drops pairs above the best bound known so far.
 
-    The bound is the complete cost of the pair that leads after the first chunk.
+    The bound is the least complete cost among a small hash share of the patches.
     """
     q = queries.select("query_id", F.col("vals").alias("q"), "known")
-    pairs = dictionary.select("patch_id", F.col("vals").alias("p")).join(F.broadcast(q), F.col("patch_id") != F.col("query_id"))
     n = F.size("known")
-    part = lambda a, b: l2().column(F.slice("q", a, b), F.slice("p", a, b), F.slice("known", a, b))
     step = F.ceil(n / chunks).cast("int")
-    head = pairs.withColumn("sofar", part(F.lit(1), step))
-    lead = head.groupBy("query_id").agg(F.min_by(F.struct("q", "p", "known"), F.struct("sofar", "patch_id")).alias("x"))
-    bound = lead.select("query_id", l2().column(F.col("x.q"), F.col("x.p"), F.col("x.known")).alias("bound"))
-    left = head.join(F.broadcast(bound), "query_id").where("sofar <= bound")
-    for c in range(1, chunks):
-        left = left.withColumn("sofar", F.col("sofar") + part(step * c + 1, F.greatest(F.least(step, n - step * c), F.lit(0)))).where("sofar <= bound")
+    part = lambda a, b: l2().column(F.slice("q", a, b), F.slice("p", a, b), F.slice("known", a, b))
+    # a first bound from the patches of one hash share, completely compared; then one pass over all
+    few = dictionary.where(portable_hash(F.col("patch_id")) < (1 << 31) // 64).select("patch_id", F.col("vals").alias("p"))
+    bound = few.join(q, F.col("patch_id") != F.col("query_id")).groupBy("query_id").agg(F.min(l2().column(F.col("q"), F.col("p"), F.col("known"))).alias("bound"))
+    bounded = staged(q.join(bound, "query_id", "left"), "early-stop-queries")
+    bounded = F.broadcast(bounded) if bounded.count() <= 10_000 else bounded  # the stated queries, as in the full scan
+    left = dictionary.select("patch_id", F.col("vals").alias("p")).join(bounded, F.col("patch_id") != F.col("query_id"))
+    left = left.withColumn("sofar", F.lit(0).cast("long"))
+    for c in range(chunks):
+        left = left.withColumn("sofar", F.col("sofar") + part(step * c + 1, F.greatest(F.least(step, n - step * c), F.lit(0)))).where("bound IS NULL OR sofar <= bound")
     best = left.groupBy("query_id").agg(F.min(F.struct(F.col("sofar").alias("cost"), "patch_id")).alias("b"))
     return best.select("query_id", F.col("b.patch_id").alias("patch_id"), F.col("b.cost").alias("cost"))
 
@@ -144,6 +150,8 @@ def offset_stats_knn(queries: DataFrame, dictionary: DataFrame, offsets: DataFra
 
 def tsvq_knn(queries: DataFrame, points: DataFrame, leaves: int = 16, seed: int = 4) -> DataFrame:
     """Tree-structured vector quantisation: the query's leaf is scanned. queries/points: id, coord."""
+    if points.isEmpty():
+        return queries.select("query_id", F.lit(None).cast("long").alias("patch_id"), F.lit(0.0).alias("dist2"), F.lit(0).alias("rank")).limit(0)
     model = BisectingKMeans(k=leaves, seed=seed, featuresCol="features", predictionCol="leaf").fit(points.select(array_to_vector("coord").alias("features")))
     p = model.transform(points.select("patch_id", "coord", array_to_vector("coord").alias("features"))).select("patch_id", F.col("coord").alias("p"), "leaf")
     q = model.transform(queries.select("query_id", "coord", array_to_vector("coord").alias("features"))).select("query_id", "coord", "leaf")
@@ -153,6 +161,8 @@ def tsvq_knn(queries: DataFrame, points: DataFrame, leaves: int = 16, seed: int
 
 def lsh_knn(queries: DataFrame, points: DataFrame, k: int, width: float, tables: int = 6, seed: int = 4) -> DataFrame:
     """Locality-preserving hashing: candidates share a bucket in one of the tables."""
+    if points.isEmpty():
+        return queries.select("query_id", F.lit(None).cast("long").alias("patch_id"), F.lit(0.0).alias("dist2"), F.lit(0).alias("rank")).limit(0)
     hashing = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=width, numHashTables=tables, seed=seed)
     p = points.select("patch_id", "coord", array_to_vector("coord").alias("features"))
     model = hashing.fit(p)
@@ -187,7 +197,7 @@ def propagation_field(dictionary: DataFrame, k: int, rounds: int = 4, seed: int
         best = cost.groupBy("image_id", "y", "x").agg(F.min(F.struct("cost", "sy", "sx")).alias("b"))
         return best.select("image_id", "y", "x", F.col("b.sy").alias("sy"), F.col("b.sx").alias("sx"), F.col("b.cost").alias("cost"))
 
-    first = d.select("image_id", "y", "x").join(F.broadcast(ends), "image_id")
+    first = d.select("image_id", "y", "x").join(ends, "image_id")
     span_y, span_x = F.col("y1") - F.col("y0") + 1, F.col("x1") - F.col("x0") + 1
     tries = first.withColumn("t", F.explode(F.sequence(F.lit(1), F.lit(4))))
     h = portable_hash((F.col("y") * 4099 + F.col("x") * 8191 + F.col("t") * 17 + seed).cast("long"))

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from patchspace.functions.costs import Cost, l2
 from patchspace.operators import kernels, knn, zindex
 from patchspace.operators.footprints import footprints
-from patchspace.operators.patches import active_patches, build_dictionary, fill_front, paste
+from patchspace.operators.patches import RasterPatches, active_patches, build_dictionary, fill_front, paste
 from patchspace.shared import ship, staged
 
 CELLS = "image_id long, y int, x int, pix array<smallint>, known boolean"
@@ -32,16 +32,21 @@ def to_arrays(cells: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, int, int]:
     return img, known, y0, x0
 
 
-def to_cells(image_id: int, img: np.ndarray, y0: int, x0: int) -> pd.DataFrame:
+def to_cells(image_id: int, img: np.ndarray, y0: int, x0: int, known: np.ndarray | None = None) -> pd.DataFrame:
+    """An image's cells; all known, or without samples where ``known`` is false."""
     h, w, _ = img.shape
     ys, xs = np.divmod(np.arange(h * w), w)
-    return pd.DataFrame({"image_id": image_id, "y": (ys + y0).astype(np.int32), "x": (xs + x0).astype(np.int32), "pix": list(img.reshape(h * w, -1)), "known": True})
+    on = np.ones(h * w, bool) if known is None else known.ravel()
+    pix = [p if k else None for p, k in zip(img.reshape(h * w, -1), on, strict=True)]
+    return pd.DataFrame({"image_id": image_id, "y": (ys + y0).astype(np.int32), "x": (xs + x0).astype(np.int32), "pix": pix, "known": on})
 
 
 def inpaint(raster: DataFrame, method: str = "zcurve", order: str = "structure", k: int = 9, dims: int = 10, knn_size: int = 80, mu: int = 256, c: float = 0.6, cost: Cost | None = None, blend: int = 1, dictionary: DataFrame | None = None) -> DataFrame:
     """Every image of a corpus completed in a task of its own: filled cells.
 
-    Images are independent, so a corpus scales by its number of images. ``dictionary``: patches
+    Images are independent, so a corpus scales by its number of images. An image that cannot be
+    filled (wholly unknown, or without a wholly known patch) comes back as it is, its unknown cells
+    still unknown, and the others are filled all the same. ``dictionary``: patches
     (``vals``) made elsewhere, for sparse acquisition; collected once, so its size is checked.
     """
     ship(raster.sparkSession)
@@ -51,9 +56,12 @@ def inpaint(raster: DataFrame, method: str = "zcurve", order: str = "structure",
             raise ValueError("a dictionary for per-image filling has 200,000 patches at most; use mode wave")
         given = np.array([r.vals for r in dictionary.select("vals").collect()], np.int16)
 
-    def run(key, cells: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, cells: pd.DataFrame) -> pd.DataFrame:
         img, known, y0, x0 = to_arrays(cells)
-        out, _, _ = kernels.fill(img, known, method, k, order, cost, dictionary=given, blend=blend, dims=dims, knn=knn_size, mu=mu, c=c)
+        try:
+            out, _, _ = kernels.fill(img, known, method, k, order, cost, dictionary=given, blend=blend, dims=dims, knn=knn_size, mu=mu, c=c)
+        except kernels.NoPatches:
+            return to_cells(key[0], img, y0, x0, known)
         return to_cells(key[0], out, y0, x0)
 
     return raster.groupBy("image_id").applyInPandas(run, CELLS)
@@ -63,31 +71,41 @@ VOXELS = "image_id long, z int, y int, x int, pix array<smallint>, known boolean
 
 
 def inpaint_volume(volume: DataFrame, method: str = "zcurve", k: int = 3, **params) -> DataFrame:
-    """Every volume of a corpus (single samples) completed in a task of its own."""
+    """Every volume of a corpus (single samples) completed in a task of its own; one that cannot be
+    filled comes back as it is."""
     ship(volume.sparkSession)
 
-    def run(key, cells: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, cells: pd.DataFrame) -> pd.DataFrame:
         low = cells[["z", "y", "x"]].min().to_numpy()
         at = cells[["z", "y", "x"]].to_numpy() - low
         vol, known = np.zeros(at.max(0) + 1, np.int16), np.zeros(at.max(0) + 1, bool)
         on = cells.known.to_numpy().astype(bool)
         vol[tuple(at[on].T)] = [p[0] for p in cells.pix[on]]
         known[tuple(at[on].T)] = True
-        out, _ = kernels.fill_volume(vol, known, method, k, **params)
+        try:
+            out, _ = kernels.fill_volume(vol, known, method, k, **params)
+            known = np.ones(out.shape, bool)
+        except kernels.NoPatches:
+            out = vol
         place = np.argwhere(np.ones(out.shape, bool))
         z, y, x = (place + low).astype(np.int32).T
-        return pd.DataFrame({"image_id": key[0], "z": z, "y": y, "x": x, "pix": list(out.reshape(-1, 1)), "known": True})
+        pix = [p if m else None for p, m in zip(out.reshape(-1, 1), known.ravel(), strict=True)]
+        return pd.DataFrame({"image_id": key[0], "z": z, "y": y, "x": x, "pix": pix, "known": known.ravel()})
 
     return volume.groupBy("image_id").applyInPandas(run, VOXELS)
 
 
 def inpaint_trace(raster: DataFrame, method: str = "zcurve", order: str = "structure", k: int = 9, cost: Cost | None = None, measure: bool = True, **params) -> DataFrame:
-    """The steps of such fills, with the full scan's cost for each target if ``measure``."""
+    """The steps of such fills, with the full scan's cost for each target if ``measure``; none for an
+    image that cannot be filled."""
     ship(raster.sparkSession)
 
-    def run(key, cells: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, cells: pd.DataFrame) -> pd.DataFrame:
         img, known, _, _ = to_arrays(cells)
-        _, trace, _ = kernels.fill(img, known, method, k, order, cost, measure=measure, **params)
+        try:
+            _, trace, _ = kernels.fill(img, known, method, k, order, cost, measure=measure, **params)
+        except kernels.NoPatches:
+            trace = []
         out = pd.DataFrame(trace, columns=["step", "y", "x", "sy", "sx", "cost", "exact", "filled"])
         out.insert(0, "image_id", key[0])
         return out.astype({"exact": float})
@@ -103,7 +121,7 @@ def step(raster: DataFrame, k: int, cost: Cost | None = None) -> DataFrame:
     best = targets.withColumn("n", known).groupBy("image_id").agg(F.max_by(F.struct("query_id", "cy", "cx", "vals", "known"), F.struct("n", -F.col("cy"), -F.col("cx"))).alias("q"))
     q = best.select("image_id", "q.*")
     d = build_dictionary(raster, k)
-    pairs = d.join(F.broadcast(q.select("image_id", "query_id", F.col("vals").alias("q_vals"), "known")), "image_id")  # one target per image
+    pairs = d.join(q.select("image_id", "query_id", F.col("vals").alias("q_vals"), "known"), "image_id")  # one target per image
     win = pairs.groupBy("query_id").agg(F.min_by("vals", F.struct((cost or l2()).column(F.col("q_vals"), F.col("vals"), F.col("known")), "patch_id")).alias("vals"))
     return paste(raster, q.drop("vals").join(win, "query_id").select("image_id", "cy", "cx", "vals"), k)
 
@@ -116,9 +134,12 @@ def wave_fill(raster: DataFrame, k: int = 9, dims: int = 10, knn_size: int = 80,
     2k apart at least, so their windows never overlap. The order differs from the strict one;
     compare quality before relying on it. The state is written to the shared folder each wave.
     """
-    channels = raster.where("known").select(F.size("pix").alias("c")).first().c
-    index = zindex.build_index(build_dictionary(raster, k), footprints(k, c, channels), k, dims, mu)
-    d = build_dictionary(raster, k)
+    one = raster.where("known").select(F.size("pix").alias("c")).first()
+    d = RasterPatches(raster, k)
+    if one is None or d.frame.isEmpty():  # nothing known to fill from: the raster as it is
+        return raster.select("image_id", "y", "x", "pix", "known"), 0
+    channels = one.c
+    index = zindex.build_index(d.frame, footprints(k, c, channels), k, dims, mu)
     now, idle = staged(raster.select("image_id", "y", "x", "pix", "known"), "wave"), 0
     for wave in range(max_waves):
         if not now.where(~F.col("known")).limit(1).count():
@@ -135,8 +156,8 @@ def wave_fill(raster: DataFrame, k: int = 9, dims: int = 10, knn_size: int = 80,
                 raise RuntimeError("unknown cells remain that no target reaches")
             continue
         idle = 0
-        best = knn.search(q, index, d, knn_size)
-        vals = best.select("query_id", "patch_id").join(d.select("patch_id", "vals"), "patch_id")
+        best = staged(knn.search(q, index, d, knn_size).select("query_id", "patch_id"), "wave-best")
+        vals = best.join(d.cut(best.select("patch_id").distinct()), "patch_id")
         now = staged(paste(now, q.drop("vals").join(vals, "query_id").select("image_id", "cy", "cx", "vals"), k), "wave")
     raise RuntimeError("the fill did not end")
 

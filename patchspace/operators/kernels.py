@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import heapq
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 
@@ -18,6 +19,10 @@ from patchspace.operators.footprints import Footprint, footprints
 from patchspace.operators.reduce import Basis, frequencies, pca_of
 
 
+class NoPatches(ValueError):
+    """An image that cannot be filled: wholly unknown, or without a wholly known patch."""
+
+
 def windows(img: np.ndarray, known: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """(wholly known patches as rows of (row, column, channel) values, their centres)."""
     h, w, c = img.shape
@@ -37,7 +42,7 @@ class Selector:
     def __init__(self, patches: np.ndarray, centres: np.ndarray, k: int, channels: int, cost: Cost | None = None, **params):
         self.p, self.centres, self.k, self.channels = patches, centres, k, channels
         self.cost, self.params = cost or l2(), params
-        self.work = {"distances": 0, "refined": 0, "queries": 0, "blocks": 0}
+        self.work = {"distances": 0, "refined": 0, "queries": 0, "blocks": 0, "regions": 0}
         if self.cost.name == "l2":
             self.f = patches.astype(np.float64)
             self.f2 = self.f**2
@@ -176,18 +181,21 @@ class ZCurve(Reduced):
         rank, x, start, lo, hi, mu = self.index[i]
         gap = (np.maximum(0, np.maximum(lo - point, point - hi)) ** 2).sum(1)
         order = np.argsort(gap, kind="stable")
-        need, rows, dist, bound, at = max(1, -(-k // mu), self.params.get("nu", 0) // mu), [], [], np.inf, 0
+        need, rows, dist, bound, at = max(1, -(-k // mu)), [], [], np.inf, 0
         while at < len(order) and gap[order[at]] <= bound:
-            take = order[at : at + need]
-            take = take[gap[take] <= bound]
-            for b in take:
-                part = slice(start[b], start[b] + mu)
-                rows.append(rank[part])
-                dist.append(((x[part] - point) ** 2).sum(1))
+            # while neither half of what is open holds more than nu entries, blocks are scanned one by one;
+            # else all that the bound leaves open is cut into regions of nu entries, which scan side by side
+            left = order[at:][gap[order[at:]] <= bound]
+            regions = self.regions(left, mu, len(x)) if len(dist) else []
+            take = left if regions else left[:need]
+            for part in self.scan_regions(regions, x, point, start, mu) if regions else [self.scan(take, x, point, start, mu)]:
+                rows.append(rank[part[0]])
+                dist.append(part[1])
             self.work["blocks"] += len(take)
-            at += need
+            self.work["regions"] += max(1, len(regions))
+            self.work["distances"] += int(np.minimum(start[take] + mu, len(x)).sum() - start[take].sum())
+            at += len(take)
             d = np.concatenate(dist)
-            self.work["distances"] += sum(map(len, dist[-len(take) :]))
             if len(d) >= k:
                 bound = np.partition(d, k - 1)[k - 1]
                 keep = d <= bound
@@ -195,6 +203,21 @@ class ZCurve(Reduced):
         r, d = np.concatenate(rows), np.concatenate(dist)
         return r[np.lexsort((r, d))[:k]]
 
+    def regions(self, blocks: np.ndarray, mu: int, n: int) -> list[np.ndarray]:
+        """Blocks in order of distance, in regions of at least nu entries; none where there are not two."""
+        threads, nu = self.params.get("threads", 1), self.params.get("nu", 2048)
+        count = min(threads, len(blocks) * mu // max(1, nu))
+        return np.array_split(blocks, count) if threads > 1 and count > 1 else []
+
+    def scan(self, blocks, x, point, start, mu) -> tuple[np.ndarray, np.ndarray]:
+        at = np.concatenate([np.arange(start[b], min(start[b] + mu, len(x))) for b in blocks])
+        return at, ((x[at] - point) ** 2).sum(1)
+
+    def scan_regions(self, regions, x, point, start, mu):
+        if not hasattr(self, "pool"):
+            self.pool = ThreadPoolExecutor(self.params["threads"])
+        return list(self.pool.map(lambda r: self.scan(r, x, point, start, mu), regions))
+
 
 class OutsideIn(ZCurve):
     """The same search as a descent: regions are cut at the highest differing bit, the nearer half
@@ -485,6 +508,7 @@ class Propagation(Selector):
             extent = extent // 2
         grid = np.full(self.centres.max(0) + 2, -1, np.int64)
         grid[tuple(self.centres.T)] = np.arange(n)
+        self.grid, self.ring = grid, np.array([(dy, dx) for dy in range(-2, 3) for dx in range(-2, 3)])
         match = self.rng.integers(0, n, n)
         x = self.p.astype(np.int32)
         far = lambda a: (np.abs(self.centres[a] - self.centres) >= self.k).any(1)
@@ -525,14 +549,25 @@ class Propagation(Selector):
         spread = self.rng.integers(0, len(self.p), 48)
         rows = np.unique(np.concatenate([np.fromiter(near, np.int64, len(near)), spread]))
         for _ in range(rounds):
-            lead = rows[np.lexsort((rows, self.costs(rows, q, known)))[:1]]
-            base = self.centres[lead[0]]
-            more = [self.at.get(tuple((base + np.rint((self.rng.random(2) * 2 - 1) * s)).astype(int).tolist())) for s in self.scales for _ in range(6)]
-            more += [self.at.get((int(base[0]) + dy, int(base[1]) + dx)) for dy in range(-2, 3) for dx in range(-2, 3)]
-            rows = np.unique(np.concatenate([rows, [m for m in more if m is not None]]).astype(np.int64))
+            # around the best matches so far: shrinking random samples, and the places beside them
+            lead = rows[np.lexsort((rows, self.costs(rows, q, known)))[: self.params.get("leads", 6)]]
+            base = self.centres[lead]
+            jumps = [base + np.rint((self.rng.random((len(base), 2)) * 2 - 1) * s).astype(int) for s in self.scales for _ in range(self.params.get("samples", 3))]
+            beside = (base[:, None, :] + self.ring[None, :, :]).reshape(-1, 2)
+            more = self.rows_at(np.concatenate([*jumps, beside]))
+            fresh = np.union1d(rows, more)
+            if len(fresh) == len(rows):
+                break
+            rows = fresh
         self.work["distances"] += len(rows)
         return rows
 
+    def rows_at(self, places: np.ndarray) -> np.ndarray:
+        """Patches centred at these places, where there are any."""
+        ok = ((places >= 0) & (places < np.array(self.grid.shape))).all(1)
+        found = self.grid[tuple(places[ok].T)]
+        return found[found >= 0]
+
     def pasted(self, y, x, winner):
         o = tuple(self.centres[winner] - (y, x))
         half = self.k // 2
@@ -641,13 +676,13 @@ def fill(img: np.ndarray, known: np.ndarray, method: str = "zcurve", k: int = 9,
     if known.all():
         return img, [], None
     if not known.any():
-        raise ValueError("the whole image is unknown")
+        raise NoPatches("the whole image is unknown")
     h, w, c = img.shape
     if method == "diffuse":
         return diffuse(img, known), [], None
     patches, centres = windows(img, known, k) if dictionary is None else (dictionary.astype(np.int16), np.zeros((len(dictionary), 2), np.int64))
     if not len(patches) or h < k or w < k:
-        raise ValueError("no wholly known patch to fill from")
+        raise NoPatches("no wholly known patch to fill from")
     selector = SELECTORS[method](patches, centres, k, c, cost, **params)
     scan = Selector(patches, centres, k, c, cost) if measure else None
     rank, half, confidence, trace = Order(order, k, user), k // 2, known.astype(float), []
@@ -715,7 +750,7 @@ def fill_volume(vol: np.ndarray, known: np.ndarray, method: str = "zcurve", k: i
         return vol, []
     patches, centres = cubes(vol, known, k)
     if not len(patches):
-        raise ValueError("no wholly known cube to fill from")
+        raise NoPatches("no wholly known cube to fill from")
     selector, half, trace = SELECTORS[method](patches, centres, k, 1, None, ndim=3, **params), k // 2, []
     while not known.all():
         z, y, x = np.unravel_index(int(np.argmax(np.where(known, -1, window_counts(known, k)))), known.shape)

@@ -138,6 +138,8 @@ def fit_lda(patches: DataFrame, labels: DataFrame, fps: list[Footprint], dims: i
     """Directions that part classes (labels: patch_id, label), orthonormalised."""
     rows = patches.join(labels, "patch_id").where(F.col("label").isNotNull())
     classes = [r.label for r in rows.select("label").distinct().orderBy("label").collect()]  # class names
+    if not classes:
+        return fit_pca(rows, fps, dims)
     parts = [scatter(rows.where(F.col("label") == c)) for c in classes]
     n, s, p = (sum(x[i] for x in parts) for i in range(3))
     out = []

@@ -5,11 +5,13 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from patchspace.functions import costs
+from patchspace.functions.portable import portable_hash, portable_hash_sql
 from patchspace.operators import knn, metrics, patches
 from patchspace.operators.baselines import plans as base
 from patchspace.plans import core, sql
 from patchspace.plans.rasterplans import DAMAGED, FRONT, WINDOWS, K, damaged
 from patchspace.plans.registry import query
+from patchspace.shared import staged
 
 SCAN1 = f"WITH {sql.PATCHES}, {sql.ranked_scan(sql.l2('q.vals', 'p.vals', core.N_KNOWN), 1).replace('SELECT query_id, rank, patch_id', 'SELECT query_id, patch_id')}"
 
@@ -56,8 +58,8 @@ COST = "list_sum([CASE WHEN q.known[i] THEN (q.vals[i] - d.vals[i]) * (q.vals[i]
 
 
 def targets(spark, sf_dir):
-    r = damaged(spark, sf_dir)
-    return patches.active_patches(patches.fill_front(r), r, K), patches.build_dictionary(r, K)
+    r = staged(damaged(spark, sf_dir), "targets-raster")
+    return staged(patches.active_patches(patches.fill_front(r), r, K), "targets"), staged(patches.build_dictionary(r, K), "targets-patches")
 
 
 @query("window_knn", f"{TARGETS}, s AS (SELECT q.patch_id AS query_id, d.patch_id, {COST} AS cost FROM q JOIN patches d ON d.image_id = q.image_id AND d.n_known = 25 AND abs(d.cy - q.cy) <= 12 AND abs(d.cx - q.cx) <= 12) SELECT query_id, 1::INTEGER AS rank, patch_id, cost FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1")
@@ -66,7 +68,9 @@ def window_knn(spark, sf_dir):
     return base.window_knn(q, d, 12)
 
 
-@query("local_diameter_knn")
+@query("local_diameter_knn", f"""{TARGETS}, u AS (SELECT *, [v for v in vals if v IS NOT NULL] AS own FROM q), r AS (SELECT *, least(24, greatest(6, floor(sqrt(greatest(0, list_sum([v * v for v in own])::DOUBLE / len(own) - (list_sum(own)::DOUBLE / len(own)) * (list_sum(own)::DOUBLE / len(own)))) * 24 / 64))) AS reach FROM u),
+s AS (SELECT q.patch_id AS query_id, d.patch_id, {COST} AS cost FROM r q JOIN patches d ON d.image_id = q.image_id AND d.n_known = 25 AND abs(d.cy - q.cy) <= reach AND abs(d.cx - q.cx) <= reach)
+SELECT query_id, 1::INTEGER AS rank, patch_id, cost FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1""")
 def local_diameter_knn(spark, sf_dir):
     q, d = targets(spark, sf_dir)
     return base.local_diameter_knn(q, d, 24)
@@ -87,10 +91,21 @@ def offset_histogram(spark, sf_dir):
     return base.offset_histogram(knn.full_scan(q, d))
 
 
-@query("offset_stats_knn")
+FEW = portable_hash_sql("patch_id") + f" < {(1 << 31) // 32}"
+
+
+@query("offset_stats_knn", f"""{TARGETS}, f AS (SELECT * FROM patches WHERE n_known = 25 AND {FEW}),
+m AS (SELECT q.patch_id AS query_id, d.cy - q.cy AS dy, d.cx - q.cx AS dx, d.patch_id, list_sum([(q.vals[i] - d.vals[i]) * (q.vals[i] - d.vals[i]) for i in range(1, 26)]) AS cost FROM f q JOIN patches d ON d.n_known = 25 AND (abs(d.cy - q.cy) >= {K} OR abs(d.cx - q.cx) >= {K})),
+b AS (SELECT * FROM m QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1),
+top AS (SELECT dy, dx, count(*) AS n FROM b GROUP BY ALL ORDER BY n DESC, dy, dx LIMIT 20),
+s AS (SELECT q.patch_id AS query_id, d.patch_id, {COST} AS cost FROM q JOIN top ON true JOIN patches d ON d.n_known = 25 AND d.cy = q.cy + top.dy AND d.cx = q.cx + top.dx)
+SELECT query_id, patch_id, cost FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1""")
 def offset_stats_knn(spark, sf_dir):
+    """Offsets come from known patches matched among themselves: a hash share of them, against all."""
     q, d = targets(spark, sf_dir)
-    return base.offset_stats_knn(q, d, base.offset_histogram(knn.full_scan(q, d)), 20)
+    few = d.where(portable_hash(F.col("patch_id")) < (1 << 31) // 32)
+    whole = few.select(F.col("patch_id").alias("query_id"), "image_id", "cy", "cx", "vals", F.transform("vals", lambda _: F.lit(True)).alias("known"))
+    return base.offset_stats_knn(q, d, base.offset_histogram(knn.full_scan(whole, d, exclude_radius=K)), 20)
 
 
 @query("tsvq_knn")
@@ -139,10 +154,11 @@ def random_projection_preservation(spark, sf_dir):
     q = core.queries_of(d, core.K).withColumn("index_id", F.lit(0))
     fp = [footprints.Footprint(0, "all", tuple(range(64)))]
     out = None
-    exact = knn.full_scan(q, d, costs.l2(), 10_000, 1)
+    every = d.count()
+    exact = knn.full_scan(q, d, costs.l2(), every, 1)
     for name, fit in (("components", reduce.fit_pca), ("random", reduce.fit_random)):
         index = zindex.build_index(d, fp, core.K, 10, core.MU, fit(d, fp, 10))
-        near = knn.zcurve_knn(q, index, 10_000, 1)
+        near = knn.zcurve_knn(q, index, every, 1)
         row = metrics.distance_preservation(near, exact).withColumn("basis", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out

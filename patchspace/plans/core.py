@@ -23,7 +23,7 @@ def dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries_of(d: DataFrame, rows_known: int = sql.ROWS_KNOWN) -> DataFrame:
-    """Every 50th patch, of which the first rows are known."""
+    """The stated query set: every 20th patch, of which the first rows are known."""
     return patches.half_patches(d.where(F.col("patch_id") % sql.EVERY == 0), K, rows_known)
 
 
@@ -53,9 +53,10 @@ def patch_topk(spark, sf_dir):
 
 
 WEIGHTS = costs.centre_weights(K)
+NEAR_CENTRE = "(1 + 8 - greatest(abs((i - 1) // 8 - 4), abs((i - 1) % 8 - 4)))"
 
 
-@query("patch_fullscan_weighted", f"WITH {sql.PATCHES}, w AS (SELECT {WEIGHTS} AS w), " + sql.ranked_scan(f"list_sum([(q.vals[i] - p.vals[i]) * (q.vals[i] - p.vals[i]) * (SELECT w[i] FROM w) for i in range(1, {N_KNOWN + 1})])::BIGINT", 1).replace("(SELECT w[i] FROM w)", f"({WEIGHTS})[i]"))
+@query("patch_fullscan_weighted", f"WITH {sql.PATCHES}, " + sql.ranked_scan(f"list_sum([(q.vals[i] - p.vals[i]) * (q.vals[i] - p.vals[i]) * {NEAR_CENTRE} for i in range(1, {N_KNOWN + 1})])::BIGINT", 1))
 def patch_fullscan_weighted(spark, sf_dir):
     d = dictionary(spark, sf_dir)
     return knn.full_scan(queries_of(d), d, costs.weighted_l2(WEIGHTS), 1, 1)
@@ -67,13 +68,13 @@ def patch_fullscan_l3(spark, sf_dir):
     return knn.full_scan(queries_of(d), d, costs.lp(3, K * K), 1, 1).select("query_id", "patch_id", F.round("cost", 6).alias("cost"))
 
 
-@query("footprint_cover", f"WITH {sql.footprint_rows(FPS)}, m AS (SELECT unnest(range(1, 9)) AS rows_known) SELECT rows_known::INTEGER AS rows_known, index_id, kind, len([i for i in pos if i < 8 * rows_known])::INTEGER AS cover, len([i for i in pos if i < 8 * rows_known]) = len(pos) AS whole FROM m, fp")
+@query("footprint_cover", f"WITH {sql.footprint_rows()}, m AS (SELECT unnest(range(1, 9)) AS rows_known) SELECT rows_known::INTEGER AS rows_known, index_id, kind, len([i for i in pos if i < 8 * rows_known])::INTEGER AS cover, len([i for i in pos if i < 8 * rows_known]) = len(pos) AS whole FROM m, fp")
 def footprint_cover(spark, sf_dir):
     masks = spark.range(1, 9).select(F.col("id").cast("int").alias("rows_known"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: i < F.col("id") * 8).alias("known"))
     return fpx.cover(masks, FPS).select("rows_known", "index_id", "kind", "cover", "whole")
 
 
-@query("index_choice", f"""WITH {sql.footprint_rows(FPS)}, m AS (SELECT * FROM (SELECT unnest(range(1, 9)) AS a), (SELECT unnest(range(1, 9)) AS b)),
+@query("index_choice", f"""WITH {sql.footprint_rows()}, m AS (SELECT * FROM (SELECT unnest(range(1, 9)) AS a), (SELECT unnest(range(1, 9)) AS b)),
 c AS (SELECT a, b, index_id, len(pos) AS size, len([i for i in pos if i // 8 < a and i % 8 < b]) AS cover FROM m, fp),
 best AS (SELECT a, b, arg_max(index_id, (cover, -index_id)) AS index_id FROM c WHERE cover = size GROUP BY a, b)
 SELECT a::INTEGER AS rows_known, b::INTEGER AS cols_known, coalesce(index_id, -1)::INTEGER AS index_id FROM m LEFT JOIN best USING (a, b)""")
@@ -98,7 +99,7 @@ def scatter_matrix_sql(spark, sf_dir):
     return reduce.scatter_table(dictionary(spark, sf_dir))
 
 
-@query("pca_trace", f"WITH {sql.PATCHES}, {sql.footprint_rows(FPS)}, m AS (SELECT i, avg(vals[i + 1]) AS a, avg(vals[i + 1] * vals[i + 1]) AS s FROM emb, (SELECT unnest(range(0, 64)) AS i) GROUP BY i) SELECT index_id::INTEGER AS index_id, round(sum(s - a * a), 4) AS total_variance FROM (SELECT index_id, unnest(pos) AS i FROM fp) JOIN m USING (i) GROUP BY index_id")
+@query("pca_trace", f"WITH {sql.PATCHES}, {sql.footprint_rows()}, m AS (SELECT i, avg(vals[i + 1]) AS a, avg(vals[i + 1] * vals[i + 1]) AS s FROM emb, (SELECT unnest(range(0, 64)) AS i) GROUP BY i) SELECT index_id::INTEGER AS index_id, round(sum(s - a * a), 4) AS total_variance FROM (SELECT index_id, unnest(pos) AS i FROM fp) JOIN m USING (i) GROUP BY index_id")
 def pca_trace(spark, sf_dir):
     bases = reduce.fit_pca(dictionary(spark, sf_dir), FPS, 10)
     return spark.createDataFrame([(b.index_id, float(round(b.eigen.sum(), 4))) for b in bases], "index_id int, total_variance double")
@@ -110,6 +111,36 @@ def explained_variance(spark, sf_dir):
     return spark.createDataFrame(reduce.explained_variance(bases), "index_id int, explained double")
 
 
+@query("patch_fullscan_hellinger", f"""WITH {sql.PATCHES}, h AS (SELECT patch_id, vals, [len([v for v in vals[1:{N_KNOWN}] if v * 8 // 256 = b]) for b in range(0, 8)] AS hist FROM emb),
+s AS (SELECT q.patch_id AS query_id, p.patch_id, round(sqrt({sql.l2('q.vals', 'p.vals', N_KNOWN)}) * sqrt(greatest(0, 1 - list_sum([sqrt(q.hist[b] * p.hist[b]) / {N_KNOWN}.0 for b in range(1, 9)]))), 4) AS cost
+  FROM h q JOIN h p ON p.patch_id <> q.patch_id WHERE q.patch_id % {sql.EVERY} = 0)
+SELECT query_id, round(min(cost), 4)::DOUBLE AS cost FROM s GROUP BY query_id""")
+def patch_fullscan_hellinger(spark, sf_dir):
+    """The least cost of each query; rounded, as roots differ in the last digit."""
+    d = dictionary(spark, sf_dir)
+    return knn.full_scan(queries_of(d), d, costs.hellinger_l2(8), 1, 1).select("query_id", F.round("cost", 4).alias("cost"))
+
+
+SSIM = """1 - (2 * q.m * p.m + 6.5025) * (2 * (list_inner_product(q.k, p.k) / {n} - q.m * p.m) + 58.5225) / ((q.m * q.m + p.m * p.m + 6.5025) * (q.v + p.v + 58.5225))""".replace("{n}", f"{N_KNOWN}.0")
+
+
+@query("patch_fullscan_ssim", f"""WITH {sql.PATCHES}, k AS (SELECT patch_id, vals[1:{N_KNOWN}]::DOUBLE[] AS k FROM emb),
+h AS (SELECT patch_id, k, list_avg(k) AS m, list_avg([x * x for x in k]) - list_avg(k) * list_avg(k) AS v FROM k),
+s AS (SELECT q.patch_id AS query_id, {SSIM} AS cost FROM h q JOIN h p ON p.patch_id <> q.patch_id WHERE q.patch_id % {sql.EVERY} = 0)
+SELECT query_id, round(min(cost), 6) AS cost FROM s GROUP BY query_id""")
+def patch_fullscan_ssim(spark, sf_dir):
+    d = dictionary(spark, sf_dir)
+    return knn.full_scan(queries_of(d), d, costs.ssim(), 1, 1).select("query_id", F.round("cost", 6).alias("cost"))
+
+
+@query("patch_fullscan_guided", f"WITH {sql.PATCHES}, {sql.ranked_scan(sql.l2('q.vals', 'p.vals', N_KNOWN)[:-8] + f' + 2 * list_sum([abs(q.vals[i] - p.vals[i]) for i in range({N_KNOWN + 1}, 65)]))::BIGINT', 1)}".replace("list_sum([(q", "(list_sum([(q", 1))
+def patch_fullscan_guided(spark, sf_dir):
+    """The unknown rows of the query stand for a guide raster's patch."""
+    d = dictionary(spark, sf_dir)
+    guide = lambda q, p: F.aggregate(F.zip_with(F.slice(q, N_KNOWN + 1, 64), F.slice(p, N_KNOWN + 1, 64), lambda a, b: F.abs(a.cast("long") - b)), F.lit(0).cast("long"), lambda s, x: s + x)
+    return knn.full_scan(queries_of(d), d, costs.guided(2, guide), 1, 1)
+
+
 Z_DIMS, Z_BITS = 7, 8
 H7 = sql.hadamard("vals", Z_DIMS)
 BYTES = ", ".join(f"{sql.hadamard_byte(f'h{i}', i == 0)} AS b{i}" for i in range(Z_DIMS))
@@ -181,8 +212,22 @@ s AS (SELECT *, CASE WHEN dx >= 4 THEN 4 WHEN dx >= 2 THEN 2 ELSE dx END AS bx,
 SELECT x0::INTEGER AS x0, x1::INTEGER AS x1, y0::INTEGER AS y0, y1::INTEGER AS y1, CASE WHEN bx >= ty THEN 0 ELSE 1 END::INTEGER AS dim,
   (CASE WHEN bx >= ty THEN (x1 // bx) * bx ELSE (y1 // ty) * ty END - 1)::INTEGER AS cut FROM s""")
 def zsplit_grid(spark, sf_dir):
-    split = F.udf(lambda a, b, c, d: zcurve.split_at((a, c), (b, d)), "struct<dim:int,cut:int>")
-    return _boxes(spark).withColumn("s", split("x0", "x1", "y0", "y1")).where("s IS NOT NULL").select("x0", "x1", "y0", "y1", "s.dim", "s.cut")
+    split = zcurve.z_split(F.array("x0", "y0"), F.array("x1", "y1"))
+    return _boxes(spark).withColumn("s", split).where("s IS NOT NULL").select("x0", "x1", "y0", "y1", "s.dim", "s.cut")
+
+
+@query("hilbert_neighbours", "SELECT unnest([2, 3, 4])::INTEGER AS dims, unnest([63, 511, 4095])::BIGINT AS steps, unnest([63, 511, 4095])::BIGINT AS unit_steps")
+def hilbert_neighbours(spark, sf_dir):
+    """On a Hilbert curve every step goes to a neighbouring cell: grids of side 8 in 2, 3 and 4 dimensions."""
+    out = None
+    for dims in (2, 3, 4):
+        cells = spark.range(8**dims).select(F.array(*[F.shiftright("id", 3 * i).bitwiseAND(F.lit(7)) for i in range(dims)]).alias("p"))
+        keyed = cells.withColumn("at", zcurve.h_key(F.col("p"), dims, 3))
+        after = keyed.select((F.col("at") - 1).alias("at"), F.col("p").alias("q"))
+        step = F.aggregate(F.zip_with("p", "q", lambda a, b: F.abs(a - b)), F.lit(0).cast("long"), lambda s, x: s + x)
+        row = keyed.join(after, "at").agg(F.lit(dims).alias("dims"), F.count("*").alias("steps"), F.count(F.when(step == 1, 1)).alias("unit_steps"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 MU = 32

@@ -56,7 +56,7 @@ def grid_full_outer(spark, sf_dir):
     return a.join(b, "user_id", "full").select("user_id", F.coalesce("early", F.lit(0)).alias("early"), F.coalesce("late", F.lit(0)).alias("late"))
 
 
-@query("cover_broadcast_join", f"WITH {sql.footprint_rows(sql.FP8)} SELECT kind, count(*) AS n, sum(len(pos))::BIGINT AS cells FROM fp, (SELECT vec_id FROM embeddings WHERE vec_id % 50 = 0) GROUP BY kind")
+@query("cover_broadcast_join", f"WITH {sql.footprint_rows()} SELECT kind, count(*) AS n, sum(len(pos))::BIGINT AS cells FROM fp, (SELECT vec_id FROM embeddings WHERE vec_id % 20 = 0) GROUP BY kind")
 def cover_broadcast_join(spark, sf_dir):
     from patchspace.operators.footprints import footprint_table
 
@@ -137,7 +137,7 @@ def parts(spark):
     return t.where("kind = 'edge'").select("pos"), t.where("kind = 'corner'").select("pos")
 
 
-EC = f"WITH {sql.footprint_rows(sql.FP8)}, t AS (SELECT kind, unnest(pos) AS pos FROM fp), e AS (SELECT pos FROM t WHERE kind = 'edge'), c AS (SELECT pos FROM t WHERE kind = 'corner')"
+EC = f"WITH {sql.footprint_rows()}, t AS (SELECT kind, unnest(pos) AS pos FROM fp), e AS (SELECT pos FROM t WHERE kind = 'edge'), c AS (SELECT pos FROM t WHERE kind = 'corner')"
 
 
 @query("footprint_union", f"{EC} SELECT pos FROM e UNION SELECT pos FROM c")

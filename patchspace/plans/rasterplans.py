@@ -38,9 +38,13 @@ def running_surface(spark, sf_dir):
     return flat(rasters.sales_surface(spark, sf_dir))
 
 
-@query("raster_market_smooth", f"WITH {MARKET} SELECT image_id, y, x, pix::BIGINT AS pix FROM raster")
+ALL_LEVELS = ", ".join(map(str, rasters.LEVELS))
+
+
+@query("raster_market_smooth", f"WITH {sql.market_sums('S', ALL_LEVELS)}, {sql.box_sum(5)}, {sql.scaled('boxed')} SELECT image_id, y, x, pix::BIGINT AS pix FROM raster")
 def raster_market_smooth(spark, sf_dir):
-    return flat(market(spark, sf_dir))
+    """All images of the ladder's first size; what follows works on one of them."""
+    return flat(market(spark, sf_dir, levels=rasters.LEVELS))
 
 
 @query("raster_part_surface", f"WITH c AS (SELECT 0::BIGINT AS image_id, (p_partkey // 50)::INTEGER AS y, (p_partkey % 50)::INTEGER AS x, {sql.CENTS.format('p_retailprice')} AS v FROM part), {sql.scaled('c')} SELECT image_id, y, x, pix::BIGINT AS pix FROM raster")
@@ -48,7 +52,8 @@ def raster_part_surface(spark, sf_dir):
     return flat(rasters.part_surface(spark, sf_dir))
 
 
-ACTIVITY = f"""{sql.grid(150, 120)}, a AS (SELECT user_id::INTEGER AS y, (datediff('day', DATE '2024-01-01', ts::DATE) * 4 + hour(ts) // 6)::INTEGER AS x, count(*) AS n, sum({sql.CENTS.format('value')})::BIGINT AS v, count(DISTINCT event_type) AS kinds FROM events GROUP BY ALL)"""
+SLOT = "(datediff('day', DATE '2024-01-01', ts::DATE) * 4 + hour(ts) // 6)"
+ACTIVITY = f"""{sql.grid('(SELECT max(user_id) + 1 FROM events)', f'(SELECT max({SLOT}) + 1 FROM events)')}, a AS (SELECT user_id::INTEGER AS y, (datediff('day', DATE '2024-01-01', ts::DATE) * 4 + hour(ts) // 6)::INTEGER AS x, count(*) AS n, sum({sql.CENTS.format('value')})::BIGINT AS v, count(DISTINCT event_type) AS kinds FROM events GROUP BY ALL)"""
 
 
 @query("raster_activity_field", f"WITH {ACTIVITY} SELECT g.image_id, g.y, g.x, coalesce(a.v, 0)::BIGINT AS v FROM grid g LEFT JOIN a USING (y, x)")
@@ -64,9 +69,10 @@ def raster_activity_rgb(spark, sf_dir):
     return r.select("image_id", "y", "x", *[F.col("pix")[i].cast("long").alias(c) for i, c in enumerate("rgb")])
 
 
-@query("raster_document_corpus", """WITH d AS (SELECT doc_id, text, length(text) // 32 AS rows FROM documents WHERE length(text) >= 1024),
-r AS (SELECT doc_id, unnest(range(0, rows)) AS y, text FROM d), c AS (SELECT doc_id, y, unnest(range(0, 32)) AS x, text FROM r)
-SELECT doc_id AS image_id, count(*) AS cells, sum(least(unicode(substr(text, y * 32 + x + 1, 1)), 255))::BIGINT AS total, sum(least(unicode(substr(text, y * 32 + x + 1, 1)), 255) * (y * 32 + x))::BIGINT AS moment FROM c GROUP BY doc_id""")
+@query("raster_document_corpus", """WITH d AS (SELECT doc_id, text, (length(text) + 31) // 32 AS rows FROM documents WHERE length(text) >= 1),
+r AS (SELECT doc_id, unnest(range(0, rows)) AS y, text FROM d), c AS (SELECT doc_id, y, unnest(range(0, 32)) AS x, text FROM r),
+v AS (SELECT doc_id, y * 32 + x AS place, CASE WHEN y * 32 + x < length(text) THEN least(unicode(substr(text, y * 32 + x + 1, 1)), 255) ELSE 32 END AS pix FROM c)
+SELECT doc_id AS image_id, count(*) AS cells, sum(pix)::BIGINT AS total, sum(pix * place)::BIGINT AS moment FROM v GROUP BY doc_id""")
 def raster_document_corpus(spark, sf_dir):
     """Sums and first moments stand for the cells of each image."""
     c = flat(rasters.document_corpus(spark, sf_dir))
@@ -74,25 +80,21 @@ def raster_document_corpus(spark, sf_dir):
     return c.groupBy("image_id").agg(F.count("*").alias("cells"), F.sum("pix").alias("total"), F.sum(F.col("pix") * at).alias("moment"))
 
 
-@query("volume_sales", f"""WITH {sql.grid(64, 50)}, z AS (SELECT unnest(range(0, 11)) AS z), s AS (SELECT round(l_discount * 100)::INTEGER AS z, {sql.WEEK} AS y, l_quantity::INTEGER - 1 AS x, sum({sql.CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL)
+@query("volume_sales", f"""WITH {sql.grid(sql.WEEKS, 50)}, z AS (SELECT unnest(range(0, 11)) AS z), s AS (SELECT round(l_discount * 100)::INTEGER AS z, {sql.WEEK} AS y, l_quantity::INTEGER - 1 AS x, sum({sql.CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL)
 SELECT g.image_id, z.z::INTEGER AS z, g.y, g.x, coalesce(s.v, 0)::BIGINT AS v FROM grid g CROSS JOIN z LEFT JOIN s ON s.z = z.z AND s.y = g.y AND s.x = g.x""")
 def volume_sales(spark, sf_dir):
     return rasters.sales_volume(spark, sf_dir)
 
 
 def volume(spark, sf_dir):
-    v = rasters.sales_volume(spark, sf_dir, 16)
-    ends = v.groupBy("image_id").agg(F.max("v").alias("hi"))
-    pix = F.expr("CASE WHEN hi > 0 THEN (v * 255) div hi ELSE 0 END").cast("smallint")
-    return v.join(ends, "image_id").select("image_id", "z", "y", "x", F.array(pix).alias("pix"), F.lit(True).alias("known"))
+    return rasters.scaled_volume(rasters.sales_volume(spark, sf_dir))
 
 
-@query("volume_patches", f"""WITH {sql.grid(16, 50)}, zz AS (SELECT unnest(range(0, 11)) AS z), s AS (SELECT round(l_discount * 100)::INTEGER AS z, {sql.WEEK} AS y, l_quantity::INTEGER - 1 AS x, sum({sql.CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL),
+@query("volume_patches", f"""WITH {sql.grid(sql.WEEKS, 50)}, zz AS (SELECT unnest(range(0, 11)) AS z), s AS (SELECT round(l_discount * 100)::INTEGER AS z, {sql.WEEK} AS y, l_quantity::INTEGER - 1 AS x, sum({sql.CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL),
 f AS (SELECT zz.z, g.y, g.x, coalesce(s.v, 0)::BIGINT AS v FROM grid g CROSS JOIN zz LEFT JOIN s ON s.z = zz.z AND s.y = g.y AND s.x = g.x),
 p AS (SELECT z, y, x, CASE WHEN m > 0 THEN v * 255 // m ELSE 0 END AS pix FROM f, (SELECT max(v) AS m FROM f)),
-o AS (SELECT unnest(range(-1, 2)) AS d), c AS (SELECT a.z, a.y, a.x, b.pix, (b.z - a.z) * 9 + (b.y - a.y) * 3 + b.x - a.x + 13 AS i
-  FROM p a, o dz, o dy, o dx, p b WHERE b.z = a.z + dz.d AND b.y = a.y + dy.d AND b.x = a.x + dx.d AND a.z BETWEEN 1 AND 9 AND a.y BETWEEN 1 AND 14 AND a.x BETWEEN 1 AND 48)
-SELECT z::INTEGER AS cz, y::INTEGER AS cy, x::INTEGER AS cx, sum(pix)::BIGINT AS total, sum(pix * i)::BIGINT AS moment, count(*) AS n FROM c GROUP BY ALL""")
+o AS (SELECT unnest(range(-1, 2)) AS d), c AS (SELECT b.z - dz.d AS z, b.y - dy.d AS y, b.x - dx.d AS x, b.pix, dz.d * 9 + dy.d * 3 + dx.d + 13 AS i FROM p b, o dz, o dy, o dx)
+SELECT z::INTEGER AS cz, y::INTEGER AS cy, x::INTEGER AS cx, sum(pix)::BIGINT AS total, sum(pix * i)::BIGINT AS moment, count(*) AS n FROM c GROUP BY ALL HAVING count(*) = 27""")
 def volume_patches(spark, sf_dir):
     """Cubes of side 3; sums and first moments stand for their samples."""
     p = patches.extract_patches(volume(spark, sf_dir), 3, ndim=3)
@@ -126,7 +128,7 @@ def mask_exact_hash(spark, sf_dir):
     return masks.exact_hash_mask(market(spark, sf_dir), 0.2)
 
 
-@query("mask_text", f"""WITH {MARKET}, {sql.hashed()}, items AS (SELECT item_id, text FROM benchmark ORDER BY item_id LIMIT 64),
+@query("mask_text", f"""WITH {MARKET}, {sql.hashed()}, items AS (SELECT item_id, text FROM benchmark),
 chars AS (SELECT item_id, i AS pos, substr(text, i, 1) AS c FROM (SELECT item_id, text, unnest(range(1, length(text) + 1)) AS i FROM items)),
 shape AS (SELECT DISTINCT image_id, h, w FROM hashed),
 n AS (SELECT image_id, h, w, c, row_number() OVER (PARTITION BY image_id ORDER BY item_id, pos) - 1 AS n FROM shape, chars),
@@ -183,7 +185,7 @@ def fill_one_step(spark, sf_dir):
     return flat(near)
 
 
-@query("search_raster_exact", f"""{DAMAGED}, {FRONT}, {WINDOWS}, q AS (SELECT p.* FROM patches p JOIN front f ON f.image_id = p.image_id AND f.y = cy AND f.x = cx WHERE (p.cy + p.cx) % 4 = 0),
+@query("search_raster_exact", f"""{DAMAGED}, {FRONT}, {WINDOWS}, q AS (SELECT p.* FROM patches p JOIN front f ON f.image_id = p.image_id AND f.y = cy AND f.x = cx),
 s AS (SELECT q.patch_id AS query_id, d.patch_id, list_sum([CASE WHEN q.known[i] THEN (q.vals[i] - d.vals[i]) * (q.vals[i] - d.vals[i]) ELSE 0 END for i in range(1, 26)])::BIGINT AS cost FROM q JOIN patches d ON d.n_known = 25)
 SELECT query_id, patch_id, cost FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1""")
 def search_raster_exact(spark, sf_dir):
@@ -191,9 +193,9 @@ def search_raster_exact(spark, sf_dir):
     from patchspace.operators import footprints, zindex
 
     r = damaged(spark, sf_dir)
-    q = patches.active_patches(patches.fill_front(r), r, K).where((F.col("cy") + F.col("cx")) % 4 == 0)
-    d = patches.build_dictionary(r, K)
-    index = zindex.build_index(d, footprints.footprints(K, 0.6), K, 6, 128)
+    q = patches.active_patches(patches.fill_front(r), r, K)
+    d = patches.RasterPatches(r, K)
+    index = zindex.build_index(d.frame, footprints.footprints(K, 0.6), K, 6, 128)
     return knn.search(q, index, d, 20, costs.l2(), exact=True).select("query_id", "patch_id", "cost")
 
 
@@ -232,9 +234,9 @@ def fill_stripes(spark, sf_dir):
     return flat(fill.inpaint(masks.damage(r, masks.hole_mask(r)), "scan", k=9))
 
 
-@query("wave_fill", "SELECT 0::BIGINT AS image_id, y::INTEGER AS y, x::INTEGER AS x, ((x + y * 3) % 8 * 28 + y % 4 * 5)::BIGINT AS pix FROM (SELECT unnest(range(0, 24)) AS y), (SELECT unnest(range(0, 24)) AS x)")
+@query("wave_fill", "SELECT 0::BIGINT AS image_id, y::INTEGER AS y, x::INTEGER AS x, ((x + y * 3) % 8 * 28 + y % 4 * 5)::BIGINT AS pix FROM (SELECT unnest(range(0, 32)) AS y), (SELECT unnest(range(0, 32)) AS x)")
 def wave_fill(spark, sf_dir):
-    r = rasters.stripes(spark, 24, 24)
+    r = rasters.stripes(spark, 32, 32)
     return flat(fill.wave_fill(masks.damage(r, masks.hole_mask(r, 8)), 5, 6, 10, 64)[0])
 
 
@@ -278,8 +280,8 @@ def volume_fill_waves(spark, sf_dir):
 
 @query("volume_fill")
 def volume_fill(spark, sf_dir):
-    """The sales volume with a block cut out, through the 26-footprint index."""
-    v = volume(spark, sf_dir).where("y < 12 AND x < 16")
-    hole = F.col("z").between(4, 6) & F.col("y").between(4, 7) & F.col("x").between(5, 9)
+    """The whole sales volume with a block cut out, through the 26-footprint index."""
+    v = volume(spark, sf_dir)
+    hole = F.col("z").between(4, 6) & F.col("y").between(40, 43) & F.col("x").between(20, 24)
     v = v.withColumn("known", ~hole).withColumn("pix", F.when(~hole, F.col("pix")))
     return fill.inpaint_volume(v, "zcurve", dims=6, knn=20, mu=64).select("image_id", "z", "y", "x", F.col("pix")[0].cast("long").alias("pix"))

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from patchspace.functions.portable import portable_hash_sql
-from patchspace.operators.footprints import Footprint, footprints
+from patchspace.operators.footprints import footprints
 from patchspace.operators.reduce import frequencies
 from patchspace.sources.rasters import DAY0, SIZES
 
@@ -12,7 +12,7 @@ CENTS = "round({0} * 100)::BIGINT"
 PATCHES = """emb AS (
   SELECT vec_id AS patch_id, [floor((v::DOUBLE + 1) * 127.5)::BIGINT for v in embedding] AS vals FROM embeddings)"""
 
-EVERY = 50  # queries are the patches whose identifier is divisible by this
+EVERY = 20  # queries are the patches whose identifier is divisible by this
 ROWS_KNOWN = 5
 
 
@@ -48,15 +48,18 @@ def z_key(coords: list[str], bits: int) -> str:
     return " + ".join(parts)
 
 
-def grid(h: int, w: int, images: str = "0") -> str:
+def grid(h: int | str, w: int | str, images: str = "0") -> str:
     return f"grid AS (SELECT image_id::BIGINT AS image_id, y::INTEGER AS y, x::INTEGER AS x FROM (SELECT unnest([{images}]) AS image_id), (SELECT unnest(range(0, {h})) AS y), (SELECT unnest(range(0, {w})) AS x))"
 
 
 WEEK = f"floor(datediff('day', DATE '{DAY0}', l_shipdate::DATE) / 7)::INTEGER"
 
 
+WEEKS = f"(SELECT max({WEEK}) + 1 FROM lineitem)"
+
+
 def sales_field() -> str:
-    return f"""{grid(357, 50)},
+    return f"""{grid(WEEKS, 50)},
 sums AS (SELECT {WEEK} AS y, l_quantity::INTEGER - 1 AS x, sum({CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL),
 field AS (SELECT g.image_id, g.y, g.x, coalesce(s.v, 0)::BIGINT AS v FROM grid g LEFT JOIN sums s USING (y, x))"""
 
@@ -64,7 +67,7 @@ field AS (SELECT g.image_id, g.y, g.x, coalesce(s.v, 0)::BIGINT AS v FROM grid g
 def market_sums(size: str, levels: str) -> str:
     w, h = SIZES[size]
     return f"""{grid(h, w, levels)},
-sums AS (SELECT round(l_discount * 100)::BIGINT AS image_id, least(l_partkey * {h} // ((SELECT max(p_partkey) FROM part) + 1), {h - 1})::INTEGER AS y, {WEEK} AS x,
+sums AS (SELECT round(l_discount * 100)::BIGINT AS image_id, least(l_partkey * {h} // ((SELECT max(p_partkey) FROM part) + 1), {h - 1})::INTEGER AS y, least({WEEK} * {w} // {WEEKS}, {w - 1})::INTEGER AS x,
   sum({CENTS.format('l_extendedprice')})::BIGINT AS v FROM lineitem GROUP BY ALL),
 field AS (SELECT g.image_id, g.y, g.x, coalesce(s.v, 0)::BIGINT AS v FROM grid g LEFT JOIN sums s USING (image_id, y, x))"""
 
@@ -90,9 +93,13 @@ def hashed(source: str = "raster", name: str = "hashed") -> str:
     return f"""{name} AS (SELECT image_id, y, x, h, w, {h} AS hash FROM {source} JOIN (SELECT image_id, max(y) + 1 AS h, max(x) + 1 AS w FROM {source} GROUP BY image_id) USING (image_id))"""
 
 
-def footprint_rows(fps: list[Footprint]) -> str:
-    rows = ", ".join(f"({f.index_id}, '{f.kind}', [{', '.join(map(str, f.pos))}])" for f in fps)
-    return f"fp(index_id, kind, pos) AS (VALUES {rows})"
+def footprint_rows(k: int = 8, c: float = 0.6) -> str:
+    """fp(index_id, kind, pos): the cells nearest the middle of an edge or a corner, by the rule."""
+    return f"""fp_a AS (SELECT a, b, abs(a) + abs(b) AS sides FROM (SELECT unnest(range(-1, 2)) AS a), (SELECT unnest(range(-1, 2)) AS b) WHERE a <> 0 OR b <> 0),
+fp_i AS (SELECT *, row_number() OVER (ORDER BY sides, a, b) - 1 AS index_id FROM fp_a),
+fp_d AS (SELECT index_id, sides, y * {k} + x AS cell, row_number() OVER (PARTITION BY index_id ORDER BY (2 * y - (a + 1) * {k - 1}) ** 2 + (2 * x - (b + 1) * {k - 1}) ** 2, y, x) AS near
+  FROM fp_i, (SELECT unnest(range(0, {k})) AS y), (SELECT unnest(range(0, {k})) AS x)),
+fp AS (SELECT index_id::INTEGER AS index_id, CASE sides WHEN 1 THEN 'edge' ELSE 'corner' END AS kind, list(cell ORDER BY near) AS pos FROM fp_d WHERE near <= floor({c} * {k * k} + 0.5) GROUP BY index_id, sides)"""
 
 
 FP8 = footprints(8, 0.6)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from patchspace.functions.register import register
 from patchspace.plans import core, sql
@@ -13,7 +14,7 @@ from patchspace.plans.registry import query
 def sql_udf_masked_l2(spark, sf_dir):
     register(spark)
     d = core.dictionary(spark, sf_dir)
-    q = F.broadcast(core.queries_of(d).select("query_id", F.col("vals").alias("q_vals"), "known"))
+    q = core.queries_of(d).select("query_id", F.col("vals").alias("q_vals"), "known")
     pairs = d.join(q, F.col("patch_id") != F.col("query_id"))
     return pairs.groupBy("query_id").agg(F.min(F.expr("masked_l2(q_vals, vals, known)")).alias("cost"))
 
@@ -34,11 +35,32 @@ def udtf_zranges(spark, sf_dir):
 
 @query("udaf_topk_merge", "SELECT user_id, string_agg(event_id::VARCHAR, ',' ORDER BY value DESC, event_id) AS best FROM (SELECT * FROM events QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) <= 4) GROUP BY user_id")
 def udaf_topk_merge(spark, sf_dir):
-    """Bounded lists merged by sort and slice: partial lists per task, then one list per key."""
+    """The first four of each task's rows of a key, merged by sort and slice: a list never holds more
+    than four rows of a task."""
     from patchspace.shared import table
 
-    t = table(sf_dir, "events", spark)
+    t = table(sf_dir, "events", spark).withColumn("p", F.spark_partition_id())
+    order = Window.partitionBy("user_id", "p").orderBy(F.desc("value"), "event_id")
+    few = t.withColumn("r", F.row_number().over(order)).where("r <= 4")
     key = F.struct((-F.col("value")).alias("v"), "event_id")
-    part = t.groupBy("user_id", F.spark_partition_id().alias("p")).agg(F.slice(F.array_sort(F.collect_list(key)), 1, 4).alias("top"))
-    best = part.groupBy("user_id").agg(F.slice(F.array_sort(F.flatten(F.collect_list("top"))), 1, 4).alias("top"))
+    best = few.groupBy("user_id").agg(F.slice(F.array_sort(F.collect_list(key)), 1, 4).alias("top"))
     return best.select("user_id", F.array_join(F.transform("top", lambda s: s["event_id"].cast("string")), ",").alias("best"))
+
+
+@query("sql_box_dist2", f"""WITH g AS (SELECT unnest(range(0, 8)) AS v) SELECT a.v::INTEGER AS x, b.v::INTEGER AS y,
+  (greatest(2 - a.v, a.v - 4, 0) ** 2 + greatest(3 - b.v, b.v - 5, 0) ** 2)::DOUBLE AS d FROM g a, g b""")
+def sql_box_dist2(spark, sf_dir):
+    register(spark)
+    return spark.sql("SELECT CAST(x AS INT) AS x, CAST(y AS INT) AS y, box_dist2(array(double(x), double(y)), array(2D, 3D), array(4D, 5D)) AS d FROM (SELECT id div 8 AS x, id % 8 AS y FROM range(64))")
+
+
+@query("sql_z_decode", f"WITH {core.GRID} SELECT k, x::INTEGER AS x, y::INTEGER AS y FROM z")
+def sql_z_decode(spark, sf_dir):
+    register(spark)
+    return spark.sql("SELECT id AS k, p[0] AS x, p[1] AS y FROM (SELECT id, z_decode(id, 2, 3) AS p FROM range(64))")
+
+
+@query("sql_z_less", f"WITH {core.GRID} SELECT (p.x * 8 + p.y)::INTEGER AS p, (q.x * 8 + q.y)::INTEGER AS q, p.k < q.k AS less FROM z p, z q")
+def sql_z_less(spark, sf_dir):
+    register(spark)
+    return spark.sql("SELECT CAST(a.id AS INT) AS p, CAST(b.id AS INT) AS q, z_less(array(INT(a.id div 8), INT(a.id % 8)), array(INT(b.id div 8), INT(b.id % 8))) AS less FROM range(64) a, range(64) b")

@@ -43,28 +43,30 @@ def event_session(spark, sf_dir):
 
 @query("stream_tumbling_complete", TUMBLING)
 def stream_tumbling_complete(spark, sf_dir):
-    """The stream's final state equals the batch."""
+    """The stream's final state equals the batch; every batch replaces the table of the one before."""
     s = st.tumbling(st.events_stream(spark, sf_dir))
-    spark_name = "tumbling_" + new_path(spark, "t")[-12:].replace("-", "_")
-    q = s.writeStream.outputMode("complete").format("memory").queryName(spark_name).option("checkpointLocation", new_path(spark, "stream-state")).trigger(availableNow=True).start()
+    path = new_path(spark, "complete")
+    put = lambda batch, _: batch.write.mode("overwrite").parquet(f"{path}/out")
+    q = s.writeStream.outputMode("complete").foreachBatch(put).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(spark_name).select("user_id", second("start").alias("start"), "n", "v")
+    return spark.read.schema(s.schema).parquet(f"{path}/out").select("user_id", second("start").alias("start"), "n", "v")
 
 
-@query("stream_tumbling_final")
+@query("stream_tumbling_final", f"SELECT * FROM ({TUMBLING}) WHERE (start + 21600) * 1000 <= (SELECT epoch_ms(max(ts)) FROM events) - 86400000")
 def stream_tumbling_final(spark, sf_dir):
     """Cells that the watermark has closed, in append mode."""
     return st.drain(st.tumbling(st.events_stream(spark, sf_dir))).select("user_id", second("start").alias("start"), "n", "v")
 
 
 GAP_SQL = """WITH e AS (SELECT DISTINCT user_id, (datediff('day', DATE '2024-01-01', ts::DATE) * 4 + hour(ts) // 6)::INTEGER AS slot FROM events),
+w AS (SELECT (epoch_ms(max(ts)) - 86400000) // 21600000 - 1704067200000 // 21600000 AS mark FROM events),
 n AS (SELECT user_id, slot, lead(slot) OVER (PARTITION BY user_id ORDER BY slot) AS following FROM e)
-SELECT user_id, unnest(range(slot + 1, following))::INTEGER AS slot FROM n WHERE following > slot + 1"""
+SELECT user_id, unnest(range(slot + 1, following))::INTEGER AS slot FROM n, w WHERE following > slot + 1 AND following < mark"""
 
 
 @query("stream_gaps", GAP_SQL)
 def stream_gaps(spark, sf_dir):
-    """The table arrives as one file, so one batch sees all slots in order."""
+    """Gaps between slots that the watermark has closed by the end."""
     return st.drain(st.gaps(st.events_stream(spark, sf_dir)))
 
 

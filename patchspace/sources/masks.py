@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -27,11 +27,24 @@ def hash_mask(raster: DataFrame, p: float) -> DataFrame:
     return cell_hash(raster).select("image_id", "y", "x", (F.col("hash") >= int(p * MODULUS)).alias("known"))
 
 
+def _first(cells: DataFrame, bucket: Column, order: list, p: float) -> DataFrame:
+    """The mask whose unknown cells are the first floor(p * cells) of each image by (bucket, *order).
+
+    Buckets are counted first and only ranked within, so no task holds an image; a row per
+    bucket and image carries the number of cells ahead of it.
+    """
+    cells = cells.withColumn("bucket", bucket)
+    sizes = cells.groupBy("image_id", "bucket").agg(F.count("*").alias("m"))
+    before = Window.partitionBy("image_id").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.select("image_id", "bucket", F.coalesce(F.sum("m").over(before), F.lit(0)).alias("ahead"))
+    ranked = cells.withColumn("rank", F.row_number().over(Window.partitionBy("image_id", "bucket").orderBy(*order)))
+    ranked = ranked.join(sizes, ["image_id", "bucket"])
+    return ranked.select("image_id", "y", "x", (F.col("rank") + F.col("ahead") > F.floor(F.col("h") * F.col("w") * p)).alias("known"))
+
+
 def exact_hash_mask(raster: DataFrame, p: float) -> DataFrame:
     """As ``hash_mask``, with exactly floor(p * cells) unknown cells in every image."""
-    order = Window.partitionBy("image_id").orderBy("hash", "y", "x")
-    ranked = cell_hash(raster).withColumn("rank", F.row_number().over(order))
-    return ranked.select("image_id", "y", "x", (F.col("rank") > F.floor(F.col("h") * F.col("w") * p)).alias("known"))
+    return _first(cell_hash(raster), F.shiftright("hash", 19), ["hash", "y", "x"], p)
 
 
 def hole_mask(raster: DataFrame, part: int = 4) -> DataFrame:
@@ -54,21 +67,21 @@ def lattice_mask(raster: DataFrame, factor: int = 2) -> DataFrame:
 def text_mask(spark: SparkSession, sf_dir: str, raster: DataFrame, p: float = 0.2) -> DataFrame:
     """Bits of benchmark characters drawn as columns of 7, up to p of the cells.
 
-    Characters are laid out in item order, seven cells high with one free row between lines. The
-    cells of the glyphs come first, in layout order, then others in hash order, so that exactly
-    floor(p * cells) cells of each image are unknown.
+    Characters of all items are laid out in item order, a line of them seven cells high with one free
+    row after it. The cells of the glyphs come first, in layout order, then others in hash order, so that
+    exactly floor(p * cells) cells of each image are unknown.
     """
-    chars = table(sf_dir, "benchmark", spark).orderBy("item_id").limit(64).select("item_id", F.posexplode(F.split("text", "")).alias("at", "c")).where("c <> ''")
-    shape = _shape(raster)
-    one = Window.partitionBy("image_id").orderBy("item_id", "at")
-    drawn = shape.join(F.broadcast(chars), F.lit(True)).withColumn("n", F.row_number().over(one) - 1)  # at most 64 short items
-    drawn = drawn.where(F.col("n") < F.expr("(h div 8) * w")).select("image_id", "w", "n", "c", F.explode(F.sequence(F.lit(0), F.lit(6))).alias("bit"))
-    drawn = drawn.where(F.getbit(F.ascii("c").cast("long"), F.col("bit")) == 1)
-    glyph = drawn.select("image_id", (F.expr("n div w") * 8 + F.col("bit")).cast("int").alias("y"), F.pmod("n", "w").cast("int").alias("x"), F.col("n").alias("turn"))
-    cells = cell_hash(raster).join(glyph, ["image_id", "y", "x"], "left")
-    order = Window.partitionBy("image_id").orderBy(F.col("turn").asc_nulls_last(), "hash", "y", "x")
-    ranked = cells.withColumn("rank", F.row_number().over(order))
-    return ranked.select("image_id", "y", "x", (F.col("rank") > F.floor(F.col("h") * F.col("w") * p)).alias("known"))
+    items = table(sf_dir, "benchmark", spark).where(F.length("text") > 0).select("item_id", "text", F.length("text").alias("length"))
+    before = Window.orderBy("item_id").rowsBetween(Window.unboundedPreceding, -1)  # a row per item
+    starts = items.select(F.col("item_id").alias("s_id"), F.coalesce(F.sum("length").over(before), F.lit(0)).alias("start"))
+    chars = items.join(starts, F.col("item_id") == F.col("s_id")).select("start", F.posexplode(F.split("text", "")).alias("at", "c")).where("c <> ''")
+    chars = chars.select((F.col("start") + F.col("at")).alias("turn"), F.ascii("c").cast("long").alias("code"))
+    cells = cell_hash(raster).withColumn("bit", F.col("y") % 8).withColumn("place", F.when((F.col("bit") < 7) & (F.expr("y div 8") < F.expr("h div 8")), F.expr("y div 8") * F.col("w") + F.col("x")))
+    cells = cells.join(chars, F.col("place") == F.col("turn"), "left")
+    on = F.coalesce(F.getbit("code", "bit") == 1, F.lit(False))
+    cells = cells.withColumn("turn", F.when(on, F.col("turn")))
+    bucket = F.when(on, F.expr("turn div 512")).otherwise(F.shiftright("hash", 19) + (1 << 40))
+    return _first(cells, bucket, [F.col("turn").asc_nulls_last(), "hash", "y", "x"], p)
 
 
 def damage(raster: DataFrame, mask: DataFrame) -> DataFrame:

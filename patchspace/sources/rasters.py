@@ -15,7 +15,8 @@ from patchspace.functions.portable import cents
 from patchspace.shared import table
 
 DAY0 = "1995-01-02"
-WEEKS, QUANTITIES = 357, 50
+QUANTITIES = 50
+LEVELS = tuple(range(11))  # discounts in percent
 # Width and height of the paper's four resolutions, an eighth per side.
 SIZES = {"S": (100, 75), "M": (200, 150), "L": (256, 192), "XL": (320, 240)}
 
@@ -60,11 +61,21 @@ def week_of(day: Column) -> Column:
     return F.floor(F.datediff(day, F.lit(DAY0)) / 7).cast("int")
 
 
+def extent(cells: DataFrame, axis: str = "y") -> int:
+    """Length of an axis that begins at 0: one number reaches the driver."""
+    last = cells.agg(F.max(axis)).first()[0]
+    return 0 if last is None else int(last) + 1
+
+
+def weeks_of(lineitem: DataFrame) -> int:
+    return extent(lineitem.select(week_of(F.col("l_shipdate")).alias("y")))
+
+
 def sales_field(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Week of shipping x quantity, extended price in cents."""
+    """Week of shipping x quantity, extended price in cents; as many weeks as the table has."""
     t = table(sf_dir, "lineitem", spark)
     sums = t.groupBy(week_of(F.col("l_shipdate")).alias("y"), (F.col("l_quantity").cast("int") - 1).alias("x")).agg(F.sum(cents(F.col("l_extendedprice"))).alias("v"))
-    return on_grid(spark, sums.withColumn("image_id", F.lit(0).cast("long")), WEEKS, QUANTITIES, F.array(F.lit(0)))
+    return on_grid(spark, sums.withColumn("image_id", F.lit(0).cast("long")), weeks_of(t), QUANTITIES, F.array(F.lit(0)))
 
 
 def sales_smooth(spark: SparkSession, sf_dir: str, size: int = 5) -> DataFrame:
@@ -76,17 +87,20 @@ def sales_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def market_sums(spark: SparkSession, sf_dir: str, size: str, levels: tuple[int, ...]) -> DataFrame:
-    """Part ranges x weeks, an image per discount level, extended price in cents."""
+    """Part ranges x week ranges, an image per discount level, extended price in cents: every row of a
+    level falls in a cell of its image, whatever the size."""
     w, h = SIZES[size]
+    weeks = max(1, weeks_of(table(sf_dir, "lineitem", spark)))
     parts = table(sf_dir, "part", spark).agg(F.max("p_partkey").alias("parts"))
     t = table(sf_dir, "lineitem", spark).withColumn("image_id", F.round(F.col("l_discount") * 100).cast("long")).where(F.col("image_id").isin(*levels))
     y = F.least(F.expr(f"l_partkey * {h} div (parts + 1)"), F.lit(h - 1)).cast("int")
-    x = week_of(F.col("l_shipdate"))
+    x = F.least(F.expr(f"week * {w} div {weeks}"), F.lit(w - 1)).cast("int")
+    t = t.withColumn("week", week_of(F.col("l_shipdate")))
     sums = t.crossJoin(F.broadcast(parts)).groupBy("image_id", y.alias("y"), x.alias("x")).agg(F.sum(cents(F.col("l_extendedprice"))).alias("v"))  # one row of parts
-    return on_grid(spark, sums.where(F.col("x") < w), h, w, F.array(*[F.lit(i) for i in levels]))
+    return on_grid(spark, sums, h, w, F.array(*[F.lit(i) for i in levels]))
 
 
-def market_smooth(spark: SparkSession, sf_dir: str, size: str = "S", levels: tuple[int, ...] = tuple(range(1, 11)), window: int = 5) -> DataFrame:
+def market_smooth(spark: SparkSession, sf_dir: str, size: str = "S", levels: tuple[int, ...] = LEVELS, window: int = 5) -> DataFrame:
     """The photo-like ladder: ``market_sums`` smoothed and scaled."""
     return scaled(box_sum(market_sums(spark, sf_dir, size, levels), window))
 
@@ -98,20 +112,28 @@ def activity_sums(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.groupBy(F.col("user_id").cast("int").alias("y"), slot.alias("x")).agg(F.count("*").alias("n"), F.sum(cents(F.col("value"))).alias("v"), F.countDistinct("event_type").alias("kinds"))
 
 
-def activity_field(spark: SparkSession, sf_dir: str, users: int = 150, slots: int = 120) -> DataFrame:
-    sums = activity_sums(spark, sf_dir).where(F.col("y").between(0, users - 1) & F.col("x").between(0, slots - 1))
-    return on_grid(spark, sums.withColumn("image_id", F.lit(0).cast("long")), users, slots, F.array(F.lit(0)))
+def activity_field(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All users and slots of the table."""
+    sums = activity_sums(spark, sf_dir).withColumn("image_id", F.lit(0).cast("long"))
+    return on_grid(spark, sums, extent(sums), extent(sums, "x"), F.array(F.lit(0)))
 
 
-def activity_rgb(spark: SparkSession, sf_dir: str, users: int = 150, slots: int = 120) -> DataFrame:
+def activity_rgb(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three channels, each scaled on its own."""
-    sums = activity_sums(spark, sf_dir).where(F.col("y").between(0, users - 1) & F.col("x").between(0, slots - 1)).withColumn("image_id", F.lit(0).cast("long"))
-    full = grid(spark, users, slots, F.array(F.lit(0))).join(sums, ["image_id", "y", "x"], "left").na.fill(0, ["n", "v", "kinds"])
+    sums = activity_sums(spark, sf_dir).withColumn("image_id", F.lit(0).cast("long"))
+    full = grid(spark, extent(sums), extent(sums, "x"), F.array(F.lit(0))).join(sums, ["image_id", "y", "x"], "left").na.fill(0, ["n", "v", "kinds"])
     ends = full.groupBy("image_id").agg(*[f(c).alias(f"{c}_{k}") for c in ("n", "v", "kinds") for k, f in (("lo", F.min), ("hi", F.max))])
     one = lambda c: F.expr(f"CASE WHEN {c}_hi > {c}_lo THEN (({c} - {c}_lo) * 255) div ({c}_hi - {c}_lo) ELSE 0 END").cast("smallint")
     return full.join(ends, "image_id").select("image_id", "y", "x", F.array(one("n"), one("v"), one("kinds")).alias("pix"), F.lit(True).alias("known"))
 
 
+def activity_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """User x day x six-hour slot: image_id, z, y, x, v."""
+    sums = activity_sums(spark, sf_dir).select(F.col("y").alias("z"), F.expr("x div 4").cast("int").alias("y"), (F.col("x") % 4).cast("int").alias("x"), "v")
+    full = grid(spark, extent(sums), 4, F.array(F.lit(0))).withColumn("z", F.explode(F.sequence(F.lit(0), F.lit(max(0, extent(sums, "z") - 1)))))
+    return full.join(sums, ["z", "y", "x"], "left").select("image_id", "z", "y", "x", F.coalesce("v", F.lit(0)).cast("long").alias("v"))
+
+
 def part_surface(spark: SparkSession, sf_dir: str, width: int = 50) -> DataFrame:
     t = table(sf_dir, "part", spark)
     at = F.col("p_partkey")  # keys are dense from 0
@@ -119,24 +141,33 @@ def part_surface(spark: SparkSession, sf_dir: str, width: int = 50) -> DataFrame
     return scaled(cells)
 
 
-def document_corpus(spark: SparkSession, sf_dir: str, width: int = 32, least: int = 1024) -> DataFrame:
-    """An image per document: its characters, wrapped at ``width``; whole rows only."""
+def document_corpus(spark: SparkSession, sf_dir: str, width: int = 32, least: int = 1) -> DataFrame:
+    """An image per document of ``least`` characters at least: the whole text, wrapped at ``width``, the
+    last row filled up with blanks."""
     t = table(sf_dir, "documents", spark).where(F.length("text") >= least)
-    rows = F.floor(F.length("text") / width).cast("int")
-    at = t.select(F.col("doc_id").alias("image_id"), "text", F.posexplode(F.transform(F.sequence(F.lit(0), rows - 1), lambda y: F.substring(F.col("text"), (y * width + 1).cast("int"), F.lit(width)))).alias("y", "line"))
+    rows = F.ceil(F.length("text") / width).cast("int")
+    line = lambda y: F.rpad(F.substring(F.col("text"), (y * width + 1).cast("int"), F.lit(width)), width, " ")
+    at = t.select(F.col("doc_id").alias("image_id"), F.posexplode(F.transform(F.sequence(F.lit(0), rows - 1), line)).alias("y", "line"))
     cells = at.select("image_id", "y", F.posexplode(F.split("line", "")).alias("x", "c")).where(F.col("x") < width)
     return cells.select("image_id", "y", "x", F.array(F.least(F.ascii("c"), F.lit(255)).cast("smallint")).alias("pix"), F.lit(True).alias("known"))
 
 
-def sales_volume(spark: SparkSession, sf_dir: str, weeks: int = 64) -> DataFrame:
-    """Week x quantity x discount level: image_id, z, y, x, v."""
+def sales_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Week x quantity x discount level, all of the table: image_id, z, y, x, v."""
     t = table(sf_dir, "lineitem", spark)
     keys = [F.round(F.col("l_discount") * 100).cast("int").alias("z"), week_of(F.col("l_shipdate")).alias("y"), (F.col("l_quantity").cast("int") - 1).alias("x")]
-    sums = t.groupBy(*keys).agg(F.sum(cents(F.col("l_extendedprice"))).alias("v")).where(F.col("y") < weeks)
-    full = grid(spark, weeks, QUANTITIES, F.array(F.lit(0))).withColumn("z", F.explode(F.sequence(F.lit(0), F.lit(10))))
+    sums = t.groupBy(*keys).agg(F.sum(cents(F.col("l_extendedprice"))).alias("v"))
+    full = grid(spark, weeks_of(t), QUANTITIES, F.array(F.lit(0))).withColumn("z", F.explode(F.sequence(F.lit(0), F.lit(10))))
     return full.join(sums, ["z", "y", "x"], "left").select("image_id", "z", "y", "x", F.coalesce("v", F.lit(0)).cast("long").alias("v"))
 
 
+def scaled_volume(cells: DataFrame) -> DataFrame:
+    """Samples 0..255 by the largest sum: image_id, z, y, x, pix, known."""
+    ends = cells.groupBy("image_id").agg(F.max("v").alias("hi"))
+    pix = F.expr("CASE WHEN hi > 0 THEN (v * 255) div hi ELSE 0 END").cast("smallint")
+    return cells.join(ends, "image_id").select("image_id", "z", "y", "x", F.array(pix).alias("pix"), F.lit(True).alias("known"))
+
+
 def stripes(spark: SparkSession, height: int = 64, width: int = 64, period: int = 8) -> DataFrame:
     """A periodic texture that a fill must recover exactly."""
     cells = grid(spark, height, width, F.array(F.lit(0)))

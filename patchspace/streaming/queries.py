@@ -51,31 +51,48 @@ def distinct_queries(queries: DataFrame, watermark: str = "1 day") -> DataFrame:
 
 
 GAPS = "user_id long, slot int"
-SEEN = "slot int"
+SEEN = "slots array<int>, closed int"
 
 
 def _gaps_of(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-    """The slots of a user that lie between those seen; the state is the last slot seen."""
-    before = state.get[0] if state.exists else None
+    """The slots of a user that lie between those seen and that the watermark has closed.
+
+    The state is the slots that are seen and still open, and the last slot reported on; a timeout wakes
+    a user once the watermark has passed its latest slot.
+    """
+    slots, closed = (list(state.get[0]), state.get[1]) if state.exists else ([], None)
+    for frame in frames:
+        slots += [int(s) for s in frame["slot"]]
+    slots = sorted(set(slots))
+    mark = state.getCurrentWatermarkMs() // SLOT_MS - DAY0_SLOT  # slots before it get no more rows
     out = []
-    for s in sorted({int(s) for frame in frames for s in frame["slot"]}):
-        if before is not None:
-            out += [(key[0], g) for g in range(before + 1, s)]
-        before = s if before is None else max(before, s)
-    if before is not None:
-        state.update((before,))
+    done = [s for s in slots if s < mark]
+    for s in done:
+        if closed is not None:
+            out += [(key[0], g) for g in range(closed + 1, s)]
+        closed = s if closed is None else max(closed, s)
+    slots = slots[len(done) :]
+    state.update((slots, closed))
+    if slots:
+        state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs() + 1, (slots[0] + 1 + DAY0_SLOT) * SLOT_MS))
     yield pd.DataFrame(out, columns=["user_id", "slot"]).astype({"user_id": "int64", "slot": "int32"})
 
 
-def gaps(events: DataFrame) -> DataFrame:
+SLOT_MS = 6 * 3600 * 1000
+DAY0_SLOT = 1_704_067_200_000 // SLOT_MS  # the slot that 2024-01-01 begins with
+
+
+def gaps(events: DataFrame, watermark: str = "1 day") -> DataFrame:
     """Unknown cells of each user's row, found as events arrive.
 
-    The state is one slot per user: it grows with the users, not with the events.
+    A slot counts as a gap only when the watermark has passed the slot after it that was seen, so an
+    event that is late, but within the watermark, fills its slot. The state is the open slots of a user:
+    it grows with the users and the watermark, not with the events.
     """
     ship(events.sparkSession)
     slot = (F.datediff("ts", F.lit("2024-01-01")) * 4 + F.floor(F.hour("ts") / 6)).cast("int")
-    rows = events.select("user_id", slot.alias("slot")).groupBy("user_id")
-    return rows.applyInPandasWithState(_gaps_of, GAPS, SEEN, "append", "NoTimeout")
+    rows = events.withWatermark("ts", watermark).select("ts", "user_id", slot.alias("slot")).groupBy("user_id")
+    return rows.applyInPandasWithState(_gaps_of, GAPS, SEEN, "append", "EventTimeTimeout")
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -99,7 +116,11 @@ def serve(queries: DataFrame, index: zindex.ZIndex, dictionary: DataFrame, k: in
 
     q = queries.writeStream.foreachBatch(answer).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.parquet(f"{path}/answers").drop("batch")
+    answers = "query_id long, patch_id long, cost long"
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/answers")
+    if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):  # no query arrived
+        return spark.createDataFrame([], answers)
+    return spark.read.schema(answers).parquet(f"{path}/answers/*")
 
 
 def add_to_index(index: zindex.ZIndex, patches: DataFrame, path: str) -> zindex.ZIndex:

@@ -254,3 +254,104 @@ def test_volume_fill(method):
     if method == "scan":
         assert (out == vol).all()
     assert kernels.fill_volume(vol, np.ones_like(known))[1] == []
+
+
+def test_the_seed_round_is_linear_in_the_queries(spark, monkeypatch):
+    """Round one pairs a query with the blocks that hold k entries and one more, whatever the index holds."""
+    from patchspace.plans import core
+
+    sf = "/root/testdata/sf0.001"
+    d = core.dictionary(spark, sf)
+    fps, bases = core.whole_basis(10)
+    index = zindex.build_index(d, fps, 8, 10, 8, bases)
+    q = core.queries_of(d, 8).withColumn("index_id", F.lit(0))
+    coords = knn.query_coords(q, index)
+    n, blocks, k = q.count(), index.catalog.count(), 20
+    assert blocks > 40 and knn.near_blocks(coords, index, k).count() <= n * (-(-k // 8) + 2)
+    want = [tuple(r) for r in knn.zcurve_knn(q, index, k, 1).orderBy("query_id", "rank").collect()]
+    monkeypatch.setattr(zindex, "UNITS", 4)  # a catalogue too large to send: groups first, then their blocks
+    large = zindex.ZIndex(index.entries, index.catalog, index.bases, index.footprints, 8, 10, 8)
+    assert large.grouped
+    assert [tuple(r) for r in knn.zcurve_knn(q, large, k, 1).orderBy("query_id", "rank").collect()] == want
+
+
+def test_candidates_are_cut_from_strips(spark, monkeypatch):
+    monkeypatch.setattr(patches, "STRIP", 7)
+    r = rasters.stripes(spark, 20, 23)
+    holed = masks.damage(r, masks.hole_mask(r))
+    whole = {x.patch_id: list(x.vals) for x in patches.build_dictionary(holed, 5).collect()}
+    ids = [*whole][::3] + [patches.STEP * 10 + 10, patches.STEP * 500 + 2]  # in the hole; off the raster
+    got = patches.RasterPatches(holed, 5).cut(spark.createDataFrame([(i,) for i in ids], "patch_id long"))
+    assert {x.patch_id: list(x.vals) for x in got.collect()} == {i: whole[i] for i in ids if i in whole}
+
+
+def test_images_that_cannot_be_filled_come_back(spark):
+    r = rasters.stripes(spark, 16, 16)
+    images = [r.withColumn("image_id", F.lit(i).cast("long")) for i in range(4)]
+    hole = ~((F.col("y").between(6, 8)) & (F.col("x").between(6, 8)))
+    good = images[0].withColumn("known", hole)
+    dark = images[1].withColumn("known", F.lit(False))
+    tiny = images[2].where("y < 3 AND x < 3").withColumn("known", F.col("x") > 0)
+    whole = images[3]
+    df = good.unionByName(dark).unionByName(tiny).unionByName(whole)
+    df = df.withColumn("pix", F.when(F.col("known"), F.col("pix")))
+    got = fill.inpaint(df, "scan", k=5)
+    counts = {x.image_id: (x.n, x.k) for x in got.groupBy("image_id").agg(F.count("*").alias("n"), F.count(F.when(F.col("known"), 1)).alias("k")).collect()}
+    assert counts == {0: (256, 256), 1: (256, 0), 2: (9, 6), 3: (256, 256)}
+    assert got.where("NOT known AND pix IS NOT NULL").count() == 0
+    assert fill.inpaint_trace(df, "scan", k=5).select("image_id").distinct().collect()[0].image_id == 0
+    empty = df.limit(0)
+    assert fill.inpaint(empty, "scan", k=5).count() == 0 and fill.wave_fill(empty, 5)[0].count() == 0
+    assert fill.wave_fill(dark.withColumn("pix", F.lit(None).cast("array<smallint>")), 5)[0].where("known").count() == 0
+
+
+def test_baselines_on_empty_tables(spark):
+    from patchspace.operators.baselines import plans as base
+
+    points = spark.createDataFrame([], "patch_id long, coord array<double>")
+    q = spark.createDataFrame([(1, [0.0, 1.0])], "query_id long, coord array<double>")
+    keyed, centres = base.idistance_build(points)
+    assert base.idistance_knn(q, keyed, centres, 3, 1.0).count() == 0
+    assert base.tsvq_knn(q, points).count() == 0 and base.lsh_knn(q, points, 3, 1.0).count() == 0
+
+
+def test_dictionaries_are_saved_in_curve_order(spark, tmp_path):
+    from patchspace.plans import core
+
+    d = core.dictionary(spark, "/root/testdata/sf0.001")
+    index = zindex.build_index(d, core.FPS[:2], 8, 6, 32)
+    patches.save_dictionary(d, str(tmp_path / "d"), index)
+    rows = spark.read.parquet(str(tmp_path / "d")).where("index_id = 0").select(F.hex("zkey").alias("z")).collect()
+    assert len(rows) == d.count() and sorted((tmp_path / "d").glob("index_id=*")) != []
+    back = patches.load_dictionary(spark, str(tmp_path / "d"))
+    assert {(r.patch_id, tuple(r.vals)) for r in back.collect()} == {(r.patch_id, tuple(r.vals)) for r in d.collect()}
+
+
+def test_regions_side_by_side_do_not_change_the_answer():
+    rng = np.random.default_rng(1)
+    p = rng.integers(0, 256, (3000, 25)).astype(np.int16)
+    centres = np.stack([np.arange(3000), np.zeros(3000, int)], 1)
+    mask = np.ones(25, bool)
+    one = kernels.ZCurve(p, centres, 5, 1, None, dims=6, knn=40, mu=16)
+    many = kernels.ZCurve(p, centres, 5, 1, None, dims=6, knn=40, mu=16, nu=32, threads=4)
+    for i in range(0, 3000, 300):
+        assert (one.candidates(p[i], mask, None) == many.candidates(p[i], mask, None)).all()
+    assert many.work["regions"] > one.work["queries"]
+
+
+def test_fills_follow_a_guide():
+    guide = costs.guided(3, None, lambda q, p: np.abs(p[..., 0] - 7).astype(np.int64))
+    p = np.array([[7, 1], [9, 1]], np.int16)
+    assert guide.local(np.array([0, 1]), p, np.array([False, True])).tolist() == [0, 6]
+    with pytest.raises(ValueError):
+        costs.guided(3, None).local(np.array([0, 1]), p, np.array([False, True]))
+
+
+def test_activity_rasters_hold_the_whole_table(spark):
+    sf = "/root/testdata/sf0.01"
+    total = spark.read.parquet(f"{sf}/events.parquet").agg(F.sum(F.round(F.col("value") * 100).cast("long"))).first()[0]
+    assert rasters.activity_field(spark, sf).agg(F.sum("v")).first()[0] == total
+    assert rasters.activity_volume(spark, sf).agg(F.sum("v")).first()[0] == total
+    price = spark.read.parquet(f"{sf}/lineitem.parquet").agg(F.sum(F.round(F.col("l_extendedprice") * 100).cast("long"))).first()[0]
+    assert rasters.sales_volume(spark, sf).agg(F.sum("v")).first()[0] == price
+    assert rasters.market_sums(spark, sf, "S", rasters.LEVELS).agg(F.sum("v")).first()[0] == price
