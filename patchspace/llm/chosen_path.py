@@ -340,6 +340,7 @@ def exact_links(texts: DataFrame, rows: DataFrame, words: int, percent: int) ->
     room for below that shingle bounds the common part. A shingle of many rows is dealt over cells,
     a cell being a pair of blocks of its rows, so no key has to fit in one task.
     """
+    rows = staged(rows, "path-exact-rows")  # of known size, so that texts are only shuffled for many rows
     rows = staged(rows.join(texts, F.col("doc_id") == F.col("_id")).select("doc_id", "component", "text"), "path-exact")
     shift = np.uint64(64 - BUCKET_BITS)
 
