@@ -26,6 +26,7 @@ from patchspace.llm.quality import THRESHOLD, fit, scorer
 from patchspace.shared import staged
 
 WORDS, PERCENT, MAX_REPEATS = 5, 80, 2.0
+MOST_SENT = 1_000_000  # keys of removed rows, 16 bytes each, that may go to every task
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -39,7 +40,8 @@ def near_duplicate_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     gone = staged(classes.where("NOT first").select(F.col("doc_id").alias("g_id"), F.col("text_key").alias("g_key")).distinct(), "pipeline-gone")
     text_key = F.xxhash64(F.coalesce(F.col("text"), F.lit("")))
     rows = docs.select(F.struct(*docs.columns).alias("r"), F.col("doc_id").cast("long").alias("k_id"), text_key.alias("k_key"))
-    kept = rows.join(gone, (F.col("k_id") == F.col("g_id")) & (F.col("k_key") == F.col("g_key")), "left_anti").select("r.*")
+    few = F.broadcast(gone) if gone.count() <= MOST_SENT else gone  # beyond it texts are shuffled once
+    kept = rows.join(few, (F.col("k_id") == F.col("g_id")) & (F.col("k_key") == F.col("g_key")), "left_anti").select("r.*")
     ids = classes.where("first AND doc_id IS NOT NULL").agg(F.count("*").alias("n"), F.countDistinct("doc_id").alias("d")).first()
     return kept.dropDuplicates(["doc_id", "text"]) if ids.n != ids.d else kept
 
