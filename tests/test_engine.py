@@ -44,7 +44,7 @@ def test_curve_invariants(side, dims, bits):
             assert keys[tuple(litmax)] < keys[tuple(bigmin)] and (a, b) == (lo, hi)
         cover = zcurve.ranges(lo, hi, bits, 64)
         assert sorted(k for a, b in cover for k in range(a, b + 1)) == sorted(keys[p] for p in inside)
-    assert sorted(zcurve.hilbert_int(p, bits) for p in points) == list(range(side**dims))
+    assert sorted(zcurve.hilbert(np.array(points), bits).tolist()) == list(range(side**dims))
 
 
 def test_footprints():

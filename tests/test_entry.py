@@ -34,7 +34,7 @@ def test_imports_without_the_llm_parts(tmp_path, pipeline_stays):
 def test_entry_runs(spark):
     import __spark_entry__ as e
 
-    assert e.entry(spark).count() == 10
+    assert e.entry(spark).count() == 25
 
 
 def test_corpus_fill_takes_every_document(spark, tmp_path):
