@@ -601,6 +601,17 @@ def box_mean(a: np.ndarray, k: int) -> np.ndarray:
     return s / np.outer(y1 - y0, x1 - x0)
 
 
+def slopes(a: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Mean differences to the known neighbours of known cells, down and right; 0 without any."""
+
+    def down(v, m):
+        ok = np.pad(m[1:] & m[:-1], ((1, 1), (0, 0)))
+        step = np.where(ok, np.pad(np.diff(v, axis=0), ((1, 1), (0, 0))), 0.0)
+        return (step[1:] + step[:-1]) / np.maximum(1, ok[1:].astype(int) + ok[:-1])
+
+    return down(a, known), down(a.T, known.T).T
+
+
 class Order:
     """Priorities of front cells; the front is known cells beside unknown ones."""
 
@@ -620,6 +631,8 @@ class Order:
             value = box_mean(confidence, self.k) + (1e3 * self.user if self.user is not None else 0)
         elif self.kind == "sparsity":
             value = box_mean(confidence, self.k) * self.sparsity(img, known, front)
+        elif self.kind == "levels":
+            value = box_mean(confidence, self.k) * self.joints(img, known, front)
         else:
             grey = np.where(known, img.mean(2), np.nan)
             gy, gx = np.gradient(grey)
@@ -634,6 +647,34 @@ class Order:
             value = box_mean(confidence, self.k) * data
         return np.where(front, value, -np.inf)
 
+    def joints(self, img, known, front):
+        """How well the level line that ends at a front cell goes on to another one across the hole.
+
+        Lines are joined by spirals, whose curvature changes evenly along them: with the angles a and b
+        of the ends to the chord, bending times length is 4 (a^2 + a b + b^2) for small angles. Ends match
+        if their values are alike, the same side is brighter and the middle of the chord is unknown.
+        """
+        out = np.full(known.shape, 1e-3)
+        grey = img.mean(2)
+        gy, gx = slopes(grey, known)
+        y, x = np.nonzero(front & ((gy != 0) | (gx != 0)))
+        hole_y, hole_x = slopes((~known).astype(float), np.ones_like(known))
+        rise, inward = (right[y, x] + 1j * down[y, x] for down, right in ((gy, gx), (hole_y, hole_x)))
+        side = np.where((1j * rise * inward.conj()).real < 0, -1, 1)  # a complex number is a direction
+        line, place, level = side * 1j * rise, x + 1j * y, grey[y, x]
+        for at in range(0, len(y), 256):
+            i = slice(at, at + 256)
+            chord = place[None] - place[i, None]
+            far = np.abs(chord)
+            middle = (place[None] + place[i, None]) / 2
+            ok = (far > 0) & (side[i, None] != side[None])
+            ok &= ~known[np.rint(middle.imag).astype(int), np.rint(middle.real).astype(int)]
+            a, b = np.angle(line[i, None] * chord.conj()), np.angle(-line[None] * chord.conj())
+            bend, step = 4 * (a**2 + a * b + b**2), level[i, None] - level[None]
+            joint = np.where(ok, np.exp(-bend - step**2 / 625) / (1 + far / self.k), 0.0).max(1)
+            out[y[i], x[i]] += joint * np.abs(rise[i]) / 255
+        return out
+
     def sparsity(self, img, known, front):
         """How concentrated the similarities of a front cell's patch to its neighbours are."""
         h, out = self.k // 2, np.ones(known.shape)

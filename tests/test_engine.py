@@ -201,7 +201,7 @@ def test_fill_edge_cases():
         kernels.fill(img[:5, :5], np.eye(5, dtype=bool), k=9)
 
 
-@pytest.mark.parametrize("order", ["structure", "salient", "sparsity", "value", "onion", "raster", "user"])
+@pytest.mark.parametrize("order", ["structure", "salient", "sparsity", "levels", "value", "onion", "raster", "user"])
 def test_orders_give_front_cells(order):
     img, known = image()
     value = kernels.Order(order, 7)(img, known, known.astype(float))
@@ -209,6 +209,35 @@ def test_orders_give_front_cells(order):
     assert on.any() and (on <= (known & kernels.neighbours(~known))).all()
 
 
+def test_level_lines_that_meet_come_first():
+    img = np.full((21, 21, 1), 20, np.int16)
+    img[10:] = 220
+    known = np.ones((21, 21), bool)
+    known[6:15, 6:15] = False
+    order, flat = kernels.Order("levels", 5), known.astype(float)
+    value = order(img, known, flat)
+    y, x = np.unravel_index(int(np.argmax(value)), value.shape)
+    assert y in (9, 10) and x in (5, 15)  # an end of the edge, whose other end is right across
+    ends = order.joints(img, known, np.isfinite(value))
+    assert np.allclose(ends, ends[:, ::-1])
+    assert (ends[np.isfinite(value)] > 1e-3).sum() == 4
+    img[:, 15:] = 240 - img[:, 15:]  # the other side is brighter there, so these ends do not match
+    turned = order.joints(img, known, np.isfinite(value))
+    assert (turned[9:11, 5] < (ends[9:11, 5] + 1e-3) / 2).all()
+    assert (order.joints(np.full_like(img, 7), known, np.isfinite(value)) == 1e-3).all()
+
+
+def test_slopes_use_known_neighbours_only():
+    rng = np.random.default_rng(3)
+    a, known = rng.integers(0, 255, (6, 7)).astype(float), rng.random((6, 7)) < 0.6
+    down, right = kernels.slopes(a, known)
+    for y in range(6):
+        for x in range(7):
+            for got, dy, dx in ((down, 1, 0), (right, 0, 1)):
+                steps = [s * (a[y + s * dy, x + s * dx] - a[y, x]) for s in (-1, 1) if 0 <= y + s * dy < 6 and 0 <= x + s * dx < 7 and known[y, x] and known[y + s * dy, x + s * dx]]
+                assert got[y, x] == pytest.approx(np.mean(steps) if steps else 0)
+
+
 # plans over rasters
 
 
