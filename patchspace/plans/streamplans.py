@@ -70,9 +70,7 @@ def stream_gaps(spark, sf_dir):
     return st.drain(st.gaps(st.events_stream(spark, sf_dir)))
 
 
-@query("stream_query_serving")
-def stream_query_serving(spark, sf_dir):
-    """Arriving half-known patches answered by a saved index."""
+def served(spark, sf_dir, exact):
     from patchspace.operators import zindex
 
     d = core.dictionary(spark, sf_dir)
@@ -81,7 +79,19 @@ def stream_query_serving(spark, sf_dir):
     q.repartition(2).write.parquet(path)
     index = zindex.build_index(d, core.FPS, core.K, 10, core.MU)
     stream = spark.readStream.schema(q.schema).option("maxFilesPerTrigger", 1).parquet(path)
-    return st.serve(st.distinct_queries(stream), index, d, 20)
+    return st.serve(st.distinct_queries(stream), index, d, 20, exact, exclude_radius=1)
+
+
+@query("stream_query_serving")
+def stream_query_serving(spark, sf_dir):
+    """Arriving half-known patches answered by a saved index."""
+    return served(spark, sf_dir, exact=False)
+
+
+@query("stream_query_serving_exact", core.SQL_SCAN)
+def stream_query_serving_exact(spark, sf_dir):
+    """The same stream in exact mode: answers as of the full scan."""
+    return served(spark, sf_dir, exact=True)
 
 
 @query("index_increment", core.SQL_SCAN)

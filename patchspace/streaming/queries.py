@@ -104,15 +104,15 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{path}/out")
 
 
-def serve(queries: DataFrame, index: zindex.ZIndex, dictionary: DataFrame, k: int = 80) -> DataFrame:
-    """A stream of queries answered against a persisted index: two rounds per micro-batch."""
+def serve(queries: DataFrame, index: zindex.ZIndex, dictionary: DataFrame, k: int = 80, exact: bool = False, exclude_radius: int | None = None) -> DataFrame:
+    """A stream of queries answered against a persisted index: two rounds per micro-batch, or the exact mode's."""
     spark = queries.sparkSession
     ship(spark)
     path = new_path(spark, "serve")
 
     def answer(batch: DataFrame, number: int) -> None:
         if batch.limit(1).count():
-            knn.search(batch.drop("ts"), index, dictionary, k).select("query_id", "patch_id", "cost").write.mode("overwrite").parquet(f"{path}/answers/batch={number}")
+            knn.search(batch.drop("ts"), index, dictionary, k, exact=exact, exclude_radius=exclude_radius).select("query_id", "patch_id", "cost").write.mode("overwrite").parquet(f"{path}/answers/batch={number}")
 
     q = queries.writeStream.foreachBatch(answer).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     q.awaitTermination()
