@@ -76,10 +76,27 @@ def local_diameter_knn(spark, sf_dir):
     return base.local_diameter_knn(q, d, 24)
 
 
-@query("block_context_knn")
+SIDE, TOP, BINS = 16, 3, 8
+
+
+def _bin(v: str) -> str:
+    return f"least(floor({v} * {BINS} / 256), {BINS - 1})"
+
+
+CONTEXT = f"""{TARGETS}, h AS (SELECT image_id, cy // {SIDE} AS gy, cx // {SIDE} AS gx, {", ".join(f"count(*) FILTER (WHERE {_bin('vals[13]')} = {i})::DOUBLE / count(*) AS h{i}" for i in range(BINS))}
+  FROM patches WHERE n_known = 25 GROUP BY ALL),
+u AS (SELECT *, [v for v in vals if v IS NOT NULL] AS own FROM q),
+c AS (SELECT *, {", ".join(f"len([v for v in own if {_bin('v')} = {i}])::DOUBLE / greatest(len(own), 1) AS c{i}" for i in range(BINS))} FROM u),
+best AS (SELECT c.*, gy, gx FROM c JOIN h USING (image_id)
+  QUALIFY row_number() OVER (PARTITION BY patch_id ORDER BY {" + ".join(f"sqrt(c{i} * h{i})" for i in range(BINS))} DESC, gy, gx) <= {TOP}),
+s AS (SELECT q.patch_id AS query_id, d.patch_id, {COST} AS cost FROM best q JOIN patches d ON d.image_id = q.image_id AND d.n_known = 25 AND d.cy // {SIDE} = gy AND d.cx // {SIDE} = gx)
+SELECT query_id, patch_id, cost FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1"""
+
+
+@query("block_context_knn", CONTEXT)
 def block_context_knn(spark, sf_dir):
     q, d = targets(spark, sf_dir)
-    return base.block_context_knn(q, d)
+    return base.block_context_knn(q, d, SIDE, TOP, BINS)
 
 
 MATCHES = f"{TARGETS}, s AS (SELECT q.patch_id AS query_id, d.patch_id, d.cy - q.cy AS dy, d.cx - q.cx AS dx, {COST} AS cost FROM q JOIN patches d ON d.n_known = 25), b AS (SELECT * FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY cost, patch_id) = 1)"
