@@ -6,7 +6,7 @@ import duckdb
 import numpy as np
 import pytest
 
-NAMES = ["footprint_cover", "footprint_except", "footprint_intersect", "footprint_union", "hilbert_neighbours", "index_choice", "params_map", "sql_box_dist2", "sql_z_decode", "sql_z_encode", "sql_z_less"]
+NAMES = ["fill_stripes", "footprint_cover", "footprint_except", "footprint_intersect", "footprint_union", "hilbert_neighbours", "index_choice", "params_map", "sql_box_dist2", "sql_z_decode", "sql_z_encode", "sql_z_less"]
 
 
 @pytest.fixture(scope="module")
@@ -31,5 +31,5 @@ def test_same_rows_as_sql(spark, folder, name):
     want = db.execute(sql[name])
     columns = [c[0] for c in want.description]
     found = plans[name](spark, str(folder))
-    assert found.inputFiles()  # a table is read
+    assert any("embeddings.parquet" in f or "lineitem.parquet" in f for f in found.inputFiles())  # a table is read
     assert collections.Counter(map(tuple, found.select(*columns).collect())) == collections.Counter(want.fetchall())
