@@ -52,3 +52,13 @@ def test_early_stop_on_matrices(table):
 def test_least_breaks_ties_by_id():
     rows, ids, cost = pairs.least(np.array([[2.0, 1, 1, np.inf], [3, 3, 3, 3]]), np.array([7, 9, 4, 1]), 2)
     assert list(zip(rows, ids, cost, strict=True)) == [(0, 4, 1), (0, 9, 1), (1, 1, 3), (1, 4, 3)]
+
+
+def test_hashing_meets_a_pair_once(spark):
+    """In wide buckets every table joins every pair; none comes twice, and no shuffle looks for repeats."""
+    points = spark.range(40).select(F.col("id").alias("patch_id"), F.array(*[(F.col("id") * i % 7).cast("double") for i in (1, 2, 3)]).alias("coord"))
+    q = points.where("patch_id % 8 = 0").select(F.col("patch_id").alias("query_id"), "coord")
+    found = base.lsh_knn(q, points, 1000, 1e9)
+    assert "Aggregate" not in found._jdf.queryExecution().optimizedPlan().toString()
+    got = [(r.query_id, r.patch_id) for r in found.collect()]
+    assert len(got) == len(set(got)) == 5 * 39
