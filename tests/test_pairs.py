@@ -62,3 +62,14 @@ def test_hashing_meets_a_pair_once(spark):
     assert "Aggregate" not in found._jdf.queryExecution().optimizedPlan().toString()
     got = [(r.query_id, r.patch_id) for r in found.collect()]
     assert len(got) == len(set(got)) == 5 * 39
+
+
+def test_ratios_of_all_pairs(table):
+    """As from the pairs written out, without a row a pair."""
+    d, q = table
+    square = lambda q, p, k: np.sqrt(costs.l2().block(q.vals, p.vals, k(q)))
+    got = pairs.ratios(q, d, lambda a, b: square(a, b, lambda x: x.known), lambda a, b: square(a, b, lambda x: np.ones_like(x.known)), 1).first()
+    v = {r.patch_id: np.array(r.vals, float) for r in d.collect()}
+    known = np.arange(16) < 12
+    want = [np.sqrt((x * x * known).sum() / (x * x).sum()) for i in v if i % 5 == 0 for j in v if j != i for x in [v[i] - v[j]] if x.any()]
+    assert got.pairs == len(want) and got.ratio_mean == pytest.approx(np.mean(want)) and got.ratio_stddev == pytest.approx(np.std(want, ddof=1))
