@@ -73,3 +73,35 @@ def test_ratios_of_all_pairs(table):
     known = np.arange(16) < 12
     want = [np.sqrt((x * x * known).sum() / (x * x).sum()) for i in v if i % 5 == 0 for j in v if j != i for x in [v[i] - v[j]] if x.any()]
     assert got.pairs == len(want) and got.ratio_mean == pytest.approx(np.mean(want)) and got.ratio_stddev == pytest.approx(np.std(want, ddof=1))
+
+
+def test_a_search_writes_no_row_a_query_and_block(spark, table, monkeypatch):
+    """Both rounds' answers are the sorted scan's, whichever side is sent to the tasks and whichever indices
+    the queries choose, and no row stands for a query and a block that is within its radius."""
+    from patchspace.operators import footprints, zindex
+
+    d, q = table
+    fps = footprints.footprints(4, 0.6)
+    index = zindex.build_index(d, fps, 4, 6, 4)
+    left = F.array(*[F.lit(i % 4 < 3) for i in range(16)])
+    q = q.withColumn("known", F.when(F.col("query_id") % 2 == 0, F.col("known")).otherwise(left))
+    chosen = footprints.select_index(q, fps).cache()
+    assert chosen.select("index_id").distinct().count() == 2
+    e = index.entries.toPandas()
+    coords = {r.query_id: np.array(r.coord) for r in knn.query_coords(chosen, index).collect()}
+    want = []
+    for r in chosen.orderBy("query_id").collect():
+        own = e[(e.index_id == r.index_id) & (e.patch_id != r.query_id)]
+        dist = sum((coords[r.query_id][i] - own.coord.map(lambda c, i=i: float(c[i])).to_numpy()) ** 2 for i in range(6))
+        order = np.lexsort((own.patch_id, dist))[:9]
+        want += list(zip([r.query_id] * 9, own.patch_id.to_numpy()[order], strict=True))
+    scan = sorted(tuple(r) for r in knn.full_scan(q, d, costs.l2(), 1, 1).select("query_id", "patch_id", "cost").collect())
+    for sent in (knn.SENT, 0):
+        monkeypatch.setattr(knn, "SENT", sent)
+        near = knn.zcurve_knn(chosen, index, 9, 1)
+        assert "e_block" not in near._jdf.queryExecution().optimizedPlan().toString()
+        assert [(r.query_id, r.patch_id) for r in near.orderBy("query_id", "rank").collect()] == want
+        best = knn.search(q, index, d, 9, costs.l2(), exact=True, exclude_radius=1)
+        assert "e_block" not in best._jdf.queryExecution().optimizedPlan().toString()
+        assert sorted((r.query_id, r.patch_id, r.cost) for r in best.collect()) == scan
+        assert best.agg(F.min("refined")).first()[0] >= 1
