@@ -45,3 +45,21 @@ def test_corpus_fill_takes_every_document(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {r.image_id for r in load()[0]["corpus_fill"](spark, str(tmp_path)).collect()}
     assert got == {1, 20, 33}
+
+
+def test_corpus_fill_keeps_an_image_in_a_row(spark, tmp_path):
+    """The figures of images as rows of cells, without a join or a row a cell; a text too short for a hole has none."""
+    from patchspace.operators import fill, metrics
+    from patchspace.plans import load
+    from patchspace.sources import masks, rasters
+
+    rng = random.Random(4)
+    rows = [(i, "".join(rng.choice("abc \u00e9\u4e2d\U0001f600") for _ in range(n))) for i, n in ((1, 700), (2, 1041), (3, 40), (5, 320))]
+    spark.createDataFrame([*rows, (7, ""), (8, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    r = rasters.document_corpus(spark, str(tmp_path))
+    m = masks.hole_mask(r, 8)
+    want = metrics.fill_quality(fill.inpaint(masks.damage(r, m), "zcurve", k=7, order="onion"), r, m)
+    got = load()[0]["corpus_fill"](spark, str(tmp_path))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Generate" not in plan and got.columns == want.columns
+    assert {tuple(x) for x in got.collect()} == {tuple(x) for x in want.collect()} and got.count() >= 2
