@@ -105,3 +105,21 @@ def test_a_search_writes_no_row_a_query_and_block(spark, table, monkeypatch):
         assert "e_block" not in best._jdf.queryExecution().optimizedPlan().toString()
         assert sorted((r.query_id, r.patch_id, r.cost) for r in best.collect()) == scan
         assert best.agg(F.min("refined")).first()[0] >= 1
+
+
+def test_a_batch_of_a_stream_is_read_once(spark, table, tmp_path, monkeypatch):
+    """A search reads its queries more than once, so it gets them written, outside the stream's plan."""
+    from patchspace.streaming import queries as st
+
+    _, q = table
+    q.withColumn("ts", F.timestamp_seconds(F.col("query_id"))).coalesce(1).write.parquet(f"{tmp_path}/in")
+    seen = []
+
+    def search(queries, *_, **__):
+        seen.append(queries.inputFiles())
+        return queries.select("query_id", F.col("query_id").alias("patch_id"), F.lit(0).cast("long").alias("cost"))
+
+    monkeypatch.setattr(knn, "search", search)
+    stream = spark.readStream.schema(spark.read.parquet(f"{tmp_path}/in").schema).parquet(f"{tmp_path}/in")
+    assert st.serve(stream, None, None).count() == q.count()
+    assert all("/asked/" in f for files in seen for f in files) and all(seen)
