@@ -8,7 +8,7 @@ from patchspace.operators import knn, patches
 from patchspace.plans import core, load
 
 
-@pytest.mark.parametrize("name", ["frequency_exact", "index_increment", "w14_reusable_dictionary"])
+@pytest.mark.parametrize("name", ["frequency_exact", "index_increment", "w14_reusable_dictionary", "zcurve_search_exact_l1"])
 def test_a_registered_search_pairs_blocks(spark, name):
     at = "/root/testdata/sf0.001"
     d = core.dictionary(spark, at)
