@@ -1,5 +1,8 @@
 """Scans on matrices against the column forms of the costs, and that they emit no row a pair."""
 
+import time
+from types import SimpleNamespace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -123,3 +126,31 @@ def test_a_batch_of_a_stream_is_read_once(spark, table, tmp_path, monkeypatch):
     stream = spark.readStream.schema(spark.read.parquet(f"{tmp_path}/in").schema).parquet(f"{tmp_path}/in")
     assert st.serve(stream, None, None).count() == q.count()
     assert all("/asked/" in f for files in seen for f in files) and all(seen)
+
+
+def test_the_filter_of_blocks_is_a_product_of_matrices():
+    """It gives the distances of all pairs within the radius, and takes far less time than the differences of all pairs."""
+    rng, dims, n = np.random.default_rng(6), 12, 1024
+    q, p = SimpleNamespace(n=n), SimpleNamespace(n=n)
+    q.vals, p.vals = rng.normal(size=(n, dims)), rng.normal(size=(n, dims)).astype(np.float32).astype(float)
+    q.query_id, q.image_id, q.cy, q.cx, q.index_id = np.arange(n), np.arange(n) % 2, np.zeros(n, int), np.arange(n), np.zeros(n, int)
+    p.patch_id, p.image_id, p.block_id, p.index_id = rng.permutation(n), np.arange(n) % 2, np.arange(n) // 32, np.zeros(n, int)
+    dense = lambda: sum((q.vals[:, i, None] - p.vals[:, i]) ** 2 for i in range(dims))
+    want = dense()
+    q.radius2 = np.sort(want, axis=1)[:, 20].copy()  # a pair lies at exactly the radius
+    q.radius2[:9] = np.inf
+    want[want > q.radius2[:, None]] = np.inf
+    found = knn.within(dims, None)(q, p)
+    assert (found == want).all() and np.isfinite(found[9:]).sum() == 21 * (n - 9)
+    apart = (q.image_id[:, None] == p.image_id) & (np.abs(p.patch_id - q.cx[:, None]) < 3)
+    assert (knn.within(dims, 3)(q, p) == np.where(apart, np.inf, want)).all()
+
+    def least_time(f):
+        took = []
+        for _ in range(7):
+            began = time.perf_counter()
+            f()
+            took.append(time.perf_counter() - began)
+        return min(took)
+
+    assert 2 * least_time(lambda: knn.within(dims, 1)(q, p)) < least_time(dense)
