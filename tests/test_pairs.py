@@ -182,3 +182,14 @@ def test_the_radius_shrinks_to_the_kth_best_of_the_task(spark):
             dist[i] = np.inf
             want += [(i, int(j)) for j in np.lexsort((np.arange(3000), dist))[:5]]
         assert got == want
+
+
+def test_the_least_of_rows_of_any_width():
+    rng = np.random.default_rng(4)
+    for width in (1, 3, 8, 60):
+        cost, ids = rng.integers(0, 5, (40, width)).astype(float), rng.permutation(width)
+        cost[rng.random(cost.shape) < 0.4] = np.inf
+        cost[5] = np.inf
+        for k in (1, 2, 8, 40):
+            want = [(r, int(ids[c]), cost[r, c]) for r in range(40) for c in np.lexsort((ids, cost[r]))[:k] if np.isfinite(cost[r, c])]
+            assert list(zip(*(x.tolist() for x in pairs.least(cost, ids, k)), strict=True)) == want
