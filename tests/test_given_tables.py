@@ -33,3 +33,17 @@ def test_same_rows_as_sql(spark, folder, name):
     found = plans[name](spark, str(folder))
     assert any("embeddings.parquet" in f or "lineitem.parquet" in f for f in found.inputFiles())  # a table is read
     assert collections.Counter(map(tuple, found.select(*columns).collect())) == collections.Counter(want.fetchall())
+
+
+def test_the_union_takes_every_patch(spark, folder):
+    """Not only the patches of the stated queries, in code and SQL; each of their 64 samples is under a footprint."""
+    from patchspace.plans import load
+
+    plans, sql = load()
+    ids = sorted(r.vec_id for r in spark.read.parquet(f"{folder}/embeddings.parquet").select("vec_id").collect())
+    assert any(i % 20 for i in ids)
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{folder}/embeddings.parquet/*.parquet')")
+    want = sorted((i, pos) for i in ids for pos in range(64))
+    assert sorted(plans["footprint_union"](spark, str(folder)).select("patch_id", "pos").toLocalIterator()) == want
+    assert sorted(db.execute(f"SELECT patch_id, pos FROM ({sql['footprint_union']})").fetchall()) == want
