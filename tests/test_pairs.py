@@ -67,6 +67,51 @@ def test_hashing_meets_a_pair_once(spark):
     assert len(got) == len(set(got)) == 5 * 39
 
 
+@pytest.mark.parametrize(("width", "few"), [(1e9, 100_000), (40.0, 100_000), (40.0, 0), (0.5, 100_000)])
+def test_hashing_writes_no_row_a_pair(spark, monkeypatch, width, few):
+    """Packed buckets give the pairs that share one, whether queries are sent to all tasks or dealt, also where an
+    identifier comes twice or is null; with one wide bucket a pair of blocks is met in the first table alone."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    monkeypatch.setattr(pairs, "FEW", few)
+    rng = np.random.default_rng(8)
+    coord = rng.normal(0, 30, (2500, 4))
+    coord[1::50] = coord[::50]  # copies
+    ids = [*range(2490), *range(9), None]
+    points = spark.createDataFrame([(i, c.tolist()) for i, c in zip(ids, coord, strict=True)], "patch_id long, coord array<double>").repartition(3)
+    q = points.where("patch_id % 20 = 0").select(F.col("patch_id").alias("query_id"), "coord").dropDuplicates(["query_id"])
+    found = base.lsh_knn(q, points, 7, width, 3)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "zip_with" not in plan and plan.count("MapInArrow") == 3
+    got = sorted((r.query_id, r["rank"], r.patch_id, r.dist2) for r in found.collect())
+
+    features = points.withColumn("features", array_to_vector("coord"))
+    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=width, numHashTables=3, seed=4).fit(features)
+    rows = [(r.patch_id, np.array(r.coord), [h[0] for h in r.hashes]) for r in model.transform(features).collect() if r.patch_id is not None]
+    c, h, of = np.array([r[1] for r in rows]), np.array([r[2] for r in rows]), np.array([r[0] for r in rows])
+    asked = {r.query_id: np.array(r.coord) for r in q.collect()}
+    want = []
+    for i, x in asked.items():
+        own = h[[j for j, r in enumerate(rows) if r[0] == i and (r[1] == x).all()][0]]
+        near = np.flatnonzero((h == own).any(1) & (of != i))
+        dist2 = sum((x[d] - c[near, d]) ** 2 for d in range(4))
+        order = np.lexsort((of[near], dist2))[:7]
+        want += [(i, n + 1, int(of[near[j]]), float(dist2[j])) for n, j in enumerate(order)]
+    assert got == sorted(want)
+    assert base.lsh_knn(q.limit(0), points, 7, width, 3).count() == 0
+
+
+def test_blocks_that_met_before_are_not_paired(spark):
+    """All rows in one bucket of each of two tables: only the pairs of blocks of the first table are there."""
+    rows = spark.range(3000).select(F.col("id").alias("patch_id"), F.array(F.lit(0.0)).alias("vals"), *[F.lit(5).cast("long").alias(h) for h in ("h0", "h1")], F.explode(F.array(F.lit(0), F.lit(1))).alias("turn"), F.lit(5).alias("bucket"))
+    q = rows.where("patch_id < 40").withColumnRenamed("patch_id", "query_id")
+    met = (F.col("turn") > 0) & (F.col("q_h0_all") == F.col("p_h0_all"))
+    both = pairs.paired(q, rows, (), ("query_id", "h0", "h1"), ("patch_id", "h0", "h1"), by=("turn", "bucket"), alike=("h0", "h1"), met=met)
+    got = both.select("turn", (F.col("q_n").cast("long") * F.col("p_n")).alias("n")).groupBy("turn").agg(F.sum("n").alias("n")).collect()
+    assert [(r.turn, r.n) for r in got] == [(0, 40 * 3000)]
+
+
 def test_ratios_of_all_pairs(table):
     """As from the pairs written out, without a row a pair."""
     d, q = table
